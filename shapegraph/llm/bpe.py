@@ -27,7 +27,7 @@ from .common import column, documents, slices, table
 #: Words that the lexicon holds at most; with it the broadcast file stays below about 4 MB.
 LEXICON_WORDS = 65_536
 #: Distinct chunks that a task remembers at most before it starts anew.
-MEMO_CHUNKS = 300_000
+MEMO_CHUNKS = 450_000
 
 _ODD_SPACE = regex.compile(r"[\x1c-\x1f]")
 _SPACE = regex.compile(r"[\t-\r \x85\xa0  -     　]+")

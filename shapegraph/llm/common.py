@@ -3,6 +3,7 @@
 from __future__ import annotations
 
 import atexit
+import ctypes
 import shutil
 import tempfile
 import uuid
@@ -49,10 +50,21 @@ def cut(df: DataFrame, tag: str) -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def release() -> None:
+    """Give freed memory back: reused workers stand idle beside the next stage."""
+    pa.default_memory_pool().release_unused()
+    try:
+        ctypes.CDLL(None).malloc_trim(0)
+    except (AttributeError, OSError):  # another C library
+        pass
+
+
 def slices(batches: Iterable[pa.RecordBatch], text_col: str = "text", most: int = SLICE_BYTES) -> Iterator[tuple[pa.RecordBatch, list[bytes]]]:
     """Runs of rows with about ``most`` bytes of text (one row at least) and their UTF-8 texts, null as empty."""
+    release()
     for batch in batches:
-        column = batch.column(batch.schema.get_field_index(text_col)).cast(pa.large_binary())
+        texts = batch.column(batch.schema.get_field_index(text_col))
+        column = texts.cast(pa.large_binary() if pa.types.is_large_string(texts.type) else pa.binary())
         start, held = 0, []
         total = 0
         for i, value in enumerate(column):
@@ -64,6 +76,7 @@ def slices(batches: Iterable[pa.RecordBatch], text_col: str = "text", most: int
                 start, held, total = i + 1, [], 0
         if held:
             yield batch.slice(start), held
+    release()
 
 
 def column(batch: pa.RecordBatch, name: str) -> pa.Array:

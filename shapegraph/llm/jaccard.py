@@ -1,7 +1,8 @@
 """Exact Jaccard join of word shingles with signature trees.
 
 1. Documents with the same shingle set form one class; everything after works on one member of each class.
-2. Every class posts the shingles of its prefix, in an order that puts heavy shingles last. Linked classes share one.
+2. Every class posts the shingles of its prefix, in an order that puts heavy shingles last. Linked classes share a known
+   number of them, so classes that meet others in fewer lists are done.
 3. The classes of a posting list stand in a signature tree: nodes hold the OR of token bitmaps and a size range. A dual
    traversal prunes pairs of nodes by the greatest overlap that they allow, and pairs that are already connected; it
    leaves a forest, not all pairs. The forests' components are families that hold every link.
@@ -24,17 +25,20 @@ from pyspark.sql import functions as F
 from .common import column, cut, documents, slices, table
 from .graph import components
 
-BITS = 1024
+#: Bits of the smallest bitmap; a set gets the power of two from 1.5 bits a member on, MOST_BITS at most.
+LEAST_BITS, MOST_BITS = 256, 1 << 16
 CHUNK, PIVOTS, LEAF = 2048, 8, 8
 #: Shingles that the order of prefixes knows as heavy; any order gives the same links.
 HEAVY = 65_536
+#: Documents with candidates (40 bytes each) that are broadcast at most; beyond, they are shuffled.
+BROADCAST_IDS = 200_000
 #: A batch reports a shingle as heavy when this many of its documents hold it.
 HEAVY_IN_BATCH = 8
 
 
 class _WordHashes(dict):
     def __missing__(self, word: bytes) -> int:
-        if len(self) > 500_000:
+        if len(self) > 150_000:
             self.clear()
         self[word] = h = xxhash.xxh3_64_intdigest(word)
         return h
@@ -74,15 +78,38 @@ def digest(members: np.ndarray) -> bytes:
     return hashlib.blake2b(members.tobytes(), digest_size=16).digest()
 
 
-def signature(members: np.ndarray) -> np.ndarray:
-    flags = np.zeros(BITS, np.uint8)
-    flags[(members >> np.uint64(7)) % np.uint64(BITS)] = 1
-    return np.packbits(flags)
+def bitmap_size(n: int) -> int:
+    return min(MOST_BITS, max(LEAST_BITS, 1 << int(1.5 * n).bit_length()))
+
+
+def signature(members: np.ndarray, bits: int) -> np.ndarray:
+    flags = np.zeros(bits, np.uint8)
+    flags[(members >> np.uint64(7)) % np.uint64(bits)] = 1
+    return np.packbits(flags, bitorder="little")
+
+
+def folded(bits: np.ndarray, size: int) -> np.ndarray:
+    """A bitmap's halves ORed until it has ``size`` bytes: the bitmap of the same set with fewer bits."""
+    while len(bits) > size:
+        bits = bits[: len(bits) // 2] | bits[len(bits) // 2 :]
+    return bits
+
+
+#: Percent of a set by which its prefix is longer than one shared element needs.
+MORE = 3
+
+
+def shared_at_least(n: int) -> int:
+    """How many prefix elements linked sets share, if the smaller one has n elements."""
+    return 1 + n * MORE // 100
 
 
 def prefix_length(n: int, percent: int) -> int:
-    """Of two linked sets, each has a common element among its first so many in any common order."""
-    return n - -(-n * percent // 100) + 1 if n else 0
+    """Of two linked sets, in any common order, the first so many elements have ``shared_at_least`` in common.
+
+    Linked sets share a percent of the larger one at least; each prefix leaves out fewer than that less what must meet.
+    """
+    return n - -(-n * percent // 100) + shared_at_least(n) if n else 0
 
 
 def linked(overlap, a, b, percent: int):
@@ -175,19 +202,30 @@ def _groups(batches, keys: list[str]):
 def _forest_of(group: pa.Table, percent: int) -> list[tuple[bytes, bytes]]:
     ids, sizes = group.column("c").to_pylist(), group.column("n").to_numpy()
     labels = np.unique(np.array([x or b for x, b in zip(group.column("label").to_pylist(), ids, strict=True)], object), return_inverse=True)[1] if "label" in group.column_names else None
-    if "members" not in group.column_names:
-        bits = np.frombuffer(b"".join(group.column("sig").to_pylist()), np.uint64).reshape(len(ids), -1)
-        verify = None
-    else:
+    if "members" in group.column_names:
         sets = [np.frombuffer(m, np.uint64) for m in group.column("members").to_pylist()]
-        bits = np.stack([signature(s) for s in sets]).view(np.uint64)
+        width = bitmap_size(2 * int(sizes.max()))  # so that few unlinked pairs need verification
+        bits = np.stack([signature(s, width) for s in sets]).view(np.uint64)
 
         def verify(i: int, j: int) -> bool:
             a, b = (sets[i], sets[j]) if len(sets[i]) <= len(sets[j]) else (sets[j], sets[i])
             at = np.minimum(np.searchsorted(b, a), len(b) - 1)
             return bool(linked(int((b[at] == a).sum()), len(a), len(b), percent))
 
-    return [(ids[i], ids[j]) for i, j in SignatureTree(sizes, bits).forest(percent, verify, labels)]
+        return [(ids[i], ids[j]) for i, j in SignatureTree(sizes, bits).forest(percent, verify, labels)]
+    # Sets of compatible sizes have bitmaps of equal or neighbouring sizes; each such band has a tree of its own.
+    maps = [np.frombuffer(s, np.uint8) for s in group.column("sig").to_pylist()]
+    widths = np.array([len(m) for m in maps])
+    out, done = [], set()
+    for width in sorted(set(widths.tolist())):
+        at = np.flatnonzero((widths == width) | (widths == 2 * width))
+        if len(at) < 2 or (widths[at] == width).all() and width in done:
+            continue
+        done |= {width, 2 * width}
+        bits = np.stack([folded(maps[i], width) for i in at]).view(np.uint64)
+        found = SignatureTree(sizes[at], bits).forest(percent, None, None if labels is None else labels[at])
+        out += [(ids[at[i]], ids[at[j]]) for i, j in found]
+    return out
 
 
 def _forests(rows: DataFrame, keys: list[str], percent: int) -> DataFrame:
@@ -202,18 +240,18 @@ def _forests(rows: DataFrame, keys: list[str], percent: int) -> DataFrame:
     return rows.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, "a binary, b binary")
 
 
-def linked_forest(rows: DataFrame, percent: int, tag: str) -> DataFrame:
+def linked_forest(rows: DataFrame, percent: int, tag: str, largest: int) -> DataFrame:
     """Edges (a, b) that connect, within each group ``g``, all classes ``c`` that linked pairs connect.
 
-    rows: g, c, n and either ``sig`` or ``members``.
+    rows: g, c, n and either ``sig`` or ``members``; ``largest`` is the size of the largest group.
     """
+    if largest <= CHUNK:
+        return _forests(rows, ["g"], percent)
     payload = [x for x in rows.columns if x not in ("g", "c", "n")]
     place = (F.row_number().over(W.partitionBy("g").orderBy("n", "c")) - 1).cast("long")
     numbered = cut(rows.withColumn("place", place).withColumn("chunk", (F.col("place") / CHUNK).cast("int")), tag)
     spread = numbered.where("chunk > 0").groupBy("g").agg(F.max("chunk").alias("last"))
     base = numbered.select("g", "chunk", "c", "n", *payload)
-    if spread.isEmpty():
-        return _forests(base, ["g", "chunk"], percent)
     pivots = numbered.where(F.col("place") < PIVOTS).join(spread, "g").withColumn("chunk", F.explode(F.sequence(F.lit(1), "last")))
     first = cut(_forests(base.unionByName(pivots.select(*base.columns)), ["g", "chunk"], percent), tag)
     labels = components(first, numbered.join(spread, "g", "left_semi").select(F.col("c").alias("node")).distinct())
@@ -241,7 +279,7 @@ def similar_groups(df: DataFrame, width: int = 5, percent: int = 80, id_col: str
 
     def weigh(batches):
         memo = _WordHashes()
-        for _, texts in slices(batches, most=8 << 20):
+        for _, texts in slices(batches, most=4 << 20):
             sets = [s for at in range(0, len(texts), 256) for s in shingle_sets(texts[at : at + 256], width, memo)]
             values, counts = np.unique(np.concatenate(sets) if sets else np.zeros(0, np.uint64), return_counts=True)
             often = counts >= HEAVY_IN_BATCH
@@ -266,33 +304,44 @@ def similar_groups(df: DataFrame, width: int = 5, percent: int = 80, id_col: str
                     if hit.any():  # light shingles by hash, then heavy ones from the least heavy on
                         s = np.concatenate([s[~hit], s[hit][np.argsort(rank[at[hit]], kind="stable")]])
                 first.append(s[:want].view(np.int64))
-            arrays = [column(rows, "doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array([digest(s) for s in sets], pa.binary()), pa.array([signature(s).tobytes() for s in sets], pa.binary()), pa.array(first, pa.list_(pa.int64()))]
+            arrays = [column(rows, "doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array([digest(s) for s in sets], pa.binary()), pa.array([signature(s, bitmap_size(len(s))).tobytes() for s in sets], pa.binary()), pa.array(first, pa.list_(pa.int64()))]
             yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "n", "c", "sig", "prefix"])
 
     described = cut(docs.mapInArrow(describe, "doc_id long, n long, c binary, sig binary, prefix array<long>"), "shingled")
     classes = cut(described.where("n > 0").groupBy("c").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("sig").alias("sig"), F.first("prefix").alias("prefix")), "classes")
     posted = classes.select("c", "n", F.explode("prefix").alias("k"))
-    same = W.partitionBy("k")
-    posted = posted.withColumn("held", F.count("*").over(same)).where("held > 1")
+    same, by_size = W.partitionBy("k"), W.partitionBy("k").orderBy("n", "c")
+    # Only members with a neighbour of compatible size can link within a list.
+    near = (100 * F.lag("n").over(by_size) >= percent * F.col("n")) | (100 * F.col("n") >= percent * F.lead("n").over(by_size))
+    posted = posted.withColumn("near", near).where("near").drop("near")
+    posted = cut(posted, "postings")
+    # A linked class meets its partner in as many lists as their prefixes share.
+    smaller = F.ceil(F.col("n") * percent / 100)
+    enough = posted.groupBy("c", "n").count().where(F.col("count") >= 1 + F.floor(smaller * MORE / 100)).select("c")
+    posted = posted.join(enough, "c", "left_semi").withColumn("held", F.count("*").over(same)).where("held > 1")
     posted = posted.withColumn("s1", F.sum(F.xxhash64("c").cast("decimal(38,0)")).over(same)).withColumn("s2", F.sum(F.hash("c").cast("long")).over(same))
     posted = cut(posted, "postings")
     # Lists with the same classes need one traversal only.
     lists = posted.groupBy("held", "s1", "s2").agg(F.min("k").alias("k")).select("k")
+    largest = posted.agg(F.max("held")).first()[0] or 0
     rows = posted.join(lists, "k", "left_semi").select(F.col("k").alias("g"), "c", "n").join(classes.select("c", "sig"), "c")
-    maybe = cut(linked_forest(rows, percent, "lists"), "maybe")
+    maybe = cut(linked_forest(rows, percent, "lists", largest).distinct(), "maybe")
     families = cut(components(maybe, maybe.select(F.col("a").alias("node")).distinct()).select(F.col("node").alias("c"), F.col("root").alias("g")), "families")
-    needed = classes.join(families, "c").select(F.col("rep"), "c", "g")
+    needed = cut(classes.join(families, "c").select("rep", "c", "g"), "needed")
+    largest = families.groupBy("g").count().agg(F.max("count")).first()[0] or 0
 
     def members(batches):
         memo = _WordHashes()
         for rows, texts in slices(batches):
             sets = shingle_sets(texts, width, memo)
-            yield pa.RecordBatch.from_arrays([pa.array([digest(s) for s in sets], pa.binary()), pa.array([len(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["c", "n", "members"])
-
-    # The digest of a set depends on the order of its bytes, so it is taken from the sorted set here and above alike.
-    sets = docs.join(needed.select("rep"), docs["doc_id"].eqNullSafe(F.col("rep")), "left_semi").select("text").mapInArrow(members, "c binary, n long, members binary")
-    held = sets.join(families, "c").select("g", "c", "n", "members")
-    edges = linked_forest(held, percent, "sets")
+            # Where ids repeat, a row can meet the class of another text.
+            own = [i for i, (s, c) in enumerate(zip(sets, column(rows, "c").to_pylist(), strict=True)) if digest(s) == c]
+            arrays = [column(rows, "g").take(pa.array(own, pa.int32())), column(rows, "c").take(pa.array(own, pa.int32()))]
+            yield pa.RecordBatch.from_arrays([*arrays, pa.array([len(sets[i]) for i in own], pa.int64()), pa.array([sets[i].tobytes() for i in own], pa.binary())], names=["g", "c", "n", "members"])
+
+    few = F.broadcast(needed) if needed.count() <= BROADCAST_IDS else needed
+    held = docs.join(few, docs["doc_id"].eqNullSafe(F.col("rep"))).select("text", "c", "g").mapInArrow(members, "g binary, c binary, n long, members binary")
+    edges = cut(linked_forest(held, percent, "sets", largest), "edges")
     roots = components(edges, families.select(F.col("c").alias("node"))).select(F.col("node").alias("c"), "root")
     joined = classes.select("c", "rep").join(roots, "c", "left").withColumn("root", F.coalesce("root", "c"))
     least = joined.groupBy("root").agg(F.min("rep").alias("component_id"))
