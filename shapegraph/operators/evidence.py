@@ -14,7 +14,7 @@ from pyspark.sql import functions as F
 from ..functions.terms import is_literal, language
 from ..plans.paths import Alt, IdPath, Inv, Path, Prop
 from ..plans.shapes import And, AtLeast, AtMost, Bottom, Closed, Compare, Disj, Eq, ForAll, HasShape, HasValue, Not, Or, Shape, ShapeSchema, Test, Top, UniqueLang, conjuncts, constants, cost, negate, to_nnf
-from ..sources.graph import TripleGraph
+from ..sources.graph import TripleGraph, cut
 from .reach import ends, pairs, sources_of, trace_pairs, trace_sets
 
 
@@ -149,7 +149,7 @@ class Engine:
     def evidence(self, s: Shape, v: DataFrame, tagged: bool = False) -> DataFrame:
         """Triples that show why those nodes of v that satisfy the shape do: s, p, o (v, s, p, o if tagged)."""
         nnf = to_nnf(s, self.schema)
-        return self._evidence(nnf, self._conform(nnf, v), tagged).distinct()
+        return self._evidence(nnf, cut(self._conform(nnf, v), "nodes"), tagged).distinct()
 
     def _empty(self, tagged: bool) -> DataFrame:
         return self.g.spark.createDataFrame([], "v string, s string, p string, o string" if tagged else "s string, p string, o string")
@@ -231,7 +231,7 @@ class Engine:
         found = []
         for s in shapes:
             nnf = to_nnf(s, self.schema)
-            found.append(self._evidence(nnf, self.resolve(nnf), False))
+            found.append(self._evidence(nnf, cut(self.resolve(nnf), "nodes"), False))
         return reduce(DataFrame.unionAll, found).distinct()
 
     def schema_subgraph(self) -> DataFrame:
@@ -257,8 +257,6 @@ class Engine:
 
     def validate_and_extract(self) -> tuple[DataFrame, DataFrame]:
         """Report and schema subgraph from the same targets and verdicts, each written once."""
-        from ..sources.graph import cut
-
         reports, found = [self.report().limit(0)], []
         for d in self.schema.defs:
             nnf = to_nnf(d.shape, self.schema)

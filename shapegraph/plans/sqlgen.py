@@ -170,11 +170,11 @@ def sql_size(sql: str) -> dict[str, int]:
     return {"lines": sql.count("\n") + 1, "characters": len(sql)}
 
 
-def run_sql(g: TripleGraph, sql: str, tables: str = "") -> DataFrame:
-    """Runs generated text over the graph's views; views are per session, so their names carry a prefix of their own."""
+def run_sql(g: TripleGraph, sql: str, stored: bool = True) -> DataFrame:
+    """Runs generated text over the graph's views; ``stored`` writes them first, so that the many uses stay scans."""
     spark: SparkSession = g.spark
-    g.triples().createOrReplaceTempView("triples")
-    g.nodes().createOrReplaceTempView("universe")
+    for name, df in (("triples", g.triples()), ("universe", g.nodes())):
+        (cut(df, name) if stored else df).createOrReplaceTempView(name)
     return spark.sql(sql)
 
 
