@@ -24,8 +24,8 @@ from pyspark.sql import functions as F
 
 from .common import column, documents, slices, table
 
-#: Words that the lexicon holds at most; with it the broadcast file stays below about 4 MB.
-LEXICON_WORDS = 65_536
+#: Words that the lexicon holds at most; with it the broadcast file stays below about 2 MB.
+LEXICON_WORDS = 32_768
 #: Distinct chunks that a task remembers at most before it starts anew.
 MEMO_CHUNKS = 450_000
 
@@ -34,6 +34,10 @@ _SPACE = regex.compile(r"[\t-\r \x85\xa0  -     　]+")
 _PIECES = regex.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[\p{L}]+|[\p{N}]|[^\s\p{L}\p{N}]+")
 
 
+#: Single marks that may end a word; each is a piece of its own.
+_STOPS = frozenset(".,!?;:")
+
+
 def byte_letters() -> list[str]:
     """The printable letter that stands for each byte in byte-level vocabularies."""
     plain = [*range(33, 127), *range(161, 173), *range(174, 256)]
@@ -222,8 +226,10 @@ def pieces(chunk: str) -> list[bytes]:
         chunk = chunk.lower() if "Σ" not in chunk else "".join(c.lower() for c in chunk)
     else:
         chunk = chunk.lower()
-        if chunk.isalpha():
-            return [chunk.encode()]
+    if chunk.isalpha():
+        return [chunk.encode()]
+    if chunk[-1:] in _STOPS and chunk[:-1].isalpha():
+        return [chunk[:-1].encode(), chunk[-1:].encode()]
     return [p.encode() for p in _PIECES.findall(chunk)]
 
 
@@ -302,7 +308,7 @@ def encode(df: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str
 
     def run(batches):
         codec = Codec(Vocabulary(tokenizer), Transducer.mapped(shipped.value))
-        for rows, texts in slices(batches):
+        for rows, texts in slices(batches, most=4 << 20):
             done = codec.encode_batch([t.decode("utf-8") for t in texts])
             arrays = [column(rows, "doc_id"), pa.array([len(i) // 4 for i, _ in done], pa.int64()), pa.array([hashlib.sha256(i).hexdigest() for i, _ in done]), pa.array([hashlib.sha256(d).hexdigest() for _, d in done])]
             if with_ids:
