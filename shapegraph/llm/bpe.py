@@ -22,7 +22,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import column, documents, slices, table
+from .common import column, cut, documents, slices, table
 
 #: Words that the lexicon holds at most; with it the broadcast file stays below about 2 MB.
 LEXICON_WORDS = 32_768
@@ -289,10 +289,27 @@ def _word_counts(batches):
         yield pa.RecordBatch.from_arrays([pa.array(words.keys(), pa.binary()), pa.array(words.values(), pa.int64())], names=["word", "n"])
 
 
+#: Steps that a doubling of a word's count is divided into when words are ranked; 64 doublings bound the histogram.
+COUNT_STEPS = 16
+
+
 def frequent_words(docs: DataFrame, most: int = LEXICON_WORDS) -> list[bytes]:
-    """The ``most`` words with the highest counts over all documents; ties go to the smaller word."""
+    """The words of the highest counts over all documents, by whole count classes that together hold ``most`` at most.
+
+    Classes come first as a histogram of some hundred rows, so no more than ``most`` words ever reach the driver,
+    from however many tasks; a class that does not fit whole is left to exact merging, and so are all below it.
+    """
+    rank = F.floor(F.log2("n") * COUNT_STEPS).cast("int")
     counts = docs.select("text").mapInArrow(_word_counts, "word binary, n long").groupBy("word").agg(F.sum("n").alias("n"))
-    return [bytes(r["word"]) for r in counts.where(F.octet_length("word") <= 256).orderBy(F.desc("n"), "word").limit(most).collect()]
+    counts = cut(counts.where(F.octet_length("word") <= 256).select("word", rank.alias("rank")), "word-counts")
+    held, least = 0, None
+    for row in counts.groupBy("rank").agg(F.count("*").alias("words")).orderBy(F.desc("rank")).collect():
+        if held + row["words"] > most:
+            break
+        held, least = held + row["words"], row["rank"]
+    if least is None:
+        return []
+    return [bytes(r["word"]) for r in counts.where(F.col("rank") >= least).select("word").collect()]
 
 
 def encode(df: DataFrame, tokenizer: str, id_col: str = "doc_id", text_col: str = "text", lexicon_words: int = LEXICON_WORDS, with_ids: bool = False) -> DataFrame:

@@ -40,6 +40,14 @@ def test_bpe_equals_library(docs, none):
     assert bpe.encode(none, path).count() == 0
 
 
+def test_frequent_words_take_whole_count_classes(spark, none):
+    texts = ["a " * 9 + "b " * 9 + "c " * 3 + "d e f"] * 2
+    df = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string")
+    for most, want in ((1, []), (2, ["a", "b"]), (3, ["a", "b", "c"]), (5, ["a", "b", "c"]), (6, ["a", "b", "c", "d", "e", "f"])):
+        assert sorted(w.decode() for w in bpe.frequent_words(df, most)) == want
+    assert bpe.frequent_words(none, 5) == []
+
+
 def test_transducer_numbers():
     words = {b"car": [1], b"cars": [2], b"cat": [3, 4], b"bars": [5]}
     t = bpe.Transducer.mapped(bpe.Transducer.compile(words))
