@@ -8,17 +8,19 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
+from .functions.terms import iri
 from .measures import emulate_by_patterns, shares
 from .operators.audit import audit_schema, audit_subgraph, audit_sufficiency, compare_graphs
 from .operators.evidence import Engine
 from .operators.reach import pairs, sources_of, trace_pairs, trace_sets
 from .operators.star import validate_and_extract_star
-from .plans.paths import Alt, Inv, Opt, Path, Prop, Seq, path
+from .plans.paths import Alt, Inv, Opt, Path, Prop, Seq, parse_path, path
 from .plans.patterns import bindings, pattern_images, pattern_to_shape, triple_pattern
 from .plans.shapes import TOP, AtMost, Closed, Compare, Disj, ForAll, HasValue, Shape, ShapeDef, ShapeSchema, all_of, class_target, exactly, reduce_tests, simplify, some, test
 from .plans.sqlgen import closures, run_sql, sql_size, sql_subgraph
 from .sources.graph import TripleGraph, cut
 from .sources.mapping import build_graph
+from .streaming.events import drain, event_triples, keep_star, once_each, stream_table, window_counts
 from .workloads import PATTERNS, SHAPES, SLICES, contains_slice, hub, hub_request, profile_shapes
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -353,6 +355,10 @@ SQL_OPERATORS = {
     "op_set_equality": "select o_orderkey from orders join (select l_orderkey, count(distinct l_linestatus) as n, min(l_linestatus) as st from lineitem group by l_orderkey) t on l_orderkey = o_orderkey where n = 1 and st = o_orderstatus",
     "op_group_join": "select c_custkey, count(o_orderkey) as n from customer left join orders on o_custkey = c_custkey group by c_custkey",
     "op_string": "select page_id, lower(url) as u, length(url) as n from pages",
+    "op_project_pruned": "select l_orderkey, l_quantity from lineitem where l_discount >= 0.05",
+    "op_join_broadcast": "select /*+ BROADCAST(nation) */ c_custkey, n_name from customer join nation on n_nationkey = c_nationkey",
+    "op_distinct": "select distinct l_partkey, l_suppkey from lineitem",
+    "op_window_range": "select event_id, count(*) over (partition by user_id order by value range between 10 preceding and current row) as n from events",
     "op_math": "select p_partkey, p_size % 7 as r, abs(p_size - 25) as a from part",
 }
 
@@ -361,7 +367,7 @@ def _sql_operator(text: str) -> Query:
     import re
 
     def run(s: SparkSession, d: str) -> DataFrame:
-        names = set(re.findall(r"\b(?:from|join) (region|nation|customer|supplier|part|orders|lineitem|events|documents|pages|labels|conversations)\b", text))
+        names = set(re.findall(r"\b(?:from|join) (region|nation|customer|supplier|part|orders|lineitem|events|documents|embeddings|pages|benchmark|labels|conversations)\b", text))
         for n in names:
             table(s, d, n).createOrReplaceTempView(n)
         return s.sql(text)
@@ -395,6 +401,111 @@ def json_field(s: SparkSession, d: str) -> DataFrame:
     return table(s, d, "events").select("event_id", F.get_json_object("props", "$.k").cast("long").alias("k"))
 
 
+@query("op_explode", "select page_id, unnest(regexp_extract_all(html, 'href=\"(/[^\"]*)\"', 1)) as path from pages")
+def explode_links(s: SparkSession, d: str) -> DataFrame:
+    return table(s, d, "pages").select("page_id", F.explode(F.regexp_extract_all("html", F.lit(r'href="(/[^"]*)"'), 1)).alias("path"))
+
+
+@query("op_date", "select o_orderkey, strftime(o_orderdate, '%Y-%m') as month, cast(date_diff('day', date '1992-01-01', cast(o_orderdate as date)) as bigint) as days from orders")
+def dates(s: SparkSession, d: str) -> DataFrame:
+    since = F.date_diff(F.to_date("o_orderdate"), F.lit("1992-01-01").cast("date"))
+    return table(s, d, "orders").select("o_orderkey", F.date_format("o_orderdate", "yyyy-MM").alias("month"), since.cast("long").alias("days"))
+
+
+@query("op_array", "select vec_id, (select count(*) from unnest(embedding) t(u) where u > 0) as positive, cast(list_max(embedding) as double) as most from embeddings")
+def arrays(s: SparkSession, d: str) -> DataFrame:
+    return table(s, d, "embeddings").select("vec_id", F.size(F.filter("embedding", lambda x: x > 0)).cast("long").alias("positive"), F.array_max("embedding").cast("double").alias("most"))
+
+
+@query("op_map", "select user_id, nullif(count(*) filter (where event_type = 'click'), 0) as clicks from events group by user_id")
+def maps(s: SparkSession, d: str) -> DataFrame:
+    counts = table(s, d, "events").where("event_type is not null").groupBy("user_id", "event_type").agg(F.count("*").alias("n"))
+    by_user = counts.groupBy("user_id").agg(F.map_from_entries(F.collect_list(F.struct("event_type", "n"))).alias("m"))  # one entry per type
+    return by_user.select("user_id", F.try_element_at("m", F.lit("click")).alias("clicks"))
+
+
+@query("op_recursive_class", "select x from (values ('<class/event/error>'), ('<class/SystemEvent>'), ('<class/Event>'), ('<class/Thing>')) t(x)")
+def recursive_class(s: SparkSession, d: str) -> DataFrame:
+    g = build_graph(s, d).restrict(["subClassOf"])
+    return pairs(g, parse_path("subClassOf*"), Engine(g).node_set(["<class/event/error>"])).select("x")
+
+
+@query("op_recursive_reply", "select distinct '<turn/' || a.conv_id || '-' || a.turn || '>' as v, '<turn/' || b.conv_id || '-' || b.turn || '>' as x from conversations a join conversations b on a.conv_id = b.conv_id and b.turn <= a.turn")
+def recursive_reply(s: SparkSession, d: str) -> DataFrame:
+    g = build_graph(s, d)
+    turns = table(s, d, "conversations").select(iri("turn", "conv_id", "turn").alias("v")).distinct()
+    return pairs(g.restrict(["replyTo"]), parse_path("replyTo*"), turns).select("v", "x")
+
+
+@query("op_join_nested_loop", "select item_id, doc_id from benchmark b join documents d on contains(d.text, b.text)")
+def containment(s: SparkSession, d: str) -> DataFrame:
+    """Documents that contain an item: an equi-join on three words inside the item, then the whole text. The words
+    between an item's first and last are whole words wherever it occurs; only items with fewer are compared with all."""
+    key = lambda words, at: F.xxhash64(*(F.get(words, at + k) for k in range(3)))
+    items = table(s, d, "benchmark").select("item_id", F.col("text").alias("item"), F.split("text", r"\s+").alias("words"))
+    docs = table(s, d, "documents").select("doc_id", "text", F.split("text", r"\s+").alias("words"))
+    long, short = items.where(F.size("words") >= 5), items.where(F.size("words") < 5)
+    keyed = docs.where(F.size("words") >= 3).select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(0), F.size("words") - 3), lambda i: key(F.col("words"), i)))).alias("key"))
+    near = keyed.join(long.select("item_id", "item", key(F.col("words"), F.lit(1)).alias("key")), "key").select("item_id", "item", "doc_id").distinct()
+    found = near.join(docs.select("doc_id", "text"), "doc_id").where(F.contains("text", "item")).select("item_id", "doc_id")
+    return found.unionAll(docs.join(short, F.contains(docs["text"], short["item"])).select("item_id", "doc_id"))
+
+
+query("op_majority", SQL["native_N6"])(Q["native_N6"])
+query("op_four_clique", SQL["native_N7"])(Q["native_N7"])
+
+
+@query("op_nodes", f"select {ORDER} as v from orders union select '<cust/' || o_custkey || '>' from orders")
+def graph_nodes(s: SparkSession, d: str) -> DataFrame:
+    return build_graph(s, d).restrict(["placedBy"]).nodes()
+
+
+@query("op_graph_union", f"{SQL['tpf_property']} union select {ORDER}, 'priority', '\"' || o_orderpriority || '\"' from orders")
+def graph_union(s: SparkSession, d: str) -> DataFrame:
+    g = build_graph(s, d)
+    return g.restrict(["placedBy"]).union(g.restrict(["placedBy", "priority"])).triples()
+
+
+@query("op_graph_minus", f"select {ORDER} as s, 'priority' as p, '\"' || o_orderpriority || '\"' as o from orders")
+def graph_minus(s: SparkSession, d: str) -> DataFrame:
+    g = build_graph(s, d)
+    return g.restrict(["placedBy", "priority"]).minus(g.restrict(["placedBy"])).triples()
+
+
+# Streams: replayed events against SQL on the same rows.
+
+
+@query("stream_tumbling", "select date_trunc('hour', ts) as start, event_type, count(*) as n from events group by 1, 2")
+def tumbling(s: SparkSession, d: str) -> DataFrame:
+    counts = window_counts(stream_table(s, d, "events"), F.window("ts", "1 hour"), "event_type")
+    return drain(counts, "tumbling", "complete").select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n")
+
+
+@query("stream_sliding", "select date_trunc('hour', ts) - k * interval 1 hour as start, count(*) as n from events, (values (0), (1)) t(k) group by 1")
+def sliding(s: SparkSession, d: str) -> DataFrame:
+    counts = window_counts(stream_table(s, d, "events"), F.window("ts", "2 hours", "1 hour"))
+    return drain(counts, "sliding", "complete").select(F.col("start").cast("timestamp_ntz").alias("start"), "n")
+
+
+@query("stream_session", "with g as (select user_id, ts, case when ts - lag(ts) over (partition by user_id order by ts) < interval 6 hour then 0 else 1 end as fresh from events), h as (select user_id, ts, sum(fresh) over (partition by user_id order by ts rows unbounded preceding) as k from g) select user_id, min(ts) as start, count(*) as n from h group by user_id, k")
+def session(s: SparkSession, d: str) -> DataFrame:
+    counts = window_counts(stream_table(s, d, "events"), F.session_window("ts", "6 hours"), "user_id")
+    return drain(counts, "session", "complete").select("user_id", F.col("start").cast("timestamp_ntz").alias("start"), "n")
+
+
+@query("stream_once_each", "select distinct event_id from events")
+def stream_distinct(s: SparkSession, d: str) -> DataFrame:
+    return drain(once_each(stream_table(s, d, "events"), "event_id"), "once").select("event_id")
+
+
+@query("stream_star", "select '<event/' || event_id || '>' as v, cast(2 as bigint) as n from events where value > 100")
+def stream_star(s: SparkSession, d: str) -> DataFrame:
+    """Events with a user and a value above 100, kept up to date, with their counts of evidence triples."""
+    shape = some("byUser") & some("value", test("above", 100))
+    seen = keep_star(event_triples(stream_table(s, d, "events")), shape, ["byUser", "value"])
+    return seen.where("ok and evidence").groupBy("v").agg(F.count("*").alias("n"))
+
+
 @query("op_degree")
 def degree(s: SparkSession, d: str) -> DataFrame:
     return build_graph(s, d).restrict(["placedBy", "contains"]).degrees()

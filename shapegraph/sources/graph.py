@@ -16,15 +16,20 @@ TRIPLES = "s string, p string, o string"
 _own: list[str] = []
 
 
-def cut(df: DataFrame, tag: str = "cut") -> DataFrame:
-    """Truncate lineage by a table in the shared folder (``spark.checkpoint.dir``; a temporary one only if unset)."""
-    named = df.sparkSession.conf.get("spark.checkpoint.dir", None)
+def fresh_path(spark: SparkSession, tag: str) -> str:
+    """A new folder below ``spark.checkpoint.dir``; below a temporary one only if that is unset."""
+    named = spark.conf.get("spark.checkpoint.dir", None)
     if not named:
         if not _own:
             _own.append(tempfile.mkdtemp(prefix="shapegraph-"))
             atexit.register(shutil.rmtree, _own[0], True)
         named = f"file://{_own[0]}"
-    path = f"{named}/{tag}-{uuid.uuid4().hex}"
+    return f"{named}/{tag}-{uuid.uuid4().hex}"
+
+
+def cut(df: DataFrame, tag: str = "cut") -> DataFrame:
+    """Truncate lineage by a table in the shared folder."""
+    path = fresh_path(df.sparkSession, tag)
     df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
