@@ -10,10 +10,11 @@ from pyspark.sql import functions as F
 
 from .operators.evidence import Engine
 from .operators.star import is_star, star_window, validate_and_extract_star
-from .plans.paths import path_text
+from .plans.paths import Prop, path_text
 from .plans.patterns import triple_pattern
-from .plans.shapes import AtLeast, AtMost, ForAll, Not, Shape, class_target, conjuncts
-from .sources.graph import TripleGraph
+from .plans.shapes import AtLeast, AtMost, ForAll, Not, Shape, class_target, conjuncts, reduce_tests
+from .plans.sqlgen import closures, run_sql, sql_subgraph
+from .sources.graph import TripleGraph, fresh_path
 
 
 def seconds(run: Callable[[], object], runs: int = 5) -> float:
@@ -42,6 +43,62 @@ def overhead(g: TripleGraph, shapes: dict[str, tuple[str, Shape]], runs: int = 5
     return out
 
 
+def scaling_curve(graphs: list[TripleGraph], klass: str, s: Shape, runs: int = 5) -> list[float]:
+    """Seconds of validation with extraction over each of the growing graphs; the star window where the shape allows it."""
+
+    def once(g: TripleGraph) -> None:
+        target = Engine(g).resolve(class_target(klass))
+        _sink(star_window(g, s, target).where("not ok or evidence") if is_star(s) else Engine(g).evidence(s, target))
+
+    return [seconds(lambda g=g: once(g), runs) for g in graphs]
+
+
+def translation_vs_fused(g: TripleGraph, klass: str, s: Shape, runs: int = 5) -> dict[str, float]:
+    """Seconds of the generated SQL text and of the fused window for one star shape whose node tests are reduced away."""
+    reduced = reduce_tests(s)
+    if not is_star(reduced):
+        raise ValueError("the fused window takes star shapes only")
+    g = TripleGraph(g.spark, {p: x for p, x in g.parts.items() if p in properties_of(reduced) | {"type", "subClassOf"}})
+    text = sql_subgraph([reduced & class_target(klass)], closure=closures(g.restrict(["subClassOf"])))
+    run_sql(g, text)  # registers the views over written tables, which loading is not part of
+    target = Engine(g).resolve(class_target(klass))
+    return {"translated": seconds(lambda: _sink(g.spark.sql(text)), runs), "fused": seconds(lambda: _sink(star_window(g, reduced, target).where("ok and evidence")), runs)}
+
+
+def properties_of(s: Shape) -> set[str]:
+    """Properties of a star shape's paths."""
+    return {c.path.name for c in conjuncts(s) if isinstance(getattr(c, "path", None), Prop)}  # type: ignore[attr-defined]
+
+
+def slice_curve(slices: dict[str, TripleGraph], request: Shape, runs: int = 1) -> dict[str, float]:
+    """Seconds of one request over each slice."""
+    return {name: seconds(lambda g=g: _sink(Engine(g).subgraph(request)), runs) for name, g in slices.items()}
+
+
+def result_bytes(df: DataFrame) -> dict[str, int]:
+    """Rows of a result and bytes of its Parquet files."""
+    spark, path = df.sparkSession, fresh_path(df.sparkSession, "result")
+    df.write.parquet(path)
+    folder = spark._jvm.org.apache.hadoop.fs.Path(path)
+    size = folder.getFileSystem(spark._jsc.hadoopConfiguration()).getContentSummary(folder).getLength()
+    return {"rows": spark.read.parquet(path).count(), "bytes": size}
+
+
+def redundant_triples(g: TripleGraph, s: Shape, node: str, most: int = 50) -> list[tuple[str, str, str]]:
+    """Evidence triples of a node without any one of which the node still conforms; for evidence of ``most`` triples at
+    most, since every triple costs an evaluation (larger evidence raises an error)."""
+    rows = [tuple(r) for r in Engine(g).evidence_of(s, node).select("s", "p", "o").limit(most + 1).collect()]
+    if len(rows) > most:
+        raise ValueError(f"more than {most} triples of evidence")
+    spare = []
+    for gone in rows:
+        left = [r for r in rows if r != gone]
+        engine = Engine(TripleGraph.from_rows(g.spark, left) if left else TripleGraph(g.spark, {}))
+        if not engine.conform(s, engine.node_set([node])).isEmpty():
+            spare.append(gone)
+    return sorted(spare)
+
+
 def classify_growth(times: list[float]) -> str:
     """By the last over the first segment: constant below 1.1, modest below 1.5, else linear."""
     ratio = times[-1] / times[0]
