@@ -58,7 +58,7 @@ def translation_vs_fused(g: TripleGraph, klass: str, s: Shape, runs: int = 5) ->
     reduced = reduce_tests(s)
     if not is_star(reduced):
         raise ValueError("the fused window takes star shapes only")
-    g = TripleGraph(g.spark, {p: x for p, x in g.parts.items() if p in properties_of(reduced) | {"type", "subClassOf"}})
+    g = g.restrict(properties_of(reduced) | {"type", "subClassOf"})
     text = sql_subgraph([reduced & class_target(klass)], closure=closures(g.restrict(["subClassOf"])))
     run_sql(g, text)  # registers the views over written tables, which loading is not part of
     target = Engine(g).resolve(class_target(klass))

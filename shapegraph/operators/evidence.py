@@ -8,13 +8,14 @@ from __future__ import annotations
 
 from functools import reduce
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.terms import is_literal, language
 from ..plans.paths import Alt, IdPath, Inv, Path, Prop
 from ..plans.shapes import And, AtLeast, AtMost, Bottom, Closed, Compare, Disj, Eq, ForAll, HasShape, HasValue, Not, Or, Shape, ShapeSchema, Test, Top, UniqueLang, conjuncts, constants, cost, negate, to_nnf
-from ..sources.graph import TripleGraph, cut
+from ..sources.graph import TripleGraph, cut, local
 from .reach import ends, pairs, sources_of, trace_pairs, trace_sets
 
 
@@ -25,7 +26,7 @@ class Engine:
     # Node sets.
 
     def node_set(self, nodes: set[str] | list[str]) -> DataFrame:
-        return self.g.spark.createDataFrame([(n,) for n in nodes], "v string")
+        return local(self.g.spark, [(n,) for n in nodes], v=pa.string())
 
     def universe(self, *shapes: Shape) -> DataFrame:
         """Nodes of the graph and constants of the shapes; nodes elsewhere have no evidence."""
@@ -152,7 +153,7 @@ class Engine:
         return self._evidence(nnf, cut(self._conform(nnf, v), "nodes"), tagged).distinct()
 
     def _empty(self, tagged: bool) -> DataFrame:
-        return self.g.spark.createDataFrame([], "v string, s string, p string, o string" if tagged else "s string, p string, o string")
+        return local(self.g.spark, [], **dict.fromkeys("vspo" if tagged else "spo", pa.string()))
 
     def _evidence(self, s: Shape, v: DataFrame, tagged: bool) -> DataFrame:
         """Of nodes that all satisfy the (normal) shape."""
@@ -211,13 +212,18 @@ class Engine:
     def _along(self, e: Path, x: Shape, v: DataFrame, tagged: bool) -> DataFrame:
         """Paths to the ends that satisfy x, and the evidence of those ends."""
         if tagged:
-            good = self._good_pairs(e, x, v)
+            good = self._kept(self._good_pairs(e, x, v), x)
             inner = self._evidence(x, good.select(F.col("x").alias("v")).distinct(), True)
             carried = good.join(inner.withColumnRenamed("v", "x"), "x").select("v", "s", "p", "o")
             return trace_pairs(self.g, e, good).unionAll(carried)
-        good = self._conform(x, ends(self.g, e, v))
+        good = self._kept(self._conform(x, ends(self.g, e, v)), x)
         return trace_sets(self.g, e, v, good).unionAll(self._evidence(x, good, False))
 
+    def _kept(self, good: DataFrame, x: Shape) -> DataFrame:
+        """Written once if x has evidence of its own: each nested path reads its ends several times."""
+        plain = isinstance(x, Top | Bottom | Test | HasValue) or (isinstance(x, Not) and isinstance(x.shape, Test | HasValue))
+        return good if plain else cut(good, "ends")
+
     # Requests.
 
     def evidence_of(self, s: Shape, node: str) -> DataFrame:
@@ -249,7 +255,7 @@ class Engine:
                 bad = target.join(self.conform(part, target), "v", "left_anti")
                 where = str(getattr(part, "path", ""))
                 found.append(bad.select(F.lit(d.name).alias("shape"), F.col("v").alias("focus"), F.lit(type(part).__name__ if detail else "shape").alias("component"), F.lit(where if detail else "").alias("path"), F.lit(str(i) if detail else "").alias("value"), F.lit("does not conform").alias("message")))
-        empty = self.g.spark.createDataFrame([], "shape string, focus string, component string, path string, value string, message string")
+        empty = local(self.g.spark, [], **dict.fromkeys(("shape", "focus", "component", "path", "value", "message"), pa.string()))
         return reduce(DataFrame.unionAll, found, empty)
 
     def conforms(self) -> bool:

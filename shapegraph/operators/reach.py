@@ -1,21 +1,26 @@
 """Path reach and traces over position automata.
 
 Node sets per automaton state, never enumerated paths. ``keys`` is ["v"] when results carry their focus node and []
-when only the union counts; without it sets stay linear in the graph. Loop-free automata unroll into one plan; others
-run semi-naive rounds, each cut to the shared folder.
+when only the union counts; without it sets stay linear in the graph. States outside loops unroll into one plan. A loop
+over vocabulary (subclass links) becomes one join with its closure, computed once within a size bound; any other loop runs
+semi-naive rounds, each cut to the shared folder.
 """
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import reduce
 
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.paths import Alt, Automaton, IdPath, Path, compile_path
-from ..sources.graph import TripleGraph, cut
+from ..sources.graph import TripleGraph, cut, local
 
 MOST_ROUNDS = 10_000
+#: Most rows of a closure that is broadcast.
+MOST_CLOSURE = 200_000
 
 
 def _step(g: TripleGraph, leaf: tuple[str, bool]) -> DataFrame:
@@ -25,33 +30,73 @@ def _step(g: TripleGraph, leaf: tuple[str, bool]) -> DataFrame:
     return t.select(F.col(tail).alias("tail"), F.col(head).alias("head"))
 
 
+def _closure(g: TripleGraph, a: Automaton, inner: list[tuple[int, int]], backward: bool) -> DataFrame | None:
+    """q, x, r, y: all that one or more steps inside a loop reach, if the loop's properties are vocabulary and the closure
+    has ``MOST_CLOSURE`` rows at most; else None."""
+    onward: dict[tuple[int, str], set[tuple[int, str]]] = {}
+    for b, c in inner:
+        name, inverse = a.leaves[(b if backward else c) - 1]
+        rows = g.vocabulary_rows(name)
+        if rows is None:
+            return None
+        for s, o in rows:
+            x, y = (o, s) if inverse != backward else (s, o)
+            onward.setdefault((b, x), set()).add((c, y))
+    found = []
+    for first in onward:
+        seen: set[tuple[int, str]] = set()
+        frontier = {first}
+        while frontier:
+            frontier = set().union(*(onward.get(n, set()) for n in frontier)) - seen
+            seen |= frontier
+        found += [(*first, *n) for n in seen]
+        if len(found) > MOST_CLOSURE:
+            return None
+    return local(g.spark, found, q=pa.int32(), x=pa.string(), r=pa.int32(), y=pa.string())
+
+
 def _levels(g: TripleGraph, a: Automaton, start: dict[int, DataFrame], keys: list[str], backward: bool = False) -> dict[int, DataFrame]:
     """Nodes (column x, beside the keys) of every state, from the start sets along the automaton (or against it)."""
-    edges = [(b, c) for b, c in a.edges]
 
     def onward(frontier: DataFrame, source: int, target: int) -> DataFrame:
         step = _step(g, a.leaves[(source if backward else target) - 1])
         near, far = ("head", "tail") if backward else ("tail", "head")
         return frontier.join(step, frontier["x"] == step[near]).select(*keys, F.col(far).alias("x")).distinct()
 
-    moves = [(c, b) for b, c in edges] if backward else edges
-    order = a.order()
-    if order is not None:
-        levels: dict[int, DataFrame] = {}
-        for q in reversed(order) if backward else order:
+    moves = [(c, b) for b, c in a.edges] if backward else list(a.edges)
+    groups = a.components()
+    columns = ["q", *keys, "x"]
+    levels: dict[int, DataFrame] = {}
+    for group in reversed(groups) if backward else groups:
+        entered: dict[int, DataFrame] = {}
+        for q in group:
             sets = [start[q]] if q in start else []
-            sets += [onward(levels[b], b, c) for b, c in moves if c == q and b in levels]
+            sets += [onward(levels[b], b, c) for b, c in moves if c == q and b not in group and b in levels]
             if sets:
-                levels[q] = reduce(DataFrame.unionAll, sets).distinct() if len(sets) > 1 else sets[0]
-        return levels
-    columns = ["q", *keys, "x"]
-    seen = cut(reduce(DataFrame.unionAll, [d.withColumn("q", F.lit(q)).select(*columns) for q, d in start.items()]).distinct(), "reach")
-    frontier = seen
+                entered[q] = reduce(DataFrame.unionAll, sets).distinct() if len(sets) > 1 else sets[0]
+        if not entered or not a.loops(group):
+            levels |= entered
+            continue
+        inner = [(b, c) for b, c in moves if b in group and c in group]
+        entry = reduce(DataFrame.unionAll, [d.withColumn("q", F.lit(q)).select(*columns) for q, d in entered.items()])
+        closure = _closure(g, a, inner, backward)
+        if closure is not None:
+            reached = entry.join(F.broadcast(closure), ["q", "x"]).select(F.col("r").alias("q"), *keys, F.col("y").alias("x"))
+            seen = entry.unionAll(reached).distinct()
+        else:
+            seen = _rounds(entry, inner, onward, columns)
+        levels |= {q: seen.where(F.col("q") == q).drop("q") for q in group}
+    return levels
+
+
+def _rounds(entry: DataFrame, inner: list[tuple[int, int]], onward: Callable[[DataFrame, int, int], DataFrame], columns: list[str]) -> DataFrame:
+    """Semi-naive rounds inside a loop until a round finds nothing new."""
+    seen = frontier = cut(entry.distinct(), "reach")
     for _ in range(MOST_ROUNDS):
-        found = [onward(frontier.where(F.col("q") == b), b, c).withColumn("q", F.lit(c)).select(*columns) for b, c in moves]
+        found = [onward(frontier.where(F.col("q") == b), b, c).withColumn("q", F.lit(c)).select(*columns) for b, c in inner]
         frontier = cut(reduce(DataFrame.unionAll, found).distinct().join(seen, columns, "left_anti"), "reach")
         if frontier.isEmpty():
-            return {q: seen.where(F.col("q") == q).drop("q") for q in a.states}
+            return seen
         seen = seen.unionAll(frontier)
     raise RuntimeError(f"reach did not end within {MOST_ROUNDS} rounds")
 

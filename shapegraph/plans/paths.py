@@ -112,17 +112,25 @@ class Automaton:
     def states(self) -> range:
         return range(len(self.leaves) + 1)
 
+    def components(self) -> list[frozenset[int]]:
+        """Sets of states that reach each other, in topological order."""
+        after = {q: {c for b, c in self.edges if b == q} for q in self.states}
+        for via in self.states:
+            for q in self.states:
+                if via in after[q]:
+                    after[q] |= after[via]
+        groups = {frozenset({q} | {r for r in after[q] if q in after[r]}) for q in self.states}
+        # A group comes after all groups that reach it, and those have fewer states before them.
+        before = {x: sum(1 for q in self.states if q not in x and after[q] & x) for x in groups}
+        return sorted(groups, key=lambda x: (before[x], min(x)))
+
+    def loops(self, group: frozenset[int]) -> bool:
+        return any(b in group and c in group for b, c in self.edges)
+
     def order(self) -> list[int] | None:
         """States in topological order, or None if the automaton has a loop."""
-        seen: list[int] = []
-        left = set(self.states)
-        while left:
-            free = [q for q in sorted(left) if not any(b == q and a in left for a, b in self.edges)]
-            if not free:
-                return None
-            seen += free
-            left -= set(free)
-        return seen
+        groups = self.components()
+        return None if any(map(self.loops, groups)) else [q for x in groups for q in x]
 
 
 def compile_path(e: Path) -> Automaton:

@@ -6,13 +6,16 @@ import atexit
 import shutil
 import tempfile
 import uuid
-from collections.abc import Iterable
+from collections.abc import Iterable, Sequence
 from functools import reduce
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 TRIPLES = "s string, p string, o string"
+#: Most rows of a property of the vocabulary, such as subclass links, that the driver may hold.
+MOST_VOCABULARY = 20_000
 _own: list[str] = []
 
 
@@ -34,11 +37,27 @@ def cut(df: DataFrame, tag: str = "cut") -> DataFrame:
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
+def local(spark: SparkSession, rows: Iterable[Sequence[object]], **columns: pa.DataType) -> DataFrame:
+    """Rows that the driver holds as a local relation: the optimizer knows their size and prunes what joins with none."""
+    rows = list(rows)
+    return spark.createDataFrame(pa.table({c: pa.array([r[i] for r in rows], t) for i, (c, t) in enumerate(columns.items())}))
+
+
 class TripleGraph:
-    """parts: property -> DataFrame[s, o] with distinct rows."""
+    """parts: property -> DataFrame[s, o] with distinct rows; vocabulary: properties whose size belongs to the schema."""
+
+    def __init__(self, spark: SparkSession, parts: dict[str, DataFrame], vocabulary: frozenset[str] = frozenset()):
+        self.spark, self.parts, self.vocabulary = spark, parts, vocabulary
+        self._rows: dict[str, list[tuple[str, str]] | None] = {}
 
-    def __init__(self, spark: SparkSession, parts: dict[str, DataFrame]):
-        self.spark, self.parts = spark, parts
+    def vocabulary_rows(self, p: str) -> list[tuple[str, str]] | None:
+        """All rows of a vocabulary property, or None for other properties and for those of more than ``MOST_VOCABULARY``."""
+        if p not in self.vocabulary:
+            return None
+        if p not in self._rows:
+            rows = [(r["s"], r["o"]) for r in self.prop(p).limit(MOST_VOCABULARY + 1).collect()]
+            self._rows[p] = rows if len(rows) <= MOST_VOCABULARY else None
+        return self._rows[p]
 
     @classmethod
     def of(cls, df: DataFrame, properties: Iterable[str] | None = None) -> TripleGraph:
@@ -50,21 +69,21 @@ class TripleGraph:
     @classmethod
     def from_rows(cls, spark: SparkSession, rows: Iterable[tuple[str, str, str]]) -> TripleGraph:
         rows = list(rows)
-        return cls.of(spark.createDataFrame(rows, TRIPLES), sorted({r[1] for r in rows}))
+        return cls.of(local(spark, rows, s=pa.string(), p=pa.string(), o=pa.string()), sorted({r[1] for r in rows}))
 
     def prop(self, p: str) -> DataFrame:
-        return self.parts[p] if p in self.parts else self.spark.createDataFrame([], "s string, o string")
+        return self.parts[p] if p in self.parts else local(self.spark, [], s=pa.string(), o=pa.string())
 
     def triples(self, properties: Iterable[str] | None = None) -> DataFrame:
         named = [x.select("s", F.lit(p).alias("p"), "o") for p, x in self.parts.items() if properties is None or p in set(properties)]
-        return reduce(DataFrame.unionAll, named) if named else self.spark.createDataFrame([], TRIPLES)
+        return reduce(DataFrame.unionAll, named) if named else local(self.spark, [], s=pa.string(), p=pa.string(), o=pa.string())
 
     def nodes(self) -> DataFrame:
         t = self.triples()
         return t.select(F.col("s").alias("v")).union(t.select("o")).distinct()
 
     def cached(self) -> TripleGraph:
-        return TripleGraph(self.spark, {p: cut(x, "graph") for p, x in self.parts.items()})
+        return TripleGraph(self.spark, {p: cut(x, "graph") for p, x in self.parts.items()}, self.vocabulary)
 
     def union(self, other: TripleGraph) -> TripleGraph:
         names = {**self.parts, **other.parts}
@@ -82,7 +101,7 @@ class TripleGraph:
         return TripleGraph(self.spark, {p: x.join(s, "s", "left_semi").join(o, "o", "left_semi").select("s", "o") for p, x in self.parts.items()})
 
     def restrict(self, properties: Iterable[str]) -> TripleGraph:
-        return TripleGraph(self.spark, {p: self.parts[p] for p in properties if p in self.parts})
+        return TripleGraph(self.spark, {p: self.parts[p] for p in properties if p in self.parts}, self.vocabulary)
 
     def stats(self) -> DataFrame:
         return self.triples().groupBy("p").agg(F.count("*").alias("triples"), F.approx_count_distinct("s").alias("subjects"), F.approx_count_distinct("o").alias("objects"))

@@ -2,12 +2,13 @@
 
 from __future__ import annotations
 
+import pyarrow
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.terms import day, decimal, integer, iri, literal, moment, tagged, text
-from .graph import TripleGraph
+from .graph import TripleGraph, local
 
 LINE = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
 
@@ -59,7 +60,7 @@ def build_graph(spark: SparkSession, sf_dir: str) -> TripleGraph:
     page_lang = F.regexp_extract("html", r'<html lang="([a-z]+)"', 1)
     parts = {
         "type": type_part,
-        "subClassOf": spark.createDataFrame(sub, "s string, o string").union(part_classes),
+        "subClassOf": local(spark, sub, s=pyarrow.string(), o=pyarrow.string()).union(part_classes),
         "name": names,
         "inRegion": rows(t("nation"), iri("nation", "n_nationkey"), iri("region", "n_regionkey")),
         "inNation": rows(cust, c, iri("nation", "c_nationkey")).unionAll(rows(supp, su, iri("nation", "s_nationkey"))),
@@ -105,4 +106,4 @@ def build_graph(spark: SparkSession, sf_dir: str) -> TripleGraph:
         "chars": rows(turns, tu, integer(F.length("text"))),
         "replyTo": rows(replied, tu, iri("turn", "conv_id", "previous")),
     }
-    return TripleGraph(spark, parts)
+    return TripleGraph(spark, parts, frozenset({"subClassOf"}))
