@@ -55,15 +55,25 @@ def _closure(g: TripleGraph, a: Automaton, inner: list[tuple[int, int]], backwar
     return local(g.spark, found, q=pa.int32(), x=pa.string(), r=pa.int32(), y=pa.string())
 
 
-def _levels(g: TripleGraph, a: Automaton, start: dict[int, DataFrame], keys: list[str], backward: bool = False) -> dict[int, DataFrame]:
-    """Nodes (column x, beside the keys) of every state, from the start sets along the automaton (or against it)."""
+Walks = dict[tuple[int, int], DataFrame]
+
+
+def _levels(g: TripleGraph, a: Automaton, start: dict[int, DataFrame], keys: list[str], backward: bool = False, walks: Walks | None = None) -> dict[int, DataFrame]:
+    """Nodes (column x, beside the keys) of every state, from the start sets along the automaton (or against it).
+
+    Against it, ``walks`` (keys, tail, head of each edge, from an earlier pass along it) are all that may be walked: an end
+    that many nodes share, such as a flag, then leads back only to nodes of its own focus."""
+    walks = dict(walks) if walks is not None else None
 
     def onward(frontier: DataFrame, source: int, target: int) -> DataFrame:
+        if walks is not None:
+            walked = walks[target, source].join(frontier.withColumnRenamed("x", "head"), [*keys, "head"], "left_semi")
+            return walked.select(*keys, F.col("tail").alias("x")).distinct()
         step = _step(g, a.leaves[(source if backward else target) - 1])
         near, far = ("head", "tail") if backward else ("tail", "head")
         return frontier.join(step, frontier["x"] == step[near]).select(*keys, F.col(far).alias("x")).distinct()
 
-    moves = [(c, b) for b, c in a.edges] if backward else list(a.edges)
+    moves = [(c, b) for b, c in a.edges if walks is None or (b, c) in walks] if backward else list(a.edges)
     groups = a.components()
     columns = ["q", *keys, "x"]
     levels: dict[int, DataFrame] = {}
@@ -84,6 +94,8 @@ def _levels(g: TripleGraph, a: Automaton, start: dict[int, DataFrame], keys: lis
             reached = entry.join(F.broadcast(closure), ["q", "x"]).select(F.col("r").alias("q"), *keys, F.col("y").alias("x"))
             seen = entry.unionAll(reached).distinct()
         else:
+            if walks is not None:
+                walks |= {(b, c): cut(walks[b, c], "walks") for c, b in inner}
             seen = _rounds(entry, inner, onward, columns)
         levels |= {q: seen.where(F.col("q") == q).drop("q") for q in group}
     return levels
@@ -134,20 +146,17 @@ def trace(g: TripleGraph, e: Path, start: DataFrame, stop: DataFrame, keys: list
     """Triples on paths of ``e`` from start to stop nodes (column x, beside the keys): s, p, o beside the keys."""
     a = compile_path(e)
     ahead = _levels(g, a, {0: start}, keys)
-    back = _levels(g, a, dict.fromkeys(a.accepting, stop), keys, backward=True)
-    found = []
+    walks: Walks = {}
     for b, c in a.edges:
-        if b not in ahead or c not in back:
-            continue
-        name, inverse = a.leaves[c - 1]
-        t = g.prop(name)
-        tail, head = ("o", "s") if inverse else ("s", "o")
-        near, far = ahead[b].withColumnRenamed("x", tail), back[c].withColumnRenamed("x", head)
-        if keys:
-            rows = t.join(near, tail).join(far, [*keys, head])
-        else:
-            rows = t.join(near, tail, "left_semi").join(far, head, "left_semi")
-        found.append(rows.select(*keys, "s", F.lit(name).alias("p"), "o"))
+        if b in ahead:
+            walks[b, c] = _step(g, a.leaves[c - 1]).join(ahead[b].withColumnRenamed("x", "tail"), "tail", "inner" if keys else "left_semi").select(*keys, "tail", "head")
+    back = _levels(g, a, dict.fromkeys(a.accepting, stop), keys, backward=True, walks=walks)
+    found = []
+    for (b, c), walked in walks.items():
+        if c in back:
+            name, inverse = a.leaves[c - 1]
+            rows = walked.join(back[c].withColumnRenamed("x", "head"), [*keys, "head"], "left_semi")
+            found.append(rows.select(*keys, F.col("head" if inverse else "tail").alias("s"), F.lit(name).alias("p"), F.col("tail" if inverse else "head").alias("o")))
     empty = g.triples([]).select(*(F.col("s").alias(k) for k in keys), "s", "p", "o")
     return _union(found, empty)
 
