@@ -49,7 +49,12 @@ CUST = "'<cust/' || c_custkey || '>'"
 LINE = "'<line/' || l_orderkey || '-' || l_linenumber || '-' || l_partkey || '-' || l_suppkey || '-' || strftime(l_shipdate, '%Y%m%d') || '>'"
 HOME = "select distinct o_custkey from orders join lineitem on l_orderkey = o_orderkey join supplier on s_suppkey = l_suppkey join customer on c_custkey = o_custkey where s_nationkey = c_nationkey"
 E6_ORDERS = f"with l as (select distinct l_orderkey as ok, {LINE} as line, l_returnflag as flag from lineitem), good as (select ok from l group by ok having sum(case when flag <> 'R' then 1 else 0 end) <= 1)"
+PROMO = f"with m as (select o_orderkey, {LINE} as line, p_partkey from orders join lineitem on l_orderkey = o_orderkey join part on p_partkey = l_partkey where split_part(p_type, ' ', 1) = 'PROMO')"
+TYPED_CUSTOMERS = f"select {CUST} as s, 'type' as p, '<class/seg/' || c_mktsegment || '>' as o from good union all select distinct '<class/seg/' || c_mktsegment || '>', 'subClassOf', '<class/Customer>' from good"
+LATE = f"with m as (select distinct {LINE} as line, {ORDER} as ord, cast(o_orderdate as date) as od, cast(l_shipdate as date) as sd from lineitem join orders on o_orderkey = l_orderkey where cast(o_orderdate as date) >= cast(l_shipdate as date))"
 NODES_SQL = {
+    "E2": f"{PROMO} select distinct {ORDER} as v from m",
+    "E3": f"select {CUST} as v from customer",
     "E4": f"select '<cust/' || o_custkey || '>' as v from ({HOME})",
     "E4n": f"select {CUST} as v from customer where c_custkey not in ({HOME})",
     "E5": "select '<doc/' || min(doc_id) || '>' as v from documents group by text",
@@ -64,6 +69,16 @@ NODES_SQL = {
     "E15": "select '<turn/' || c.conv_id || '-' || c.turn || '>' as v from conversations c where exists (select 1 from conversations d where d.conv_id = c.conv_id and d.turn <= c.turn and d.role = 'system')",
 }
 EVIDENCE_SQL = {
+    "E2": f"{PROMO} select distinct {ORDER} as s, 'type' as p, '<class/Order>' as o from m union select {ORDER}, 'hasLine', line from m union select line, 'ofPart', '<part/' || p_partkey || '>' from m union select '<part/' || p_partkey || '>', 'type', '<class/part/PROMO>' from m",
+    "E3": f"with good as (select * from customer) {TYPED_CUSTOMERS} union all select {CUST}, 'inNation', '<nation/' || c_nationkey || '>' from good union all select '<nation/' || n_nationkey || '>', 'name', '\"' || n_name || '\"' from nation where n_nationkey in (select c_nationkey from good)",
+    "E4": f"with m as (select c_custkey, c_mktsegment, c_nationkey, o_orderkey, {LINE} as line, s_suppkey from orders join lineitem on l_orderkey = o_orderkey join supplier on s_suppkey = l_suppkey join customer on c_custkey = o_custkey where s_nationkey = c_nationkey), good as (select distinct c_custkey, c_mktsegment, c_nationkey from m) {TYPED_CUSTOMERS} union all select {CUST}, 'inNation', '<nation/' || c_nationkey || '>' from good union all select distinct {ORDER}, 'placedBy', {CUST} from m union all select distinct {ORDER}, 'hasLine', line from m union all select distinct line, 'fromSupplier', '<supp/' || s_suppkey || '>' from m union all select distinct '<supp/' || s_suppkey || '>', 'inNation', '<nation/' || c_nationkey || '>' from m",
+    "E4n": f"with good as (select * from customer where c_custkey not in ({HOME})) {TYPED_CUSTOMERS}",
+    "E11": f"select v as s, 'type' as p, '<class/LineItem>' as o from ({NODES_SQL['E11']})",
+    "E11n": f"{LATE} select line as s, 'type' as p, '<class/LineItem>' as o from m union select ord, 'hasLine', line from m union select ord, 'orderedOn', '\"' || strftime(od, '%Y-%m-%d') || '\"^^date' from m union select line, 'shippedOn', '\"' || strftime(sd, '%Y-%m-%d') || '\"^^date' from m",
+    "E13": f"select v as s, 'type' as p, '<class/Document>' as o from ({NODES_SQL['E13']})",
+    "E13n": f"select v as s, 'type' as p, '<class/Document>' as o from ({NODES_SQL['E13n']}) union all select '<doc/' || doc_id || '>', 'quality', '\"' || quality || '\"^^integer' from labels union all select '<doc/' || doc_id || '>', 'toxic', '\"' || toxic || '\"^^integer' from labels",
+    "E14": f"with good as ({NODES_SQL['E14']}), l as (select distinct {ORDER} as v, {LINE} as line, l_linestatus as st, o_orderstatus as os from lineitem join orders on o_orderkey = l_orderkey), m as (select l.* from l join good on good.v = l.v) select distinct v as s, 'type' as p, '<class/Order>' as o from m union select v, 'status', '\"' || os || '\"' from m union select v, 'hasLine', line from m union select line, 'lineStatus', '\"' || st || '\"' from m",
+    "E15": "with t as (select conv_id, turn, role, lag(turn) over (partition by conv_id order by turn) as previous, min(case when role = 'system' then turn end) over (partition by conv_id) as first_system from conversations) select '<turn/' || conv_id || '-' || turn || '>' as s, 'role' as p, '\"system\"' as o from t where role = 'system' union select '<turn/' || conv_id || '-' || turn || '>', 'replyTo', '<turn/' || conv_id || '-' || previous || '>' from t where turn > first_system",
     "E6": f"{E6_ORDERS} select '<order/' || ok || '>' as s, 'type' as p, '<class/Order>' as o from good union all select '<order/' || l.ok || '>', 'hasLine', line from l join good on l.ok = good.ok union all select line, 'flag', '\"R\"' from l join good on l.ok = good.ok where flag = 'R'",
     "E5": "select '<doc/' || id || '>' as s, p, o from (select min(doc_id) as id from documents group by text), (select 'type' as p, '<class/Document>' as o union all select 'canonical', null) where o is not null union all select '<doc/' || min(doc_id) || '>', 'canonical', '<doc/' || min(doc_id) || '>' from documents group by text",
     "E9": f"with l as (select distinct l_orderkey as ok, {LINE} as line, l_linestatus as st from lineitem), good as (select o_orderkey as ok from orders where o_orderkey not in (select ok from l where st <> 'F')) select '<order/' || ok || '>' as s, 'type' as p, '<class/Order>' as o from good union all select '<order/' || l.ok || '>', 'hasLine', line from l join good on l.ok = good.ok union all select line, 'lineStatus', '\"F\"' from l join good on l.ok = good.ok",
