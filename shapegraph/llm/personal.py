@@ -27,12 +27,13 @@ IP = re.compile(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)")
 CARD = re.compile(r"[0-9]([\x20-]?[0-9])+")
 PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
 _DIGIT = re.compile("[0-9]")
-#: Tokens that can be anything but "other" hold a digit or an at sign, or are long mixed strings, or stand beside one.
 _TOKEN = re.compile(r"\S+")
 _CUE = re.compile(r"[0-9@]")
+#: What of a labelled run becomes a span: every match, so that no labelled item is left.
 _SECRET = re.compile(r"[A-Za-z0-9+/=_-]{12,}")
-_NUMBER = re.compile(r"[(+]?[0-9][0-9 ().-]*[0-9]")
-_MAIL = re.compile(r"[A-Za-z0-9][A-Za-z0-9._%+\[\]@ -]*[A-Za-z]")
+_NUMBER = re.compile(r"[(+]?[0-9](?:[0-9 ().-]*[0-9])?")
+_MAIL = re.compile(r"[^\W_](?:[\w.%+\[\]()@ -]*[^\W_])?")
+_CORE = re.compile(r"[^\W_](?:.*[^\W_])?", re.S)
 
 Span = tuple[int, int, str]
 
@@ -67,11 +68,20 @@ _CLASS = str.maketrans({**{c: "d" for c in "0123456789"}, **{c: "x" for c in "ab
 _RUN = re.compile(r"(.)\1+", re.S)
 
 
+def cue_of(token: str) -> str:
+    return CUES.get(token.lower().strip(".,;:!?") or token, "-")
+
+
+def loud(token: str) -> bool:
+    """Has a feature other than those of a plain word: a digit, an at sign or a cue."""
+    return _CUE.search(token) is not None or cue_of(token) != "-"
+
+
 def token_features(token: str) -> tuple[str, ...]:
     """Features of one token: its cue word, collapsed shape, length class, share of digits, and mixtures."""
     core = token.strip(".,;:!?\"'()[]{}<>#*&%$|")
     digits = sum("0" <= c <= "9" for c in core)
-    found = [f"cue={CUES.get(token.lower().strip('.,;:!?') or token, '-')}"]
+    found = [f"cue={cue_of(token)}"]
     if not digits and "@" not in core:
         return (*found, "plain", f"long={len(core) > 24}")
     shape = _RUN.sub(r"\1", core.translate(_CLASS))
@@ -198,22 +208,64 @@ def trained() -> Field:
     return Field(labelled_table())
 
 
-#: A token this near (in tokens) to one with a digit or at sign is scored; all others have only "plain" features.
+#: Tokens this near (in tokens) to a loud one are scored. With the trained weights no best labelling leaves "other" for
+#: two plain words in a row that have plain neighbours, so 2 is enough; a field of other weights may need more.
 REACH = 4
 
 
-def field_spans(texts: list[str], field: Field) -> list[list[Span]]:
-    """Spans that the field labels, for each text; runs of all texts are decoded together by length."""
+def labelled_spans(text: str, kind: str, spots: list[tuple[int, int]], base: list[Span]) -> list[Span]:
+    """The spans of one run of tokens labelled ``kind``, outside the base spans.
+
+    Secrets end with their token; the part of one that a base span leaves is still secret. Of the other kinds, a token
+    that a base span touches is already found, and it parts the run.
+    """
+    near = [s for s in base if s[0] < spots[-1][1] and spots[0][0] < s[1]]
+    parts: list[tuple[int, int]] = []
+    if kind == "secret":
+        for a, b in spots:
+            for c, d, _ in near:
+                if c < b and a < d:
+                    parts.append((a, c))
+                    a = max(a, d)
+            parts.append((a, b))
+    else:
+        joined = False
+        for a, b in spots:
+            free = all(b <= c or d <= a for c, d, _ in near)
+            if free and joined:
+                parts[-1] = (parts[-1][0], b)
+            elif free:
+                parts.append((a, b))
+            joined = free
+    pattern = {"secret": _SECRET, "email": _MAIL}.get(kind, _NUMBER)
+    out: list[Span] = []
+    for a, b in parts:
+        if a < b:
+            found = list(pattern.finditer(text, a, b))
+            if kind == "secret" and not found:
+                found = list(_CORE.finditer(text, a, b))
+            out += [(*m.span(), kind) for m in found]
+    return out
+
+
+def field_spans(texts: list[str], field: Field, bases: list[list[Span]], reach: int | None = REACH) -> list[list[Span]]:
+    """Spans that the field labels outside the base spans, for each text; runs of all texts are decoded together by length.
+
+    ``reach`` None scores every token.
+    """
     runs: dict[int, list[tuple[int, list[tuple[int, int]], np.ndarray]]] = {}
     for d, text in enumerate(texts):
-        if not _CUE.search(text) and "(at)" not in text and "[at]" not in text:
+        tokens = text.split()
+        if reach is None:
+            near = set(range(len(tokens)))
+        else:
+            near = set()
+            for t, token in enumerate(tokens):
+                if loud(token):
+                    near.update(range(max(0, t - reach), min(len(tokens), t + reach + 1)))
+        if not near:
             continue
         spots = [m.span() for m in _TOKEN.finditer(text)]
-        tokens = [text[a:b] for a, b in spots]
-        near: set[int] = set()
-        for t, token in enumerate(tokens):
-            if _CUE.search(token) or token in ("(at)", "[at]"):
-                near.update(range(max(0, t - REACH), min(len(tokens), t + REACH + 1)))
         run: list[tuple[int, np.ndarray]] = []
 
         def close(run=run, d=d, spots=spots):
@@ -237,24 +289,16 @@ def field_spans(texts: list[str], field: Field) -> list[list[Span]]:
             for t in range(1, len(row) + 1):
                 if t == len(row) or row[t] != row[start]:
                     if row[start]:
-                        kind = LABELS[row[start]]
-                        a, b = spots[start][0], spots[t - 1][1]
-                        core = {"secret": _SECRET, "email": _MAIL}.get(kind, _NUMBER).search(texts[d], a, b)
-                        if core:
-                            out[d].append((*core.span(), kind))
+                        out[d] += labelled_spans(texts[d], LABELS[row[start]], spots[start:t], bases[d])
                     start = t
-    return out
+    return [sorted(spans) for spans in out]
 
 
 def find_personal(texts: list[str], field: Field | None = None) -> list[tuple[list[Span], list[Span]]]:
     """(base spans, all spans) of each text; an added span overlaps no base span."""
-    added = field_spans(texts, field or trained())
-    out = []
-    for text, more in zip(texts, added, strict=True):
-        base = base_spans(text)
-        new = [s for s in more if all(s[1] <= b[0] or b[1] <= s[0] for b in base)]
-        out.append((base, sorted(base + new, key=lambda s: (s[0], KINDS.index(s[2])))))
-    return out
+    bases = [base_spans(text) for text in texts]
+    added = field_spans(texts, field or trained(), bases)
+    return [(base, sorted(base + new, key=lambda s: (s[0], KINDS.index(s[2])))) for base, new in zip(bases, added, strict=True)]
 
 
 def shown(spans: list[Span]) -> str:

@@ -159,6 +159,35 @@ def test_personal(docs, none):
     assert [s[2] for s in held] == ["secret"]
 
 
+def test_every_labelled_item_becomes_a_span():
+    one, two = "9f86d081884c7d659a2feaa0c55ad015a3bf4f1b", "60303ae22b998861bce3b28f33eec1be758a213c"
+    for gap in (" ", "\n"):
+        text = f"{one}{gap}{two}"
+        spans = personal.find_personal([text])[0][1]
+        assert spans == [(0, 40, "secret"), (41, 81, "secret")] and personal.redact(text, spans) == f"[SECRET]{gap}[SECRET]"
+    for mail in ("erla (at) onde (dot) com", "erla (AT) onde (DOT) com"):
+        text = f"the {mail} an"
+        assert personal.redact(text, personal.find_personal([text])[0][1]) == "the [EMAIL] an"
+    # A base span parts a run; what it leaves of a secret is still one, and the mail beside it is not lost with it.
+    text = f"{one} a.b@c.example.com erla (at) onde (dot) com"
+    base = personal.base_spans(text)
+    tokens = [m.span() for m in personal._TOKEN.finditer(text)][1:]
+    assert personal.labelled_spans(text, "email", tokens, base) == [(text.index("erla"), len(text), "email")]
+    glued = f"{one},a.b@c.example.com,{two}"
+    assert [s[:2] for s in personal.labelled_spans(glued, "secret", [(0, len(glued))], personal.base_spans(glued))] == [(0, 40), (59, 99)]
+    assert personal.labelled_spans("ab.cd-1 x", "secret", [(0, 7)], []) == [(0, 7, "secret")]
+
+
+def test_gate_equals_ungated_decoding():
+    rng = random.Random(3)
+    parts = ["an", "the", "onde", "x" * 30, "At", "(AT)", "[at],", "Dot", "(dot)", "key", "Token:", "=", "call", "555-1055", "(523)", "9f86d081884c7d659a2feaa0c55ad015a3bf4f1b", "a@b", "1999", "com"]
+    texts = [" ".join(rng.choice(parts[:4] if rng.random() < 0.6 else parts) for _ in range(rng.randint(0, 30))) for _ in range(400)]
+    field, bases = personal.trained(), [personal.base_spans(t) for t in texts]
+    whole = personal.field_spans(texts, field, bases, reach=None)
+    assert personal.field_spans(texts, field, bases) == whole and sum(map(len, whole)) > 100
+    assert personal.field_spans(["erla (AT) onde (DOT) com"], field, [[]]) == [[(0, 24, "email")]]
+
+
 def test_viterbi_is_best_labelling():
     field = personal.trained()
     rng = np.random.default_rng(0)
