@@ -235,6 +235,24 @@ def test_urls(spark):
     assert urls.filter_urls(df.limit(0), rules).count() == 0
 
 
+def test_link_targets(spark):
+    link = '<link rel="canonical" href="%s">'
+    page = "http://a.org/d/e/f.html?q=1#t"
+    want = {"https://b.org/y": "https://b.org/y", "//b.org/p": "http://b.org/p", "/p?x#y": "http://a.org/p?x#y", "g/h": "http://a.org/d/e/g/h", "../g": "http://a.org/d/g", "./": "http://a.org/d/e/", "/../a/./b/..": "http://a.org/a/", "?z=2": "http://a.org/d/e/f.html?z=2", "g?n=http://c.org/": "http://a.org/d/e/g?n=http://c.org/", "mailto:x@b.org": None, "#top": None}
+    df = spark.createDataFrame([(t, page, link % t) for t in want] + [("bare", "http://a.org", link % "g"), ("timer", page, '<meta http-equiv="refresh" content="5">')], "t string, url string, html string")
+    got = {r["t"]: r["found"] for r in df.select("t", urls.link_targets(df["html"], df["url"]).alias("found")).collect()}
+    assert got == {t: [u] if u else [] for t, u in want.items()} | {"bare": ["http://a.org/g"], "timer": []}
+
+
+def test_urls_that_are_only_linked_decide(spark):
+    link = '<link rel="canonical" href="%s">'
+    pages = [(1, "http://n1.org/a", link % "http://bad.io/p"), (2, "http://n2.org/a", link % "http://good.com/ok"), (3, "http://n2.org/b", link % "http://n2.org/a"), (4, "http://n4.org/a", link % "//bad.io/q"), (5, "http://n5.org/a", link % "https://www.b.org/y/"), (6, "http://b.org/y", ""), (7, "http://n7.org/a/b", link % "c"), (8, "http://n7.org/a/c", link % "http://bad.io/r"), (9, "http://n9.org/", ""), (10, "http://n10.org/", link % "http://bad.io/s"), (11, "http://n11.org/", link % "http://n10.org/"), (12, "http://n11.org/", '<meta http-equiv="refresh" content="0; url=http://good.com/ok2">')]
+    df = spark.createDataFrame(pages, "page_id long, url string, html string")
+    got = {r["page_id"]: r for r in urls.filter_urls(df, [("block", "bad.io", "/"), ("allow", "good.com", "/ok")]).collect()}
+    assert [i for i in sorted(got) if got[i]["verdict"] == "block"] == [1, 4, 7, 8]
+    assert got[5]["root"] == got[6]["root"] and got[7]["root"] == got[8]["root"] and len(got) == len(pages)
+
+
 def test_components(spark):
     n = 60
     edges = spark.createDataFrame([(f"{i:03}", f"{i + 1:03}") for i in range(n) if i != 30] + [("x", "x")], "a string, b string")
