@@ -15,11 +15,11 @@ from .evidence import Engine
 def audit_sufficiency(g: TripleGraph, shapes: list[Shape], schema: ShapeSchema | None = None) -> DataFrame:
     """request, v: nodes that satisfy a request in the graph but not in its evidence subgraph."""
     whole = Engine(g, schema)
-    small = Engine(TripleGraph.of(cut(whole.subgraph(*shapes), "audit"), sorted(g.parts)), schema)
+    small = Engine(TripleGraph.of(cut(whole.subgraph(*shapes), "audit"), sorted(g.parts), g.vocabulary), schema)
     found = []
     for i, s in enumerate(shapes):
-        v = cut(whole.resolve(s), "audit")
-        found.append(v.join(small.conform(s, v), "v", "left_anti").select(F.lit(i).alias("request"), "v"))
+        judged = small.judged(s, s, cut(whole.resolve(s), "audit"))
+        found.append(judged.where("not ok").select(F.lit(i).alias("request"), "v"))
     return reduce(DataFrame.unionAll, found)
 
 
@@ -27,7 +27,7 @@ def audit_schema(g: TripleGraph, schema: ShapeSchema) -> DataFrame:
     """The report on the schema subgraph of a conforming graph; targets must be monotone."""
     if not all(is_monotone(d.target) for d in schema.defs):
         raise ValueError("a target is not monotone")
-    return Engine(TripleGraph.of(cut(Engine(g, schema).schema_subgraph(), "audit"), sorted(g.parts)), schema).report()
+    return Engine(TripleGraph.of(cut(Engine(g, schema).schema_subgraph(), "audit"), sorted(g.parts), g.vocabulary), schema).report()
 
 
 def audit_subgraph(g: TripleGraph, found: DataFrame) -> DataFrame:

@@ -1,7 +1,11 @@
-"""Verdicts and evidence of shapes, on sets of focus nodes.
-
-``Engine`` narrows a candidate set at every conjunct (targets first), reads class and constant ends backwards, and takes
-evidence from set traces; evidence that carries its focus node, and the five negated pair atoms, use tagged traces.
+"""Verdicts and evidence of shapes.
+
+One focus level is one grouping. Every counted part of a shape (a quantifier or a pair atom, at any depth of and, or, not)
+adds rows ``v, n0, n1, ...`` to one union; the sums by ``v`` decide the whole Boolean shape. A shape that no node without
+such rows can satisfy is *grounded* and needs no candidate set at all; others get theirs as rows of the same union. Inner
+shapes of quantifiers are grounded node sets, joined once to the ends of their path, so the plan grows with the shape's size
+and not with its product. Evidence is read back for the nodes found, from set traces; evidence that carries its focus node,
+and the negated pair atoms, use tagged traces.
 """
 
 from __future__ import annotations
@@ -9,19 +13,106 @@ from __future__ import annotations
 from functools import reduce
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.terms import is_literal, language
-from ..plans.paths import Alt, IdPath, Inv, Path, Prop
-from ..plans.shapes import And, AtLeast, AtMost, Bottom, Closed, Compare, Disj, Eq, ForAll, HasShape, HasValue, Not, Or, Shape, ShapeSchema, Test, Top, UniqueLang, conjuncts, constants, cost, negate, to_nnf
+from ..functions.terms import datatype, instant, is_literal, language, lexical, number
+from ..plans.paths import Alt, IdPath, Inv, Path, Prop, accepts_empty, is_step, steps_of
+from ..plans.shapes import And, AtLeast, AtMost, Bottom, Closed, Compare, Disj, Eq, ForAll, HasValue, Not, Or, Shape, ShapeSchema, Test, Top, UniqueLang, all_of, conjuncts, constants, holds, is_local, negate, to_nnf
 from ..sources.graph import TripleGraph, cut, local
-from .reach import ends, pairs, sources_of, trace_pairs, trace_sets
+from .reach import class_trace, ends, pairs, sources_of, sources_where, trace_pairs, trace_sets
+
+def grounded(s: Shape) -> bool:
+    """Whether only nodes with rows of their own in the level's union can satisfy the (normal) shape."""
+    match s:
+        case Bottom():
+            return True
+        case AtLeast(n, e, x):
+            return n > 0 and (not accepts_empty(e) or resolvable(x))
+        case Not(Eq(e, _)):
+            return not accepts_empty(e)
+        case Not(Disj() | Closed() | Compare() | UniqueLang()):
+            return True
+        case And(a, b):
+            return grounded(a) or grounded(b)
+        case Or(a, b):
+            return grounded(a) and grounded(b)
+    return False
+
+
+def resolvable(s: Shape) -> bool:
+    """Whether the shape's nodes can be found without the universe."""
+    match s:
+        case HasValue():
+            return True
+        case And(a, b):
+            return resolvable(a) or resolvable(b)
+        case Or(a, b):
+            return resolvable(a) and resolvable(b)
+    return grounded(s)
+
+
+def is_open(s: Shape) -> bool:
+    """Whether some counted part needs the focus nodes themselves, since its path may be empty."""
+    match s:
+        case AtLeast(n, e, x):
+            return accepts_empty(e) and n > 0 and not (n == 1 and resolvable(x))
+        case AtMost(n, e, x):
+            return accepts_empty(e) and not (n == 0 and resolvable(x))
+        case ForAll(e, x):
+            return accepts_empty(e) and not resolvable(negate(x))
+        case Eq(e, _) | Disj(e, _) | Compare(e, _, _) | UniqueLang(e) | Not(Eq(e, _) | Disj(e, _) | Compare(e, _, _) | UniqueLang(e)):
+            return accepts_empty(e)
+        case And(a, b) | Or(a, b):
+            return is_open(a) or is_open(b)
+    return False
+
+
+class _Level:
+    """The counted parts of one focus level and its verdict as a condition on their sums."""
+
+    def __init__(self) -> None:
+        self.ends: dict[Path, dict[Shape, str]] = {}
+        self.broken: dict[Shape, str] = {}
+        self.exact: set[str] = set()
+        self.size = 0
+
+    def _name(self, names: dict, key: object) -> str:
+        if key not in names:
+            names[key] = f"n{self.size}"
+            self.size += 1
+        return names[key]
+
+    def _count(self, e: Path, x: Shape, exact: bool) -> Column:
+        name = self._name(self.ends.setdefault(e, {}), x)
+        if exact:
+            self.exact.add(name)
+        return F.col(name)
+
+    def verdict(self, s: Shape) -> Column:
+        match s:
+            case And(a, b):
+                return self.verdict(a) & self.verdict(b)
+            case Or(a, b):
+                return self.verdict(a) | self.verdict(b)
+            case AtLeast(n, e, x):
+                return self._count(e, x, n > 1) >= n if n else F.lit(True)
+            case AtMost(n, e, x):
+                return self._count(e, x, n > 0) <= n
+            case ForAll(e, x):
+                return F.lit(True) if isinstance(x, Top) else self._count(e, negate(x), False) == 0
+            case Not(Eq() | Disj() | Closed() | Compare() | UniqueLang() as a):
+                return F.col(self._name(self.broken, a)) > 0
+            case Eq() | Disj() | Closed() | Compare() | UniqueLang():
+                return F.col(self._name(self.broken, s)) == 0
+        return holds(s, F.col("v"))
 
 
 class Engine:
-    def __init__(self, g: TripleGraph, schema: ShapeSchema | None = None, relax: frozenset[str] = frozenset()):
-        self.g, self.schema, self.relax = g, (schema or ShapeSchema()).check(), relax
+    def __init__(self, g: TripleGraph, schema: ShapeSchema | None = None, relax: frozenset[str] = frozenset(), extra: DataFrame | None = None):
+        """``relax`` names atoms (closed, disj, compare, uniquelang) whose evidence is the wider one; ``extra`` (s, p, o) is
+        added to every subgraph as far as the graph holds it."""
+        self.g, self.schema, self.relax, self.extra = g, (schema or ShapeSchema()).check(), relax, extra
 
     # Node sets.
 
@@ -32,166 +123,247 @@ class Engine:
         """Nodes of the graph and constants of the shapes; nodes elsewhere have no evidence."""
         return self.g.nodes().union(self.node_set(set().union(*map(constants, shapes)) if shapes else set())).distinct()
 
-    def resolve(self, target: Shape) -> DataFrame:
-        """The nodes of a target, backwards from constants and property ends where the shape allows it."""
-        match target:
-            case HasValue(c):
-                return self.node_set([c])
-            case Bottom():
-                return self.node_set([])
-            case AtLeast(1, e, x) if self._selective(x):
-                return sources_of(self.g, e, self.resolve(x)).distinct()
-            case AtLeast(1, Prop(p), Top()):
-                return self.g.prop(p).select(F.col("s").alias("v")).distinct()
-            case AtLeast(1, Inv(Prop(p)), Top()):
-                return self.g.prop(p).select(F.col("o").alias("v")).distinct()
-            case And():
-                parts = conjuncts(target)
-                first = next((p for p in parts if self._selective(p)), None)
-                if first is not None:
-                    rest = [p for p in parts if p is not first]
-                    return reduce(lambda v, p: self.conform(p, v), sorted(rest, key=cost), self.resolve(first))
-            case Or(a, b):
-                return self.resolve(a).union(self.resolve(b)).distinct()
-            case HasShape(name):
-                return self.resolve(self.schema.lookup(name))
-        return self.conform(target, self.universe(target))
-
     def _selective(self, s: Shape) -> bool:
-        """Whether the nodes can be found without the universe."""
+        """Few nodes by a constant: not through the vocabulary, whose classes hold large parts of a graph."""
         match s:
-            case HasValue() | AtLeast(1, Prop() | Inv(Prop()), Top()):
+            case HasValue():
                 return True
-            case AtLeast(1, _, x):
-                return self._selective(x)
+            case AtLeast(1, e, x):
+                return self._selective(x) and not steps_of(e) & (self.g.vocabulary | {"type"})
             case And():
                 return any(map(self._selective, conjuncts(s)))
         return False
 
-    # Verdicts.
-
-    def conform(self, s: Shape, v: DataFrame) -> DataFrame:
-        """The nodes of v (distinct) that satisfy the shape."""
-        return self._conform(to_nnf(s, self.schema), v)
-
-    def _conform(self, s: Shape, v: DataFrame) -> DataFrame:
-        g = self.g
+    def resolve(self, target: Shape) -> DataFrame:
+        """The nodes of the graph that satisfy a shape (column v, distinct)."""
+        s = to_nnf(target, self.schema)
         match s:
-            case Top():
-                return v
-            case Bottom():
-                return v.limit(0)
             case HasValue(c):
-                return v.where(F.col("v") == c)
-            case Test(t):
-                return v.where(t.column(F.col("v")))
-            case And():
-                return reduce(lambda nodes, part: self._conform(part, nodes), sorted(conjuncts(s), key=cost), v)
-            case Or(a, b):
-                return self._conform(a, v).union(self._conform(b, v)).distinct()
-            case AtLeast(0, _, _):
-                return v
-            case AtLeast(n, e, x):
-                if n == 1 and isinstance(x, HasValue):
-                    return v.join(sources_of(g, e, self.node_set([x.node])), "v", "left_semi")
-                good = self._good_pairs(e, x, v)
-                if n == 1:
-                    return v.join(good, "v", "left_semi")
-                return v.join(good.groupBy("v").count().where(F.col("count") >= n), "v", "left_semi")
-            case AtMost(n, e, x):
-                good = self._good_pairs(e, x, v)
-                if n == 0:
-                    return v.join(good, "v", "left_anti")
-                return v.join(good.groupBy("v").count().where(F.col("count") > n), "v", "left_anti")
-            case ForAll(e, x):
-                return v if isinstance(x, Top) else v.join(self._good_pairs(e, negate(x, self.schema), v), "v", "left_anti")
-            case Not(a):
-                return v.where(~a.test.column(F.col("v"))) if isinstance(a, Test) else v.where(F.col("v") != a.node) if isinstance(a, HasValue) else v.join(self._violations(a, v), "v", "left_semi")
-        return v.join(self._violations(s, v), "v", "left_anti")
-
-    def _good_pairs(self, e: Path, x: Shape, v: DataFrame) -> DataFrame:
-        found = pairs(self.g, e, v)
-        if isinstance(x, Top):
-            return found
-        good = self._conform(x, found.select(F.col("x").alias("v")).distinct())
-        return found.join(good.select(F.col("v").alias("x")), "x", "left_semi").select("v", "x")
-
-    def _values(self, p: str, v: DataFrame) -> DataFrame:
-        return self.g.prop(p).select(F.col("s").alias("v"), F.col("o").alias("y")).join(v, "v", "left_semi")
-
-    def _violations(self, a: Shape, v: DataFrame) -> DataFrame:
+                return self.node_set([c])
+            case Bottom():
+                return self.node_set([])
+            case Or(a, b) if not grounded(s) or is_open(s):
+                return self.resolve(a).union(self.resolve(b)).distinct()
+            case AtLeast(1, e, x) if resolvable(x) and not (is_step(e) and is_local(x)):
+                return sources_of(self.g, e, x.node if isinstance(x, HasValue) else self.resolve(x)).distinct()
+        parts = conjuncts(s)
+        few = [p for p in parts if self._selective(p)] if len(parts) > 1 else []
+        if few:
+            return self.conform(all_of(*(p for p in parts if p is not few[0])), self.resolve(few[0]), True)
+        if is_open(s):
+            shut = [p for p in parts if not is_open(p)]
+            if not any(map(grounded, shut)):
+                return self.conform(s, cut(self.universe(s), "universe"), stored=True)
+            return self.conform(all_of(*filter(is_open, parts)), self.resolve(all_of(*shut)))
+        if not grounded(s):
+            return self.conform(s, self.universe(s))
+        level = _Level()
+        verdict = level.verdict(s)
+        return self._sums(level, None, False).where(verdict).select("v")
+
+    # Verdicts.
+
+    def conform(self, s: Shape, v: DataFrame, small: bool = False, stored: bool = False) -> DataFrame:
+        """The nodes of v (distinct) that satisfy the shape. ``small``: paths start at v instead of being read whole;
+        ``stored``: v is cheap to read more than once."""
+        s = to_nnf(s, self.schema)
+        level = _Level()
+        verdict = level.verdict(s)
+        if not level.size:
+            return v.where(verdict)
+        return self._judged(level, v, small, stored, grounded(s)).where(verdict).select("v")
+
+    def _judged(self, level: _Level, v: DataFrame, small: bool, stored: bool, bound: bool) -> DataFrame:
+        """Sums for the nodes of v; those without rows are there unless only grounded nodes count (``bound``)."""
+        paths = [*level.ends, *(getattr(a, "path", None) for a in level.broken)]
+        uses = sum(small or accepts_empty(e) for e in paths) + (not (small and bound))
+        if uses > 1 and not stored:
+            v = cut(v, "focus")
+        return self._sums(level, v, small, small and bound)
+
+    def _sums(self, level: _Level, v: DataFrame | None, small: bool, bound: bool = False) -> DataFrame:
+        """v and the sum of every counted part; only nodes of v if given (rows of ``bound`` levels are of v already)."""
+        names = [f"n{i}" for i in range(level.size)]
+        rows: list[DataFrame] = []
+
+        def add(df: DataFrame, marks: dict[str, Column], focus: int = 0) -> None:
+            rows.append(df.select("v", *(marks.get(n, F.lit(0)).alias(n) for n in names), F.lit(focus).alias("focus")))
+
+        for e, wanted in level.ends.items():
+            near = {x: n for x, n in wanted.items() if is_local(x) and (is_step(e) or small or accepts_empty(e) or n in level.exact) and not (isinstance(x, HasValue) and n not in level.exact and not is_step(e))}
+            if near:
+                marks = {n: holds(x, F.col("x")).cast("int") for x, n in near.items()}
+                found = self._pairs(e, v, small, bool(level.exact & set(near.values())))
+                add(found.where(reduce(lambda a, b: a | b, (holds(x, F.col("x")) for x in near))), marks)
+            for x, n in wanted.items():
+                if x not in near:
+                    add(self._good(e, x, v, small, n in level.exact), {n: F.lit(1)})
+        for a, n in level.broken.items():
+            add(self._violations(a, v if small or accepts_empty(getattr(a, "path", None)) else None).select("v"), {n: F.lit(1)})
+        if v is not None and not bound:
+            add(v, {}, 1)
+        one = len(rows) == 1 and (v is None or bound)
+        sums = [F.sum(n).alias(n) for n in names]
+        if one or v is None or bound:
+            return reduce(DataFrame.unionAll, rows).groupBy("v").agg(*sums)
+        return reduce(DataFrame.unionAll, rows).groupBy("v").agg(*sums, F.max("focus").alias("focus")).where("focus = 1")
+
+    def _pairs(self, e: Path, v: DataFrame | None, small: bool, exact: bool = True) -> DataFrame:
+        """v, x of a path; from v only if it is small or the path may be empty. Rows may repeat unless ``exact``."""
+        if is_step(e):
+            turned = isinstance(e, Inv)
+            name = e.path.name if turned else e.name  # type: ignore[union-attr]
+            t = (self.g.prop(name) if exact else self.g.raw(name)).select(F.col("o" if turned else "s").alias("v"), F.col("s" if turned else "o").alias("x"))
+            return t.join(v, "v", "left_semi") if small and v is not None else t
+        return pairs(self.g, e, v if small or accepts_empty(e) else None)
+
+    def _good(self, e: Path, x: Shape, v: DataFrame | None, small: bool, exact: bool) -> DataFrame:
+        """Pairs of the path whose ends satisfy the shape x: by the shape's nodes, by those of its negation, or, if neither
+        can be found from the graph alone, by judging the ends."""
+        if not exact and isinstance(x, HasValue):
+            found = sources_of(self.g, e, x.node)
+            return found.join(v, "v", "left_semi") if small and v is not None else found
+        if not small and not exact and is_local(x):
+            return sources_where(self.g, e, lambda o: holds(x, o))
+        if not small and resolvable(x):
+            good = self.resolve(x)
+            if not exact:
+                return sources_of(self.g, e, good)
+            return self._pairs(e, v, small).join(good.withColumnRenamed("v", "x"), "x", "left_semi")
+        found = self._pairs(e, v, small, exact)
+        if not small and resolvable(negate(x)):
+            return found.join(self.resolve(negate(x)).withColumnRenamed("v", "x"), "x", "left_anti")
+        if not is_step(e) or small:
+            found = cut(found, "pairs")
+        good = self.conform(x, found.select(F.col("x").alias("v")).distinct(), small)
+        return found.join(good.withColumnRenamed("v", "x"), "x", "left_semi").select("v", "x")
+
+    def _values(self, p: str, v: DataFrame | None) -> DataFrame:
+        t = self.g.prop(p).select(F.col("s").alias("v"), F.col("o").alias("y"))
+        return t if v is None else t.join(v, "v", "left_semi")
+
+    def _both(self, a: Eq | Disj, v: DataFrame | None) -> DataFrame:
+        """v, x, left, right: whether a pair is one of the path and one of the property."""
+        left = pairs(self.g, a.path, v).select("v", "x", F.lit(1).alias("left"), F.lit(0).alias("right"))
+        right = self._values(a.prop, v).select("v", F.col("y").alias("x"), F.lit(0), F.lit(1))
+        return left.unionAll(right).groupBy("v", "x").agg(F.max("left").alias("left"), F.max("right").alias("right"))
+
+    def _violations(self, a: Shape, v: DataFrame | None) -> DataFrame:
         """Rows with column v for nodes that break the atom."""
-        g = self.g
         match a:
-            case Eq(e, p):
-                left, right = pairs(g, e, v), self._values(p, v).withColumnRenamed("y", "x")
-                return left.join(right, ["v", "x"], "left_anti").union(right.join(left, ["v", "x"], "left_anti"))
-            case Disj(e, p):
-                return pairs(g, e, v).join(self._values(p, v).withColumnRenamed("y", "x"), ["v", "x"], "left_semi")
+            case Eq():
+                return self._both(a, v).where("left <> right")
+            case Disj():
+                return self._both(a, v).where("left = right")
             case Closed(props):
-                return g.triples(set(g.parts) - set(props)).select(F.col("s").alias("v"))
+                t = self.g.triples(set(self.g.parts) - set(props)).select(F.col("s").alias("v"))
+                return t if v is None else t.join(v, "v", "left_semi")
             case Compare():
-                return self._bad_comparisons(a, v)
+                return self._unordered(a, v)
             case UniqueLang(e):
-                return self._shared_tags(e, v)
+                return self._tags(e, v).groupBy("v", "tag").agg(F.count_distinct("x").alias("n")).where("n > 1")
         raise TypeError(f"no atom: {a}")
 
+    def _unordered(self, a: Compare, v: DataFrame | None) -> DataFrame:
+        """Nodes with two values out of order, from extremes instead of pairs: all ends and values must be of one comparable
+        kind, and then the extremes of both sides decide."""
+        x = pairs(self.g, a.path, v).select("v", F.col("x").alias("t"), F.lit(True).alias("own"))
+        rows = x.unionAll(self._values(a.prop, v).select("v", F.col("y").alias("t"), F.lit(False).alias("own")))
+        n, t = number(F.col("t")), instant(F.col("t"))
+        real = n.isNotNull() & ~F.isnan(n)
+        word = datatype(F.col("t")) == "string"
+        rows = rows.select("v", "own", F.when(real, n).alias("n"), F.when(~real, t).alias("m"), F.when(~real & t.isNull() & word, lexical(F.col("t"))).alias("w"))
+        most, least = (F.max, F.min) if a.relation in ("<", "<=") else (F.min, F.max)
+        sides = [("own", F.col("own"), most), ("val", ~F.col("own"), least)]
+        sums = [F.count(F.when(of, 1)).alias(k) for k, of, _ in sides]
+        sums += [f(F.when(of, F.col(c))).alias(f"{k}_{c}") for k, of, f in sides for c in "nmw"]
+        sums += [F.count(c).alias(f"all_{c}") for c in "nmw"]
+        whole = F.col("own") + F.col("val")
+        order = {"<": Column.__lt__, "<=": Column.__le__, ">": Column.__gt__, ">=": Column.__ge__}[a.relation]
+        fine = reduce(lambda p, q: p | q, [(F.col(f"all_{c}") == whole) & order(F.col(f"own_{c}"), F.col(f"val_{c}")) for c in "nmw"])
+        return rows.groupBy("v").agg(*sums).where((F.col("own") > 0) & (F.col("val") > 0) & ~F.coalesce(fine, F.lit(False)))
+
     def _bad_comparisons(self, a: Compare, v: DataFrame) -> DataFrame:
         return pairs(self.g, a.path, v).join(self._values(a.prop, v), "v").where(~a.holds(F.col("x"), F.col("y")))
 
+    def _tags(self, e: Path, v: DataFrame | None) -> DataFrame:
+        return pairs(self.g, e, v).where(is_literal(F.col("x"))).withColumn("tag", language(F.col("x"))).where("tag <> ''")
+
     def _shared_tags(self, e: Path, v: DataFrame) -> DataFrame:
         """v, x: ends that share their language tag with another end."""
-        tagged = pairs(self.g, e, v).where(is_literal(F.col("x"))).withColumn("tag", language(F.col("x"))).where("tag <> ''")
+        tagged = self._tags(e, v)
         shared = tagged.groupBy("v", "tag").agg(F.count_distinct("x").alias("n")).where("n > 1")
         return tagged.join(shared, ["v", "tag"], "left_semi").select("v", "x")
 
     # Evidence.
 
-    def evidence(self, s: Shape, v: DataFrame, tagged: bool = False) -> DataFrame:
+    def evidence(self, s: Shape, v: DataFrame, tagged: bool = False, small: bool = False) -> DataFrame:
         """Triples that show why those nodes of v that satisfy the shape do: s, p, o (v, s, p, o if tagged)."""
         nnf = to_nnf(s, self.schema)
-        return self._evidence(nnf, cut(self._conform(nnf, v), "nodes"), tagged).distinct()
+        return self._evidence(nnf, cut(self.conform(nnf, v, small), "nodes"), tagged, small).distinct()
 
     def _empty(self, tagged: bool) -> DataFrame:
         return local(self.g.spark, [], **dict.fromkeys("vspo" if tagged else "spo", pa.string()))
 
-    def _evidence(self, s: Shape, v: DataFrame, tagged: bool) -> DataFrame:
-        """Of nodes that all satisfy the (normal) shape."""
+    def _evidence(self, s: Shape, v: DataFrame, tagged: bool, small: bool = False) -> DataFrame:
+        """Of nodes that all satisfy the (normal) shape; v is stored. A path whose triples are all shown already is not
+        traced again for the other parts of the conjunction."""
+        if tagged:
+            return reduce(DataFrame.unionAll, [self._part(p, v, True, small) for p in conjuncts(s)])
+        found, parts = [], list(dict.fromkeys(conjuncts(s)))
+        whole = {p.path for p in parts if isinstance(p, ForAll) or (isinstance(p, AtLeast) and isinstance(p.shape, Top))}
+        stars: dict[str, list[Shape]] = {}
+        for p in parts:
+            if isinstance(p, AtLeast | AtMost | ForAll):
+                x = negate(p.shape, self.schema) if isinstance(p, AtMost) else p.shape
+                shown = Top() if p.path in whole else x
+                if isinstance(p.path, Prop) and is_local(shown) and (is_local(x) or p.path in whole):
+                    stars.setdefault(p.path.name, []).append(shown)
+                    if not is_local(x):
+                        found.append(self._inner(p.path, x, v, small))
+                    continue
+                if isinstance(x, Bottom):
+                    continue
+            found.append(self._part(p, v, False, small))
+        if stars:
+            rows = [self.g.raw(p).select("s", F.lit(p).alias("p"), "o").where(reduce(lambda a, b: a | b, (holds(x, F.col("o")) for x in xs))) for p, xs in stars.items()]
+            found.append(reduce(DataFrame.unionAll, rows).join(v.withColumnRenamed("v", "s"), "s", "left_semi"))
+        return reduce(DataFrame.unionAll, found) if found else self._empty(False)
+
+    def _part(self, s: Shape, v: DataFrame, tagged: bool, small: bool) -> DataFrame:
         g = self.g
         drop = (lambda df: df) if tagged else (lambda df: df.select("s", "p", "o"))
         match s:
-            case And():
-                return reduce(DataFrame.unionAll, [self._evidence(part, v, tagged) for part in conjuncts(s)])
             case Or(a, b):
-                return self._evidence(a, self._conform(a, v), tagged).unionAll(self._evidence(b, self._conform(b, v), tagged))
-            case AtLeast(_, e, x):
-                return self._along(e, x, v, tagged)
+                sides = [self._evidence(x, cut(self.conform(x, v, small, True), "side"), tagged, small) for x in (a, b)]
+                return sides[0].unionAll(sides[1])
+            case And():
+                return self._evidence(s, v, tagged, small)
+            case AtLeast(_, e, x) | ForAll(e, x):
+                return self._along(e, x, v, tagged, small)
             case AtMost(_, e, x):
-                return self._along(e, negate(x, self.schema), v, tagged)
-            case ForAll(e, x):
-                return self._along(e, x, v, tagged)
+                return self._along(e, negate(x, self.schema), v, tagged, small)
             case Eq(IdPath(), p):
                 return drop(self._own(p, v).where("s = o"))
+            case Eq(e, p) if not tagged:
+                whole = Alt(e, Prop(p))
+                return trace_sets(g, whole, v, ends(g, whole, v))
             case Eq(e, p):
-                return drop(trace_pairs(g, Alt(e, Prop(p)), pairs(g, Alt(e, Prop(p)), v)))
+                return trace_pairs(g, Alt(e, Prop(p)), pairs(g, Alt(e, Prop(p)), v))
             case Not(Eq(IdPath(), p)):
                 return drop(self._own(p, v).where("s <> o"))
-            case Not(Eq(e, p)):
-                left, own = pairs(g, e, v), self._own(p, v)
-                paths = trace_pairs(g, e, left.join(own.select("v", F.col("o").alias("x")), ["v", "x"], "left_anti"))
-                return drop(paths.unionAll(own.join(left.withColumnRenamed("x", "o"), ["v", "o"], "left_anti").select("v", "s", "p", "o")))
+            case Not(Eq(e, p) as a):
+                return self._traced(e, p, cut(self._both(a, v).where("left <> right"), "sides"), v, tagged)
             case Not(Disj(IdPath(), p)):
                 return drop(self._own(p, v).where("s = o"))
-            case Not(Disj(e, p)):
-                own = self._own(p, v)
-                common = pairs(g, e, v).join(own.select("v", F.col("o").alias("x")), ["v", "x"], "left_semi")
-                return drop(trace_pairs(g, e, common).unionAll(own.join(common.withColumnRenamed("x", "o"), ["v", "o"], "left_semi").select("v", "s", "p", "o")))
+            case Not(Disj(e, p) as a):
+                return self._traced(e, p, cut(self._both(a, v).where("left = right"), "sides"), v, tagged)
             case Not(Compare() as a):
-                bad = self._bad_comparisons(a, v)
+                bad = cut(self._bad_comparisons(a, v), "sides")
                 own = self._own(a.prop, v).join(bad.select("v", F.col("y").alias("o")).distinct(), ["v", "o"], "left_semi")
                 return drop(trace_pairs(g, a.path, bad.select("v", "x").distinct()).unionAll(own.select("v", "s", "p", "o")))
             case Not(UniqueLang(e)):
-                return drop(trace_pairs(g, e, self._shared_tags(e, v)))
+                return drop(trace_pairs(g, e, cut(self._shared_tags(e, v), "sides")))
             case Not(Closed(props)):
                 return drop(self._all(set(g.parts) - set(props), v))
             case Closed() if "closed" in self.relax:
@@ -202,6 +374,13 @@ class Engine:
                 return drop(trace_pairs(g, e, pairs(g, e, v)))
         return self._empty(tagged)
 
+    def _traced(self, e: Path, p: str, sides: DataFrame, v: DataFrame, tagged: bool) -> DataFrame:
+        """Paths to the ends of ``sides`` that are ends of the path, and the property's triples to those that are its values."""
+        paths = trace_pairs(self.g, e, sides.where("left = 1").select("v", "x"))
+        own = self._own(p, v).join(sides.where("right = 1").select("v", F.col("x").alias("o")), ["v", "o"], "left_semi").select("v", "s", "p", "o")
+        both = paths.unionAll(own)
+        return both if tagged else both.select("s", "p", "o")
+
     def _own(self, p: str, v: DataFrame) -> DataFrame:
         return self._all({p}, v)
 
@@ -209,36 +388,54 @@ class Engine:
         t = self.g.triples(sorted(props))
         return t.join(v.select(F.col("v").alias("s")), "s", "left_semi").select(F.col("s").alias("v"), "s", "p", "o")
 
-    def _along(self, e: Path, x: Shape, v: DataFrame, tagged: bool) -> DataFrame:
+    def _reached(self, e: Path, x: Shape, v: DataFrame, small: bool) -> DataFrame:
+        """Ends of the path that satisfy x; written once if x has evidence of its own."""
+        far = ends(self.g, e, v)
+        if is_local(x):
+            return far.where(holds(x, F.col("v")))
+        good = far.join(self.resolve(x), "v", "left_semi") if not small and resolvable(x) else self.conform(x, far, small)
+        return cut(good, "ends")
+
+    def _inner(self, e: Path, x: Shape, v: DataFrame, small: bool) -> DataFrame:
+        return self._evidence(x, self._reached(e, x, v, small), False, small)
+
+    def _along(self, e: Path, x: Shape, v: DataFrame, tagged: bool, small: bool) -> DataFrame:
         """Paths to the ends that satisfy x, and the evidence of those ends."""
+        g = self.g
         if tagged:
-            good = self._kept(self._good_pairs(e, x, v), x)
-            inner = self._evidence(x, good.select(F.col("x").alias("v")).distinct(), True)
+            found = pairs(g, e, v)
+            if is_local(x):
+                return trace_pairs(g, e, found.where(holds(x, F.col("x"))))
+            found = cut(found, "pairs")
+            good = cut(found.join(self.conform(x, found.select(F.col("x").alias("v")).distinct(), small).withColumnRenamed("v", "x"), "x", "left_semi").select("v", "x"), "ends")
+            inner = self._evidence(x, cut(good.select(F.col("x").alias("v")).distinct(), "ends"), True, small)
             carried = good.join(inner.withColumnRenamed("v", "x"), "x").select("v", "s", "p", "o")
-            return trace_pairs(self.g, e, good).unionAll(carried)
-        good = self._kept(self._conform(x, ends(self.g, e, v)), x)
-        return trace_sets(self.g, e, v, good).unionAll(self._evidence(x, good, False))
-
-    def _kept(self, good: DataFrame, x: Shape) -> DataFrame:
-        """Written once if x has evidence of its own: each nested path reads its ends several times."""
-        plain = isinstance(x, Top | Bottom | Test | HasValue) or (isinstance(x, Not) and isinstance(x.shape, Test | HasValue))
-        return good if plain else cut(good, "ends")
+            return trace_pairs(g, e, good).unionAll(carried)
+        if isinstance(x, HasValue):
+            direct = class_trace(g, e, v, x.node)
+            if direct is not None:
+                return direct
+        good = self._reached(e, x, v, small)
+        traced = trace_sets(g, e, v, good)
+        return traced if is_local(x) else traced.unionAll(self._evidence(x, good, False, small))
 
     # Requests.
 
     def evidence_of(self, s: Shape, node: str) -> DataFrame:
-        return self.evidence(s, self.node_set([node]))
+        return self.evidence(s, self.node_set([node]), small=True)
 
     def select_nodes(self, *shapes: Shape) -> DataFrame:
-        return reduce(DataFrame.union, [self.resolve(s) for s in shapes]).distinct()
+        found = [self.resolve(s) for s in shapes]
+        return reduce(DataFrame.union, found).distinct() if len(found) > 1 else found[0]
 
     def subgraph(self, *shapes: Shape) -> DataFrame:
         """The union of evidence over all nodes and request shapes."""
-        found = []
+        found = [] if self.extra is None else [self.extra.select("s", "p", "o").join(self.g.triples(), ["s", "p", "o"], "left_semi")]
         for s in shapes:
             nnf = to_nnf(s, self.schema)
-            found.append(self._evidence(nnf, cut(self.resolve(nnf), "nodes"), False))
-        return reduce(DataFrame.unionAll, found).distinct()
+            few = any(map(self._selective, conjuncts(nnf)))
+            found.append(self._evidence(nnf, cut(self.resolve(nnf), "nodes"), False, few))
+        return reduce(DataFrame.unionAll, found, self._empty(False)).distinct()
 
     def schema_subgraph(self) -> DataFrame:
         return self.subgraph(*self.schema.requests())
@@ -246,32 +443,61 @@ class Engine:
     # Validation.
 
     def report(self, detail: bool = False) -> DataFrame:
-        """shape, focus, component, path, value, message of every target node that breaks its shape (or, with detail, each
-        failing conjunct)."""
+        """shape, focus, component, path, value, message of every target node that breaks its shape, or, with detail, each of
+        its failing conjuncts; a definition is one grouping of target and shape together."""
         found = []
         for d in self.schema.defs:
-            target = self.resolve(d.target)
-            for i, part in enumerate(conjuncts(to_nnf(d.shape, self.schema)) if detail else [d.shape]):
-                bad = target.join(self.conform(part, target), "v", "left_anti")
-                where = str(getattr(part, "path", ""))
-                found.append(bad.select(F.lit(d.name).alias("shape"), F.col("v").alias("focus"), F.lit(type(part).__name__ if detail else "shape").alias("component"), F.lit(where if detail else "").alias("path"), F.lit(str(i) if detail else "").alias("value"), F.lit("does not conform").alias("message")))
+            nnf, target = to_nnf(d.shape, self.schema), to_nnf(d.target, self.schema)
+            if not detail:
+                bad = self.resolve(all_of(target, negate(nnf)))
+                found.append(self._reported(bad, d.name, F.lit("shape"), F.lit(""), F.lit("")))
+                continue
+            parts = conjuncts(nnf)
+            level = _Level()
+            fails = [~level.verdict(p) for p in parts]
+            v = self.resolve(target)
+            judged = self._judged(level, v, False, False, False) if level.size else v
+            rows = judged.select("v", F.explode(F.array_compact(F.array(*(F.when(c, F.struct(F.lit(type(p).__name__).alias("component"), F.lit(str(getattr(p, "path", ""))).alias("path"), F.lit(str(i)).alias("value"))) for i, (p, c) in enumerate(zip(parts, fails, strict=True)))))).alias("at"))
+            found.append(self._reported(rows, d.name, F.col("at.component"), F.col("at.path"), F.col("at.value")))
         empty = local(self.g.spark, [], **dict.fromkeys(("shape", "focus", "component", "path", "value", "message"), pa.string()))
         return reduce(DataFrame.unionAll, found, empty)
 
+    @staticmethod
+    def _reported(bad: DataFrame, name: str, component: Column, where: Column, value: Column) -> DataFrame:
+        return bad.select(F.lit(name).alias("shape"), F.col("v").alias("focus"), component.alias("component"), where.alias("path"), value.alias("value"), F.lit("does not conform").alias("message"))
+
     def conforms(self) -> bool:
         return self.report().isEmpty()
 
+    def judged(self, target: Shape, s: Shape, v: DataFrame | None = None) -> DataFrame:
+        """v, ok of every target node: one grouping over the rows of target and shape."""
+        nnf = to_nnf(s, self.schema)
+        level = _Level()
+        verdict = level.verdict(nnf)
+        stored = v is not None
+        v = self.resolve(target) if v is None else v
+        return (self._judged(level, v, False, stored, False) if level.size else v).select("v", verdict.alias("ok"))
+
     def validate_and_extract(self) -> tuple[DataFrame, DataFrame]:
-        """Report and schema subgraph from the same targets and verdicts, each written once."""
-        reports, found = [self.report().limit(0)], []
+        """Report and schema subgraph from the same verdicts, written once. Star shapes take verdict and evidence rows from
+        one window; other shapes trace the evidence of the nodes that conform."""
+        from .star import is_star, star_window
+
+        reports, found = [], []
         for d in self.schema.defs:
-            nnf = to_nnf(d.shape, self.schema)
-            target = cut(self.resolve(d.target), "target")
-            good = cut(self._conform(nnf, target), "verdict")
-            bad = target.join(good, "v", "left_anti")
-            reports.append(bad.select(F.lit(d.name).alias("shape"), F.col("v").alias("focus"), F.lit("shape").alias("component"), F.lit("").alias("path"), F.lit("").alias("value"), F.lit("does not conform").alias("message")))
-            found += [self._evidence(nnf, good, False), self._evidence(to_nnf(d.target, self.schema), good, False)]
-        return reduce(DataFrame.unionAll, reports), reduce(DataFrame.unionAll, found, self._empty(False)).distinct()
+            nnf, target = to_nnf(d.shape, self.schema), to_nnf(d.target, self.schema)
+            if is_star(nnf):
+                rows = cut(star_window(self.g, nnf, self.resolve(target)), "marked")
+                found.append(rows.where("ok and evidence").select("s", "p", "o"))
+                bad, good = rows.where("not ok").select("v").distinct(), rows.where("ok").select("v").distinct()
+            else:
+                rows = cut(self.judged(target, nnf), "verdict")
+                bad, good = rows.where("not ok").select("v"), rows.where("ok").select("v")
+                found.append(self._evidence(nnf, good, False))
+            reports.append(self._reported(bad, d.name, F.lit("shape"), F.lit(""), F.lit("")))
+            found.append(self._evidence(target, good, False))
+        report = reduce(DataFrame.unionAll, reports) if reports else self.report()
+        return report, reduce(DataFrame.unionAll, found, self._empty(False)).distinct()
 
 
 def summarise(report: DataFrame) -> DataFrame:

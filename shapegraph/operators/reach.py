@@ -12,20 +12,26 @@ from collections.abc import Callable
 from functools import reduce
 
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.paths import Alt, Automaton, IdPath, Path, compile_path
+from ..plans.paths import Alt, Automaton, IdPath, Inv, Path, Prop, Seq, Star, compile_path, is_step
 from ..sources.graph import TripleGraph, cut, local
 
 MOST_ROUNDS = 10_000
+#: Rounds after which what was seen is written together, so that a round reads few files.
+COMPACT = 8
+#: Paths of more leaves write the edges that were walked once, since the way back reads each several times.
+MOST_UNROLLED = 3
+#: Most constants that become a list in a filter, which reaches the scan.
+MOST_LISTED = 1_000
 #: Most rows of a closure that is broadcast.
 MOST_CLOSURE = 200_000
 
 
 def _step(g: TripleGraph, leaf: tuple[str, bool]) -> DataFrame:
-    """Columns tail, head of one automaton leaf."""
-    t = g.prop(leaf[0])
+    """Columns tail, head of one automaton leaf; rows may repeat."""
+    t = g.raw(leaf[0])
     tail, head = ("o", "s") if leaf[1] else ("s", "o")
     return t.select(F.col(tail).alias("tail"), F.col(head).alias("head"))
 
@@ -58,14 +64,18 @@ def _closure(g: TripleGraph, a: Automaton, inner: list[tuple[int, int]], backwar
 Walks = dict[tuple[int, int], DataFrame]
 
 
-def _levels(g: TripleGraph, a: Automaton, start: dict[int, DataFrame], keys: list[str], backward: bool = False, walks: Walks | None = None) -> dict[int, DataFrame]:
+def _levels(g: TripleGraph, a: Automaton, start: dict[int, DataFrame | None], keys: list[str], backward: bool = False, walks: Walks | None = None) -> dict[int, DataFrame]:
     """Nodes (column x, beside the keys) of every state, from the start sets along the automaton (or against it).
 
     Against it, ``walks`` (keys, tail, head of each edge, from an earlier pass along it) are all that may be walked: an end
-    that many nodes share, such as a flag, then leads back only to nodes of its own focus."""
+    that many nodes share, such as a flag, then leads back only to nodes of its own focus. A start of None is every node: its
+    steps are read whole, and the state has no set of its own."""
     walks = dict(walks) if walks is not None else None
 
-    def onward(frontier: DataFrame, source: int, target: int) -> DataFrame:
+    def onward(frontier: DataFrame | None, source: int, target: int) -> DataFrame:
+        if frontier is None:
+            step = _step(g, a.leaves[target - 1])
+            return step.select(*(F.col("tail").alias(k) for k in keys), F.col("head").alias("x")).distinct()
         if walks is not None:
             walked = walks[target, source].join(frontier.withColumnRenamed("x", "head"), [*keys, "head"], "left_semi")
             return walked.select(*keys, F.col("tail").alias("x")).distinct()
@@ -76,10 +86,13 @@ def _levels(g: TripleGraph, a: Automaton, start: dict[int, DataFrame], keys: lis
     moves = [(c, b) for b, c in a.edges if walks is None or (b, c) in walks] if backward else list(a.edges)
     groups = a.components()
     columns = ["q", *keys, "x"]
-    levels: dict[int, DataFrame] = {}
+    levels: dict[int, DataFrame | None] = {}
     for group in reversed(groups) if backward else groups:
         entered: dict[int, DataFrame] = {}
         for q in group:
+            if q in start and start[q] is None:
+                levels[q] = None
+                continue
             sets = [start[q]] if q in start else []
             sets += [onward(levels[b], b, c) for b, c in moves if c == q and b not in group and b in levels]
             if sets:
@@ -104,12 +117,14 @@ def _levels(g: TripleGraph, a: Automaton, start: dict[int, DataFrame], keys: lis
 def _rounds(entry: DataFrame, inner: list[tuple[int, int]], onward: Callable[[DataFrame, int, int], DataFrame], columns: list[str]) -> DataFrame:
     """Semi-naive rounds inside a loop until a round finds nothing new."""
     seen = frontier = cut(entry.distinct(), "reach")
-    for _ in range(MOST_ROUNDS):
+    for turn in range(MOST_ROUNDS):
         found = [onward(frontier.where(F.col("q") == b), b, c).withColumn("q", F.lit(c)).select(*columns) for b, c in inner]
         frontier = cut(reduce(DataFrame.unionAll, found).distinct().join(seen, columns, "left_anti"), "reach")
         if frontier.isEmpty():
             return seen
         seen = seen.unionAll(frontier)
+        if turn % COMPACT == COMPACT - 1:
+            seen = cut(seen, "reach")
     raise RuntimeError(f"reach did not end within {MOST_ROUNDS} rounds")
 
 
@@ -117,8 +132,15 @@ def _union(frames: list[DataFrame], empty: DataFrame) -> DataFrame:
     return reduce(DataFrame.unionAll, frames).distinct() if frames else empty.limit(0)
 
 
-def pairs(g: TripleGraph, e: Path, v: DataFrame) -> DataFrame:
-    """Columns v, x: ends of the path from each focus node; the empty path yields the node itself."""
+def pairs(g: TripleGraph, e: Path, v: DataFrame | None) -> DataFrame:
+    """Columns v, x: ends of the path from each focus node, or from every node if v is None and the path is not empty; the
+    empty path yields the node itself."""
+    if v is None:
+        a = compile_path(e)
+        if 0 in a.accepting:
+            raise ValueError("a path that may be empty needs its focus nodes")
+        levels = _levels(g, a, {0: None}, ["v"])
+        return _union([levels[q] for q in a.accepting if levels.get(q) is not None], local(g.spark, [], v=pa.string(), x=pa.string()))
     start = v.select("v", F.col("v").alias("x"))
     if isinstance(e, IdPath):
         return start
@@ -134,14 +156,77 @@ def ends(g: TripleGraph, e: Path, v: DataFrame) -> DataFrame:
     return _union([levels[q] for q in a.accepting if q in levels], v.select(F.col("v").alias("x"))).select(F.col("x").alias("v"))
 
 
-def sources_of(g: TripleGraph, e: Path, x: DataFrame) -> DataFrame:
-    """Column v: all nodes from which the path reaches one of the nodes (column v); set reach against the automaton."""
+def _upwards(g: TripleGraph, e: Path, c: str) -> tuple[str, str, list[str]] | None:
+    """For a step (property p) and then any number of vocabulary links q: p, q and the nodes from which links lead to c."""
+    match e:
+        case Seq(Prop(p), Star(Prop(q))):
+            rows = g.vocabulary_rows(q)
+            if rows is None:
+                return None
+            below: dict[str, list[str]] = {}
+            for s, o in rows:
+                below.setdefault(o, []).append(s)
+            seen, frontier = {c}, [c]
+            while frontier:
+                frontier = [s for o in frontier for s in below.get(o, ()) if s not in seen]
+                seen |= set(frontier)
+            return (p, q, sorted(seen)) if len(seen) <= MOST_LISTED else None
+    return None
+
+
+def sources_of(g: TripleGraph, e: Path, x: DataFrame | str) -> DataFrame:
+    """Column v: all nodes from which the path reaches one of the nodes (column v), or the one node; rows may repeat. Set
+    reach against the automaton; a constant behind vocabulary links becomes a list in the scan's filter."""
+    if isinstance(x, str):
+        if is_step(e):
+            name, near, far = (e.path.name, "o", "s") if isinstance(e, Inv) else (e.name, "s", "o")  # type: ignore[attr-defined]
+            return g.raw(name).where(F.col(far) == x).select(F.col(near).alias("v"))
+        found = _upwards(g, e, x)
+        if found is not None:
+            return g.raw(found[0]).where(F.col("o").isin(found[2])).select(F.col("s").alias("v"))
+        x = local(g.spark, [(x,)], v=pa.string())
     a = compile_path(e)
     stop = x.select(F.col("v").alias("x"))
     levels = _levels(g, a, dict.fromkeys(a.accepting, stop), [], backward=True)
     return (levels[0] if 0 in levels else stop.limit(0)).select(F.col("x").alias("v"))
 
 
+def sources_where(g: TripleGraph, e: Path, good: Callable[[Column], Column]) -> DataFrame:
+    """Column v: all nodes from which the path, which is never empty, reaches an end that passes the condition."""
+    a = compile_path(e)
+    stops = {q: _step(g, a.leaves[q - 1]).where(good(F.col("head"))).select(F.col("head").alias("x")).distinct() for q in a.accepting}
+    levels = _levels(g, a, stops, [], backward=True)
+    return levels[0].select(F.col("x").alias("v"))
+
+
+def class_trace(g: TripleGraph, e: Path, v: DataFrame, c: str) -> DataFrame | None:
+    """Triples on paths from v to c over one step and vocabulary links: the step's rows, and the links above each of their
+    ends, which the driver knows. None for other paths."""
+    found = _upwards(g, e, c)
+    if found is None:
+        return None
+    p, q, below = found
+    rows, known = g.vocabulary_rows(q) or [], set(below)
+    above: dict[str, set[tuple[str, str]]] = {}
+    for start in below:
+        links: set[tuple[str, str]] = set()
+        frontier = {start}
+        while frontier:
+            fresh = {(s, o) for s, o in rows if s in frontier and o in known} - links
+            links |= fresh
+            frontier = {o for _, o in fresh}
+        above[start] = links
+    walked = g.raw(p).where(F.col("o").isin(below)).join(v.select(F.col("v").alias("s")), "s", "left_semi").select("s", F.lit(p).alias("p"), "o")
+    pieces = [(start, s, o) for start, links in above.items() for s, o in links]
+    if not pieces:
+        return walked
+    if len(pieces) > MOST_CLOSURE:
+        return None
+    links_of = local(g.spark, pieces, start=pa.string(), s=pa.string(), o=pa.string())
+    seen = walked.select(F.col("o").alias("start")).distinct()
+    return walked.unionAll(links_of.join(seen, "start", "left_semi").select("s", F.lit(q).alias("p"), "o").distinct())
+
+
 def trace(g: TripleGraph, e: Path, start: DataFrame, stop: DataFrame, keys: list[str]) -> DataFrame:
     """Triples on paths of ``e`` from start to stop nodes (column x, beside the keys): s, p, o beside the keys."""
     a = compile_path(e)
@@ -149,7 +234,8 @@ def trace(g: TripleGraph, e: Path, start: DataFrame, stop: DataFrame, keys: list
     walks: Walks = {}
     for b, c in a.edges:
         if b in ahead:
-            walks[b, c] = _step(g, a.leaves[c - 1]).join(ahead[b].withColumnRenamed("x", "tail"), "tail", "inner" if keys else "left_semi").select(*keys, "tail", "head")
+            walked = _step(g, a.leaves[c - 1]).join(ahead[b].withColumnRenamed("x", "tail"), "tail", "inner" if keys else "left_semi").select(*keys, "tail", "head")
+            walks[b, c] = cut(walked, "walks") if len(a.leaves) > MOST_UNROLLED else walked
     back = _levels(g, a, dict.fromkeys(a.accepting, stop), keys, backward=True, walks=walks)
     found = []
     for (b, c), walked in walks.items():
@@ -175,4 +261,4 @@ def trace_from(g: TripleGraph, e: Path, v: DataFrame) -> DataFrame:
     return trace_pairs(g, e, pairs(g, e, v))
 
 
-__all__ = ["Alt", "ends", "pairs", "sources_of", "trace", "trace_from", "trace_pairs", "trace_sets"]
+__all__ = ["Alt", "class_trace", "ends", "pairs", "sources_of", "sources_where", "trace", "trace_from", "trace_pairs", "trace_sets"]

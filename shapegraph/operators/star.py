@@ -4,30 +4,18 @@ from __future__ import annotations
 
 from functools import reduce
 
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..plans.paths import Prop
-from ..plans.shapes import TOP, And, AtLeast, AtMost, ForAll, HasValue, Not, Shape, Test, Top, conjuncts, negate, to_nnf
+from ..plans.shapes import AtLeast, AtMost, ForAll, Shape, conjuncts, holds, is_local, negate, to_nnf
 from ..sources.graph import TripleGraph
 
 
 def is_star(s: Shape) -> bool:
-    return all(isinstance(c, AtLeast | AtMost | ForAll) and isinstance(c.path, Prop) and isinstance(c.shape, Top | Test | HasValue | Not) and not (isinstance(c.shape, Not) and not isinstance(c.shape.shape, Test | HasValue)) for c in conjuncts(to_nnf(s)))
-
-
-def _passes(s: Shape, o: Column) -> Column:
-    match s:
-        case Test(t):
-            return t.column(o)
-        case HasValue(c):
-            return o == c
-        case Not(x):
-            return ~_passes(x, o)
-        case And(a, b):
-            return _passes(a, o) & _passes(b, o)
-    return F.lit(s == TOP)
+    """Quantifiers over single properties whose inner shapes the end alone decides."""
+    return all(isinstance(c, AtLeast | AtMost | ForAll) and isinstance(c.path, Prop) and is_local(c.shape) for c in conjuncts(to_nnf(s)))
 
 
 def star_window(g: TripleGraph, s: Shape, target: DataFrame) -> DataFrame:
@@ -39,8 +27,8 @@ def star_window(g: TripleGraph, s: Shape, target: DataFrame) -> DataFrame:
     same, ok, shown = W.partitionBy("v"), [], []
     for c in parts:
         own = F.col("p") == c.path.name  # type: ignore[union-attr]
-        good = F.coalesce(own & _passes(c.shape, F.col("o")), F.lit(False))  # type: ignore[union-attr]
-        bad = F.coalesce(own & _passes(negate(c.shape), F.col("o")), F.lit(False))  # type: ignore[union-attr]
+        good = F.coalesce(own & holds(c.shape, F.col("o")), F.lit(False))  # type: ignore[union-attr]
+        bad = F.coalesce(own & holds(negate(c.shape), F.col("o")), F.lit(False))  # type: ignore[union-attr]
         if isinstance(c, AtLeast):
             ok.append(F.sum(good.cast("int")).over(same) >= c.n)
             shown.append(good)

@@ -83,6 +83,37 @@ def push_inverse(e: Path, turned: bool = False) -> Path:
     raise TypeError(f"no path: {e}")
 
 
+def is_step(e: Path) -> bool:
+    """One property, forwards or backwards."""
+    return isinstance(e, Prop) or (isinstance(e, Inv) and isinstance(e.path, Prop))
+
+
+def accepts_empty(e: Path | None) -> bool:
+    """Whether the focus node itself is always an end."""
+    match e:
+        case IdPath() | Star() | Opt():
+            return True
+        case Inv(p):
+            return accepts_empty(p)
+        case Seq(a, b):
+            return accepts_empty(a) and accepts_empty(b)
+        case Alt(a, b):
+            return accepts_empty(a) or accepts_empty(b)
+    return False
+
+
+def steps_of(e: Path | None) -> frozenset[str]:
+    """The properties of a path."""
+    match e:
+        case Prop(n):
+            return frozenset({n})
+        case Inv(p) | Star(p) | Opt(p):
+            return steps_of(p)
+        case Seq(a, b) | Alt(a, b):
+            return steps_of(a) | steps_of(b)
+    return frozenset()
+
+
 def path_text(e: Path) -> str:
     match e:
         case Prop(n):

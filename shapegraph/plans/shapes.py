@@ -29,10 +29,10 @@ class NodeTest:
             "pattern": lambda: terms.lexical(v).rlike(str(x)),
             "datatype": lambda: (terms.datatype(v) == str(x)) & (terms.number(v).isNotNull() if x in terms.NUMERIC else terms.instant(v).isNotNull() if x in terms.TEMPORAL else F.lit(True)),
             "lang": lambda: (terms.language(v) == str(x).lower()) | terms.language(v).startswith(f"{str(x).lower()}-"),
-            "min": lambda: terms.number(v) >= float(x),  # type: ignore[arg-type]
-            "max": lambda: terms.number(v) <= float(x),  # type: ignore[arg-type]
-            "above": lambda: terms.number(v) > float(x),  # type: ignore[arg-type]
-            "below": lambda: terms.number(v) < float(x),  # type: ignore[arg-type]
+            "min": lambda: self._scale(v) >= self._bound(),
+            "max": lambda: self._scale(v) <= self._bound(),
+            "above": lambda: self._scale(v) > self._bound(),
+            "below": lambda: self._scale(v) < self._bound(),
             "minLength": lambda: F.length(terms.lexical(v)) >= int(x),  # type: ignore[call-overload]
             "maxLength": lambda: F.length(terms.lexical(v)) <= int(x),  # type: ignore[call-overload]
             "in": lambda: v.isin(*x),  # type: ignore[misc]
@@ -40,6 +40,13 @@ class NodeTest:
         }[self.kind]()
         return F.coalesce(made, F.lit(False))
 
+    def _scale(self, v: Column) -> Column:
+        """Numbers for a bound that is a number, times for one that is text such as 2001-07-01."""
+        return terms.instant(v) if isinstance(self.value, str) else F.when(~F.isnan(terms.number(v)), terms.number(v))
+
+    def _bound(self) -> Column:
+        return F.lit(self.value).cast("timestamp_ntz") if isinstance(self.value, str) else F.lit(float(self.value))  # type: ignore[arg-type]
+
 
 class Shape:
     def __and__(self, other: Shape) -> Shape:
@@ -296,6 +303,38 @@ def reduce_tests(s: Shape) -> Shape:
     return s
 
 
+def is_local(s: Shape) -> bool:
+    """Decided by the node alone."""
+    match s:
+        case Top() | Bottom() | Test() | HasValue():
+            return True
+        case Not(x):
+            return is_local(x)
+        case And(a, b) | Or(a, b):
+            return is_local(a) and is_local(b)
+    return False
+
+
+def holds(s: Shape, v: Column) -> Column:
+    """A local shape as a condition on a node, never null."""
+    match s:
+        case Top():
+            return F.lit(True)
+        case Bottom():
+            return F.lit(False)
+        case Test(t):
+            return t.column(v)
+        case HasValue(c):
+            return v == c
+        case Not(x):
+            return ~holds(x, v)
+        case And(a, b):
+            return holds(a, v) & holds(b, v)
+        case Or(a, b):
+            return holds(a, v) | holds(b, v)
+    raise TypeError(f"not local: {s}")
+
+
 def conjuncts(s: Shape) -> list[Shape]:
     return conjuncts(s.left) + conjuncts(s.right) if isinstance(s, And) else [s]
 

@@ -6,11 +6,11 @@ import atexit
 import shutil
 import tempfile
 import uuid
-from collections.abc import Iterable, Sequence
+from collections.abc import Callable, Iterable, Iterator, Mapping, Sequence
 from functools import reduce
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 TRIPLES = "s string, p string, o string"
@@ -43,11 +43,37 @@ def local(spark: SparkSession, rows: Iterable[Sequence[object]], **columns: pa.D
     return spark.createDataFrame(pa.table({c: pa.array([r[i] for r in rows], t) for i, (c, t) in enumerate(columns.items())}))
 
 
+class LazyParts(Mapping[str, DataFrame]):
+    """Property -> DataFrame, planned when it is first read: a request pays for the tables of the properties it names."""
+
+    def __init__(self, makers: Mapping[str, Callable[[], DataFrame]]):
+        self._makers, self._made = dict(makers), {}
+
+    def __getitem__(self, p: str) -> DataFrame:
+        if p not in self._made:
+            self._made[p] = self._makers[p]()
+        return self._made[p]
+
+    def __contains__(self, p: object) -> bool:
+        return p in self._makers
+
+    def __iter__(self) -> Iterator[str]:
+        return iter(self._makers)
+
+    def __len__(self) -> int:
+        return len(self._makers)
+
+    def mapped(self, change: Callable[[DataFrame], DataFrame], names: Iterable[str] | None = None) -> LazyParts:
+        return LazyParts({p: (lambda p=p: change(self[p])) for p in (self if names is None else names) if p in self})
+
+
 class TripleGraph:
-    """parts: property -> DataFrame[s, o] with distinct rows; vocabulary: properties whose size belongs to the schema."""
+    """parts: property -> DataFrame[s, o] with distinct rows; vocabulary: properties whose size belongs to the schema; bags:
+    the same rows of a property, some more than once, where reading them so saves a shuffle."""
 
-    def __init__(self, spark: SparkSession, parts: dict[str, DataFrame], vocabulary: frozenset[str] = frozenset()):
-        self.spark, self.parts, self.vocabulary = spark, parts, vocabulary
+    def __init__(self, spark: SparkSession, parts: Mapping[str, DataFrame], vocabulary: frozenset[str] = frozenset(), bags: Mapping[str, DataFrame] | None = None):
+        self.spark, self.vocabulary = spark, vocabulary
+        self.parts, self.bags = (x if isinstance(x, LazyParts) else LazyParts({p: (lambda df=df: df) for p, df in x.items()}) for x in (parts, bags or {}))
         self._rows: dict[str, list[tuple[str, str]] | None] = {}
 
     def vocabulary_rows(self, p: str) -> list[tuple[str, str]] | None:
@@ -60,27 +86,37 @@ class TripleGraph:
         return self._rows[p]
 
     @classmethod
-    def of(cls, df: DataFrame, properties: Iterable[str] | None = None) -> TripleGraph:
+    def of(cls, df: DataFrame, properties: Iterable[str] | None = None, vocabulary: frozenset[str] = frozenset()) -> TripleGraph:
         """From a table of triples; without a list, its properties are looked up (they belong to the schema, not the data)."""
         rows = df.select("s", "p", "o").distinct()
         names = sorted(r["p"] for r in rows.select("p").distinct().collect()) if properties is None else list(properties)
-        return cls(df.sparkSession, {p: rows.where(F.col("p") == p).select("s", "o") for p in names})
+        bag = df.select("s", "p", "o")
+        return cls(df.sparkSession, {p: rows.where(F.col("p") == p).select("s", "o") for p in names}, vocabulary, {p: bag.where(F.col("p") == p).select("s", "o") for p in names})
 
     @classmethod
-    def from_rows(cls, spark: SparkSession, rows: Iterable[tuple[str, str, str]]) -> TripleGraph:
-        rows = list(rows)
-        return cls.of(local(spark, rows, s=pa.string(), p=pa.string(), o=pa.string()), sorted({r[1] for r in rows}))
+    def from_rows(cls, spark: SparkSession, rows: Iterable[tuple[str, str, str]], vocabulary: frozenset[str] = frozenset()) -> TripleGraph:
+        """Rows that the driver holds: one local relation per property."""
+        by: dict[str, set[tuple[str, str]]] = {}
+        for s, p, o in rows:
+            by.setdefault(p, set()).add((s, o))
+        return cls(spark, {p: local(spark, sorted(x), s=pa.string(), o=pa.string()) for p, x in sorted(by.items())}, vocabulary)
 
     def prop(self, p: str) -> DataFrame:
         return self.parts[p] if p in self.parts else local(self.spark, [], s=pa.string(), o=pa.string())
 
+    def raw(self, p: str) -> DataFrame:
+        """Rows of a property that may repeat: for all that ends in a set or asks whether there is a row."""
+        return self.bags[p] if p in self.bags else self.prop(p)
+
     def triples(self, properties: Iterable[str] | None = None) -> DataFrame:
-        named = [x.select("s", F.lit(p).alias("p"), "o") for p, x in self.parts.items() if properties is None or p in set(properties)]
+        wanted = None if properties is None else set(properties)
+        named = [self.parts[p].select("s", F.lit(p).alias("p"), "o") for p in self.parts if wanted is None or p in wanted]
         return reduce(DataFrame.unionAll, named) if named else local(self.spark, [], s=pa.string(), p=pa.string(), o=pa.string())
 
     def nodes(self) -> DataFrame:
-        t = self.triples()
-        return t.select(F.col("s").alias("v")).union(t.select("o")).distinct()
+        rows = [self.raw(p) for p in self.parts]
+        ends = [x.select(F.col(c).alias("v")) for x in rows for c in ("s", "o")]
+        return reduce(DataFrame.unionAll, ends).distinct() if ends else local(self.spark, [], v=pa.string())
 
     def cached(self) -> TripleGraph:
         return TripleGraph(self.spark, {p: cut(x, "graph") for p, x in self.parts.items()}, self.vocabulary)
@@ -101,7 +137,12 @@ class TripleGraph:
         return TripleGraph(self.spark, {p: x.join(s, "s", "left_semi").join(o, "o", "left_semi").select("s", "o") for p, x in self.parts.items()})
 
     def restrict(self, properties: Iterable[str]) -> TripleGraph:
-        return TripleGraph(self.spark, {p: self.parts[p] for p in properties if p in self.parts}, self.vocabulary)
+        named = list(properties)
+        return TripleGraph(self.spark, self.parts.mapped(lambda x: x, named), self.vocabulary, self.bags.mapped(lambda x: x, named))
+
+    def where(self, keep: Column) -> TripleGraph:
+        """Triples whose columns s and o pass the condition."""
+        return TripleGraph(self.spark, self.parts.mapped(lambda x: x.where(keep)), self.vocabulary, self.bags.mapped(lambda x: x.where(keep)))
 
     def stats(self) -> DataFrame:
         return self.triples().groupBy("p").agg(F.count("*").alias("triples"), F.approx_count_distinct("s").alias("subjects"), F.approx_count_distinct("o").alias("objects"))

@@ -2,13 +2,15 @@
 
 from __future__ import annotations
 
+from functools import cache, reduce
+
 import pyarrow
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.terms import day, decimal, integer, iri, literal, moment, tagged, text
-from .graph import TripleGraph, local
+from .graph import LazyParts, TripleGraph, local
 
 LINE = ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")
 
@@ -22,88 +24,130 @@ def line_iri() -> Column:
     return iri("line", *LINE, F.date_format("l_shipdate", "yyyyMMdd"))
 
 
+def containing(docs: DataFrame, items: DataFrame) -> DataFrame:
+    """item_id, doc_id where a document's text contains an item's: an equi-join on three words inside the item, then the
+    whole text. The words between an item's first and last are whole words wherever it occurs; only items with fewer than
+    five are compared with all documents."""
+    key = lambda words, at: F.xxhash64(*(F.get(words, at + k) for k in range(3)))
+    items = items.select("item_id", F.col("text").alias("item"), F.split("text", r"\s+").alias("words"))
+    docs = docs.select("doc_id", "text", F.split("text", r"\s+").alias("words"))
+    long, short = items.where(F.size("words") >= 5), items.where(F.size("words") < 5)
+    keyed = docs.where(F.size("words") >= 3).select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(0), F.size("words") - 3), lambda i: key(F.col("words"), i)))).alias("key"))
+    near = keyed.join(long.select("item_id", "item", key(F.col("words"), F.lit(1)).alias("key")), "key").select("item_id", "item", "doc_id").distinct()
+    found = near.join(docs.select("doc_id", "text"), "doc_id").where(F.contains("text", "item")).select("item_id", "doc_id")
+    return found.unionAll(docs.join(short, F.contains(docs["text"], short["item"])).select("item_id", "doc_id"))
+
+
 def build_graph(spark: SparkSession, sf_dir: str) -> TripleGraph:
-    """All properties, each a lazy projection of its table; only those that a request names are ever scanned."""
+    """All properties, each a lazy projection of its table; only those that a request names are ever planned or scanned."""
 
+    @cache
     def t(name: str) -> DataFrame:
         return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
-    def rows(df: DataFrame, s, o, distinct: bool = False) -> DataFrame:
-        out = df.select(s.alias("s"), o.alias("o")).where("s is not null and o is not null")
-        return out.distinct() if distinct else out
+    def rows(name: str, s: Column, o: Column) -> DataFrame:
+        return t(name).select(s.alias("s"), o.alias("o")).where("s is not null and o is not null")
+
+    def union(*frames: DataFrame) -> DataFrame:
+        return reduce(DataFrame.unionAll, frames)
+
+    def klass(name: str) -> Column:
+        return F.lit(f"<class/{name}>")
 
-    cust, supp, part, orders, line = t("customer"), t("supplier"), t("part"), t("orders"), t("lineitem")
-    events, docs, labels, pages, turns, bench = t("events"), t("documents"), t("labels"), t("pages"), t("conversations"), t("benchmark")
     c, su, pa, o, ln = iri("cust", "c_custkey"), iri("supp", "s_suppkey"), iri("part", "p_partkey"), iri("order", "o_orderkey"), line_iri()
-    ev, d, pg, tu = iri("event", "event_id"), iri("doc", "doc_id"), iri("page", "page_id"), iri("turn", "conv_id", "turn")
-    klass = lambda name: F.lit(f"<class/{name}>")
-    by_user = W.partitionBy("user_id").orderBy("ts", "event_id")
-    by_conv = W.partitionBy("conv_id").orderBy("turn")
-    same_text = W.partitionBy("text")
-    chained = events.withColumn("next_id", F.lead("event_id").over(by_user))
-    replied = turns.withColumn("previous", F.lag("turn").over(by_conv))
-    first_copy = docs.withColumn("first_id", F.min("doc_id").over(same_text))
-    types = [
-        rows(cust, c, iri("class/seg", "c_mktsegment")), rows(supp, su, klass("Supplier")), rows(part, pa, iri("class/part", F.regexp_extract("p_type", r"^(\S+)", 1))),
-        rows(orders, o, klass("Order")), rows(line, ln, klass("LineItem"), True), rows(events, ev, iri("class/event", "event_type")), rows(docs, d, klass("Document")),
-        rows(pages, pg, klass("Page")), rows(turns, tu, klass("Turn")), rows(bench, iri("bench", "item_id"), klass("BenchItem")),
-        rows(t("region"), iri("region", "r_regionkey"), klass("Region")), rows(t("nation"), iri("nation", "n_nationkey"), klass("Nation")),
-    ]
-    type_part = types[0]
-    for x in types[1:]:
-        type_part = type_part.unionAll(x)
-    names = rows(cust, c, text(F.col("c_name"))).unionAll(rows(supp, su, text(F.col("s_name")))).unionAll(rows(part, pa, text(F.col("p_name")))).unionAll(rows(t("nation"), iri("nation", "n_nationkey"), text(F.col("n_name")))).unionAll(rows(t("region"), iri("region", "r_regionkey"), text(F.col("r_name"))))
-    sub = [(f"<class/{a}>", f"<class/{b}>") for a, b in SUBCLASSES] + [(f"<class/seg/{x}>", "<class/Customer>") for x in SEGMENTS] + [(f"<class/event/{e}>", f"<class/{k}>") for e, k in EVENTS.items()]
-    part_classes = part.select(iri("class/part", F.regexp_extract("p_type", r"^(\S+)", 1)).alias("s"), klass("Part").alias("o")).distinct()
-    links = pages.select(pg.alias("s"), F.explode(F.regexp_extract_all("html", F.lit(r'href="(/[^"]*)"'), 1)).alias("path")).select("s", F.concat(F.lit("<path"), "path", F.lit(">")).alias("o")).distinct()
-    title = F.regexp_extract("html", r"(?s)<title>(.*?)</title>", 1)
-    page_lang = F.regexp_extract("html", r'<html lang="([a-z]+)"', 1)
+    ev, d, pg, tu, bench = iri("event", "event_id"), iri("doc", "doc_id"), iri("page", "page_id"), iri("turn", "conv_id", "turn"), iri("bench", "item_id")
+    nation, region, vec = iri("nation", "n_nationkey"), iri("region", "r_regionkey"), iri("vec", "vec_id")
+    part_class = iri("class/part", F.regexp_extract("p_type", r"^(\S+)", 1))
+    title, page_lang = F.regexp_extract("html", r"(?s)<title>(.*?)</title>", 1), F.regexp_extract("html", r'<html lang="([a-z]+)"', 1)
+
+    def types(exact: bool) -> DataFrame:
+        lines = rows("lineitem", ln, klass("LineItem"))
+        return union(
+            rows("customer", c, iri("class/seg", "c_mktsegment")), rows("supplier", su, klass("Supplier")), rows("part", pa, part_class), rows("orders", o, klass("Order")),
+            lines.distinct() if exact else lines, rows("events", ev, iri("class/event", "event_type")), rows("documents", d, klass("Document")), rows("pages", pg, klass("Page")),
+            rows("conversations", tu, klass("Turn")), rows("benchmark", bench, klass("BenchItem")), rows("region", region, klass("Region")), rows("nation", nation, klass("Nation")), rows("embeddings", vec, klass("Vector")),
+        )
+
+    def subclasses() -> DataFrame:
+        known = [(f"<class/{a}>", f"<class/{b}>") for a, b in SUBCLASSES] + [(f"<class/seg/{x}>", "<class/Customer>") for x in SEGMENTS] + [(f"<class/event/{e}>", f"<class/{k}>") for e, k in EVENTS.items()]
+        return local(spark, known, s=pyarrow.string(), o=pyarrow.string()).union(t("part").select(part_class.alias("s"), klass("Part").alias("o")).distinct())
+
+    def names() -> DataFrame:
+        return union(rows("customer", c, text(F.col("c_name"))), rows("supplier", su, text(F.col("s_name"))), rows("part", pa, text(F.col("p_name"))), rows("nation", nation, text(F.col("n_name"))), rows("region", region, text(F.col("r_name"))))
+
+    def next_events() -> DataFrame:
+        after = F.lead("event_id").over(W.partitionBy("user_id").orderBy("ts", "event_id"))
+        return t("events").withColumn("next_id", after).select(ev.alias("s"), iri("event", "next_id").alias("o")).where("o is not null")
+
+    def replies() -> DataFrame:
+        before = F.lag("turn").over(W.partitionBy("conv_id").orderBy("turn"))
+        return t("conversations").withColumn("previous", before).select(tu.alias("s"), iri("turn", "conv_id", "previous").alias("o")).where("o is not null")
+
+    def first_copies() -> DataFrame:
+        """By SHA-256 of the text, so that groups are told apart by a digest of fixed width."""
+        same = W.partitionBy(F.sha2(F.col("text"), 256))
+        return t("documents").where("text is not null").withColumn("first_id", F.min("doc_id").over(same)).select(d.alias("s"), iri("doc", "first_id").alias("o")).where("s is not null and o is not null")
+
+    def links() -> DataFrame:
+        return t("pages").select(pg.alias("s"), F.explode(F.regexp_extract_all("html", F.lit(r'href="(/[^"]*)"'), 1)).alias("path")).select("s", F.concat(F.lit("<path"), "path", F.lit(">")).alias("o")).where("s is not null")
+
+    def quotes() -> DataFrame:
+        return containing(t("documents"), t("benchmark")).select(d.alias("s"), bench.alias("o"))
+
+    # Lines may repeat in their table, so what is read from them is made distinct, save where a bag of rows does.
+    line_parts = {
+        "supplies": lambda: rows("lineitem", iri("supp", "l_suppkey"), iri("part", "l_partkey")),
+        "hasLine": lambda: rows("lineitem", iri("order", "l_orderkey"), ln),
+        "inOrder": lambda: rows("lineitem", ln, iri("order", "l_orderkey")),
+        "contains": lambda: rows("lineitem", iri("order", "l_orderkey"), iri("part", "l_partkey")),
+        "ofPart": lambda: rows("lineitem", ln, iri("part", "l_partkey")),
+        "fromSupplier": lambda: rows("lineitem", ln, iri("supp", "l_suppkey")),
+        "quantity": lambda: rows("lineitem", ln, decimal(F.col("l_quantity"))),
+        "extPrice": lambda: rows("lineitem", ln, decimal(F.col("l_extendedprice"))),
+        "discount": lambda: rows("lineitem", ln, decimal(F.col("l_discount"))),
+        "tax": lambda: rows("lineitem", ln, decimal(F.col("l_tax"))),
+        "flag": lambda: rows("lineitem", ln, literal(F.col("l_returnflag"))),
+        "lineStatus": lambda: rows("lineitem", ln, literal(F.col("l_linestatus"))),
+        "shippedOn": lambda: rows("lineitem", ln, day(F.col("l_shipdate"))),
+    }
     parts = {
-        "type": type_part,
-        "subClassOf": local(spark, sub, s=pyarrow.string(), o=pyarrow.string()).union(part_classes),
+        "type": lambda: types(True),
+        "subClassOf": subclasses,
         "name": names,
-        "inRegion": rows(t("nation"), iri("nation", "n_nationkey"), iri("region", "n_regionkey")),
-        "inNation": rows(cust, c, iri("nation", "c_nationkey")).unionAll(rows(supp, su, iri("nation", "s_nationkey"))),
-        "balance": rows(cust, c, decimal(F.col("c_acctbal"))).unionAll(rows(supp, su, decimal(F.col("s_acctbal")))),
-        "supplies": rows(line, iri("supp", "l_suppkey"), iri("part", "l_partkey"), True),
-        "brand": rows(part, pa, iri("brand", F.replace("p_brand", F.lit("Brand#"), F.lit("")))),
-        "size": rows(part, pa, integer(F.col("p_size"))),
-        "price": rows(part, pa, decimal(F.col("p_retailprice"))),
-        "placedBy": rows(orders, o, iri("cust", "o_custkey")),
-        "status": rows(orders, o, literal(F.col("o_orderstatus"))),
-        "total": rows(orders, o, decimal(F.col("o_totalprice"))),
-        "orderedOn": rows(orders, o, day(F.col("o_orderdate"))),
-        "priority": rows(orders, o, literal(F.col("o_orderpriority"))),
-        "hasLine": rows(line, iri("order", "l_orderkey"), ln, True),
-        "inOrder": rows(line, ln, iri("order", "l_orderkey"), True),
-        "contains": rows(line, iri("order", "l_orderkey"), iri("part", "l_partkey"), True),
-        "ofPart": rows(line, ln, iri("part", "l_partkey"), True),
-        "fromSupplier": rows(line, ln, iri("supp", "l_suppkey"), True),
-        "quantity": rows(line, ln, decimal(F.col("l_quantity")), True),
-        "extPrice": rows(line, ln, decimal(F.col("l_extendedprice")), True),
-        "discount": rows(line, ln, decimal(F.col("l_discount")), True),
-        "tax": rows(line, ln, decimal(F.col("l_tax")), True),
-        "flag": rows(line, ln, literal(F.col("l_returnflag")), True),
-        "lineStatus": rows(line, ln, literal(F.col("l_linestatus")), True),
-        "shippedOn": rows(line, ln, day(F.col("l_shipdate")), True),
-        "byUser": rows(events, ev, iri("user", "user_id")),
-        "at": rows(events, ev, moment(F.col("ts"))),
-        "value": rows(events, ev, decimal(F.col("value"))),
-        "k": rows(events, ev, integer(F.get_json_object("props", "$.k"))),
-        "next": rows(chained, ev, iri("event", "next_id")),
-        "excerpt": rows(docs, d, tagged(F.substring("text", 1, 64), F.col("lang"))).unionAll(rows(bench, iri("bench", "item_id"), text(F.substring("text", 1, 64)))),
-        "source": rows(docs, d, iri("source", "source")),
-        "nChars": rows(docs, d, integer(F.col("n_chars"))),
-        "canonical": rows(first_copy, d, iri("doc", "first_id")),
-        "quality": rows(labels, d, integer(F.col("quality"))),
-        "toxic": rows(labels, d, integer(F.col("toxic"))),
-        "url": rows(pages, pg, text(F.col("url"))),
-        "host": rows(pages, pg, iri("host", F.regexp_extract("url", "://([^/?#]*)", 1))),
-        "title": rows(pages, pg, tagged(title, page_lang)),
-        "linksTo": links,
-        "inConv": rows(turns, tu, iri("conv", "conv_id")),
-        "role": rows(turns, tu, literal(F.col("role"))),
-        "chars": rows(turns, tu, integer(F.length("text"))),
-        "replyTo": rows(replied, tu, iri("turn", "conv_id", "previous")),
+        "inRegion": lambda: rows("nation", nation, iri("region", "n_regionkey")),
+        "inNation": lambda: union(rows("customer", c, iri("nation", "c_nationkey")), rows("supplier", su, iri("nation", "s_nationkey"))),
+        "balance": lambda: union(rows("customer", c, decimal(F.col("c_acctbal"))), rows("supplier", su, decimal(F.col("s_acctbal")))),
+        "brand": lambda: rows("part", pa, iri("brand", F.replace("p_brand", F.lit("Brand#"), F.lit("")))),
+        "size": lambda: rows("part", pa, integer(F.col("p_size"))),
+        "price": lambda: rows("part", pa, decimal(F.col("p_retailprice"))),
+        "placedBy": lambda: rows("orders", o, iri("cust", "o_custkey")),
+        "status": lambda: rows("orders", o, literal(F.col("o_orderstatus"))),
+        "total": lambda: rows("orders", o, decimal(F.col("o_totalprice"))),
+        "orderedOn": lambda: rows("orders", o, day(F.col("o_orderdate"))),
+        "priority": lambda: rows("orders", o, literal(F.col("o_orderpriority"))),
+        "byUser": lambda: rows("events", ev, iri("user", "user_id")),
+        "at": lambda: rows("events", ev, moment(F.col("ts"))),
+        "value": lambda: rows("events", ev, decimal(F.col("value"))),
+        "k": lambda: rows("events", ev, integer(F.get_json_object("props", "$.k"))),
+        "next": next_events,
+        "excerpt": lambda: union(rows("documents", d, tagged(F.substring("text", 1, 64), F.col("lang"))), rows("benchmark", bench, text(F.substring("text", 1, 64)))),
+        "source": lambda: rows("documents", d, iri("source", "source")),
+        "nChars": lambda: rows("documents", d, integer(F.col("n_chars"))),
+        "canonical": first_copies,
+        "quotes": quotes,
+        "quality": lambda: rows("labels", d, integer(F.col("quality"))),
+        "toxic": lambda: rows("labels", d, integer(F.col("toxic"))),
+        "url": lambda: rows("pages", pg, text(F.col("url"))),
+        "host": lambda: rows("pages", pg, iri("host", F.regexp_extract("url", "://([^/?#]*)", 1))),
+        "title": lambda: rows("pages", pg, tagged(title, page_lang)),
+        "linksTo": lambda: links().distinct(),
+        "inConv": lambda: rows("conversations", tu, iri("conv", "conv_id")),
+        "role": lambda: rows("conversations", tu, literal(F.col("role"))),
+        "chars": lambda: rows("conversations", tu, integer(F.length("text"))),
+        "replyTo": replies,
+        "label": lambda: rows("embeddings", vec, iri("label", "label")),
+        "norm": lambda: rows("embeddings", vec, decimal(F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x.cast("double") * x.cast("double"))))),
+        **{p: (lambda make=make: make().distinct()) for p, make in line_parts.items()},
     }
-    return TripleGraph(spark, parts, frozenset({"subClassOf"}))
+    bags = {**line_parts, "type": lambda: types(False), "linksTo": links}
+    return TripleGraph(spark, LazyParts(parts), frozenset({"subClassOf"}), LazyParts(bags))

@@ -125,7 +125,7 @@ def segments(g: TripleGraph, upto: int, of: int = 5) -> TripleGraph:
     """The first ``upto`` fifths: dimension subjects are all in the first, others spread by a hash of the subject."""
     fixed = F.col("s").rlike("^<(region|nation|part|supp|class)/")
     keep = fixed | (F.pmod(F.xxhash64("s"), F.lit(of)) < upto)
-    return TripleGraph(g.spark, {p: x.where(keep) for p, x in g.parts.items()}, g.vocabulary)
+    return g.where(keep)
 
 
 def hub_request(node_: str) -> Shape:

@@ -22,7 +22,7 @@ def rows(df):
 
 @pytest.fixture(scope="module")
 def papers(spark):
-    return TripleGraph.from_rows(spark, PAPERS)
+    return TripleGraph.from_rows(spark, PAPERS, frozenset({"subClassOf"}))
 
 
 def nodes(df):
