@@ -132,6 +132,8 @@ class Engine:
                 return self._selective(x) and not steps_of(e) & (self.g.vocabulary | {"type"})
             case And():
                 return any(map(self._selective, conjuncts(s)))
+            case Or(a, b):
+                return self._selective(a) and self._selective(b)
         return False
 
     def resolve(self, target: Shape) -> DataFrame:

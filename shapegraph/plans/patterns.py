@@ -9,7 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..operators.evidence import Engine
-from ..sources.graph import TripleGraph
+from ..sources.graph import TripleGraph, cut
 from .paths import Inv, Prop
 from .shapes import TOP, AtLeast, AtMost, HasValue, NodeTest, Shape, Test, all_of, any_of, class_target
 
@@ -54,9 +54,51 @@ def pattern_to_shape(n: PatternNode) -> Shape:
     return all_of(*parts) if parts else TOP
 
 
-def why_not(kind: str) -> str | None:
-    """Why a query of this kind is no shape (fixed list of reasons), or None."""
-    return {"property variable": "a property is unknown", "arithmetic": "values are computed", "counting": "two counts are compared", "clique": "the pattern has a cycle"}.get(kind)
+@dataclass(frozen=True)
+class GraphQuery:
+    """Atoms (subject, property, object), where ``?x`` is a variable; ``computed``: variables that one expression takes
+    together; ``counted``: variables whose numbers of values are compared."""
+
+    atoms: tuple[tuple[str, str, str], ...]
+    computed: tuple[tuple[str, ...], ...] = ()
+    counted: tuple[str, ...] = ()
+
+
+def as_query(n: PatternNode, name: str = "?n") -> GraphQuery:
+    """A tree pattern's atoms; absent and optional edges are edges too."""
+    atoms: list[tuple[str, str, str]] = []
+    for i, e in enumerate(n.edges):
+        kid, p = f"{name}_{i}", e.prop.lstrip("^")
+        far = e.node.value or kid
+        atoms.append((far, p, name) if e.prop.startswith("^") else (name, p, far))
+        atoms += as_query(e.node, kid).atoms
+    return GraphQuery(tuple(atoms))
+
+
+def why_not(q: GraphQuery) -> str | None:
+    """Why a query is no shape: it has a property variable, computes with several values, compares counts, or its variables
+    form a cycle (or fall apart); None if it is a tree of constant properties."""
+    if any(p.startswith("?") for _, p, _ in q.atoms):
+        return "property variable"
+    if any(len(set(x)) > 1 for x in q.computed):
+        return "arithmetic"
+    if q.counted:
+        return "counting"
+    root: dict[str, str] = {}
+
+    def find(x: str) -> str:
+        while root.setdefault(x, x) != x:
+            x = root[x]
+        return x
+
+    for s, _, o in q.atoms:
+        if s.startswith("?") and o.startswith("?"):
+            a, b = find(s), find(o)
+            if a == b:
+                return "cycle"
+            root[a] = b
+    variables = {x for s, _, o in q.atoms for x in (s, o) if x.startswith("?")}
+    return "not connected" if len({find(x) for x in variables}) > 1 else None
 
 
 def _solutions(g: TripleGraph, n: PatternNode, engine: Engine, name: str, roots: DataFrame | None = None) -> tuple[DataFrame, list[tuple[str, str, str]]]:
@@ -88,18 +130,22 @@ def pattern_images(g: TripleGraph, pattern: PatternNode) -> DataFrame:
     """The triples that the solutions use; class targets add their type and subclass triples."""
     engine = Engine(g)
     rows, atoms = _solutions(g, pattern, engine, "n")
-    found = [rows.select(F.col(s).alias("s"), F.lit(p).alias("p"), F.col(o).alias("o")).where("s is not null and o is not null") for s, p, o in atoms]
+    classed = [x for x in _names(pattern, "n") if x[1].classes]
+    if classed:
+        rows = cut(rows, "solutions")
+    found = []
+    if atoms:
+        one = F.inline(F.array(*(F.struct(F.col(s).alias("s"), F.lit(p).alias("p"), F.col(o).alias("o")) for s, p, o in atoms)))
+        found.append(rows.select(one).where("s is not null and o is not null"))
+    for name, n in classed:
+        nodes = rows.select(F.col(name).alias("v")).where("v is not null").distinct()
+        found.append(engine.evidence(any_of(*map(class_target, n.classes)), nodes))
+    return reduce(DataFrame.unionAll, found).distinct()
 
-    def typed(n: PatternNode, name: str) -> None:
-        if n.classes:
-            nodes = rows.select(F.col(name).alias("v")).where("v is not null").distinct()
-            found.append(engine.evidence(any_of(*map(class_target, n.classes)), nodes))
-        for i, e in enumerate(n.edges):
-            if e.mode != "absent":
-                typed(e.node, f"{name}_{i}")
 
-    typed(pattern, "n")
-    return reduce(DataFrame.unionAll, found).distinct()
+def _names(n: PatternNode, name: str) -> list[tuple[str, PatternNode]]:
+    """Nodes that solutions bind, by their column."""
+    return [(name, n)] + [x for i, e in enumerate(n.edges) if e.mode != "absent" for x in _names(e.node, f"{name}_{i}")]
 
 
 def triple_pattern(g: TripleGraph, s: str | None = None, p: str | None = None, o: str | None = None) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -15,13 +16,14 @@ from .operators.evidence import Engine
 from .operators.reach import pairs, sources_of, trace_pairs, trace_sets
 from .operators.star import validate_and_extract_star
 from .plans.paths import Alt, Inv, Opt, Path, Prop, Seq, parse_path, path
-from .plans.patterns import bindings, pattern_images, pattern_to_shape, triple_pattern
+from .plans.patterns import as_query, bindings, pattern_images, pattern_to_shape, triple_pattern, why_not
 from .plans.shapes import TOP, AtMost, Closed, Compare, Disj, ForAll, HasValue, Shape, ShapeDef, ShapeSchema, all_of, class_target, exactly, reduce_tests, simplify, some, test
 from .plans.sqlgen import closures, run_sql, sql_size, sql_subgraph
-from .sources.graph import TripleGraph, cut
-from .sources.mapping import build_graph
+from .oracles import nodes_sql, pattern_sql, shape_sql
+from .sources.graph import TripleGraph, cut, load_graph, save_graph
+from .sources.mapping import build_graph, containing
 from .streaming.events import drain, event_triples, keep_star, once_each, stream_table, window_counts
-from .workloads import PATTERNS, SHAPES, SLICES, contains_slice, hub, hub_request, profile_shapes
+from .workloads import BEYOND, PAIRED, PATTERNS, SHAPES, SLICES, chain_request, contains_slice, hub, hub_request, profile_shapes
 
 Query = Callable[[SparkSession, str], DataFrame]
 Q: dict[str, Query] = {}
@@ -85,8 +87,23 @@ EVIDENCE_SQL = {
     "E10": f"with good as (select c_custkey, c_mktsegment from customer where c_custkey not in (select o_custkey from orders group by o_custkey having count(*) > 5)) select {CUST} as s, 'type' as p, '<class/seg/' || c_mktsegment || '>' as o from good union all select distinct '<class/seg/' || c_mktsegment || '>', 'subClassOf', '<class/Customer>' from good",
 }
 for _name, _shape in SHAPES.items():
-    query(f"conform_{_name}", NODES_SQL.get(_name))(lambda s, d, x=_shape: Engine(build_graph(s, d)).select_nodes(x))
-    query(f"evidence_{_name}", EVIDENCE_SQL.get(_name))(lambda s, d, x=_shape: Engine(build_graph(s, d)).subgraph(x))
+    query(f"conform_{_name}", NODES_SQL.get(_name) or nodes_sql(_shape))(lambda s, d, x=_shape: Engine(build_graph(s, d)).select_nodes(x))
+    query(f"evidence_{_name}", EVIDENCE_SQL.get(_name) or shape_sql(_shape))(lambda s, d, x=_shape: Engine(build_graph(s, d)).subgraph(x))
+
+
+query("conform_E1", f"select * from ({nodes_sql(PAIRED[0])}) union select * from ({nodes_sql(PAIRED[1])})")(lambda s, d: Engine(build_graph(s, d)).select_nodes(*PAIRED))
+query("evidence_E1", shape_sql(*PAIRED))(lambda s, d: Engine(build_graph(s, d)).subgraph(*PAIRED))
+CHAINED = f"e as (select distinct l_orderkey as o, l_partkey as p from lineitem join orders on o_orderkey = l_orderkey where o_orderdate >= timestamp '{SLICES[0]}'), h as (select l_partkey as p from lineitem group by l_partkey order by count(distinct l_orderkey) desc, l_partkey limit 1), r(o) as (select o from e where p in (select p from h) union select b.o from r join e a on a.o = r.o join e b on b.p = a.p)"
+
+
+@query("conform_E8_cyclic", f"with recursive {CHAINED} select '<order/' || o || '>' as v from r")
+def chained_nodes(s: SparkSession, d: str) -> DataFrame:
+    return Engine(contains_slice(build_graph(s, d), SLICES[0])).select_nodes(chain_request(hub(d, s)))
+
+
+@query("evidence_E8_cyclic", f"with recursive {CHAINED} select '<order/' || o || '>' as s, 'contains' as p, '<part/' || p || '>' as o from e where o in (select o from r)")
+def chained(s: SparkSession, d: str) -> DataFrame:
+    return Engine(contains_slice(build_graph(s, d), SLICES[0])).subgraph(chain_request(hub(d, s)))
 
 
 @query("evidence_tagged_E6", f"{E6_ORDERS} select '<order/' || ok || '>' as v, '<order/' || ok || '>' as s, 'type' as p, '<class/Order>' as o from good union all select '<order/' || l.ok || '>', '<order/' || l.ok || '>', 'hasLine', line from l join good on l.ok = good.ok union all select '<order/' || l.ok || '>', line, 'flag', '\"R\"' from l join good on l.ok = good.ok where flag = 'R'")
@@ -111,12 +128,12 @@ def validate_orders(s: SparkSession, d: str) -> DataFrame:
     return Engine(build_graph(s, d), order_schema()).report().select("shape", "focus")
 
 
-@query("validate_detail")
+@query("validate_detail", f"select 'OrderCard' as shape, {ORDER} as focus, 'AtLeast' as component, 'hasLine' as path, '1' as value, 'does not conform' as message from orders where o_orderkey not in (select l_orderkey from lineitem)")
 def validate_detail(s: SparkSession, d: str) -> DataFrame:
     return Engine(build_graph(s, d), order_schema()).report(detail=True)
 
 
-@query("schema_subgraph_orders")
+@query("schema_subgraph_orders", shape_sql(*order_schema().requests()))
 def schema_subgraph(s: SparkSession, d: str) -> DataFrame:
     return Engine(build_graph(s, d), order_schema()).schema_subgraph()
 
@@ -126,7 +143,7 @@ def fused_report(s: SparkSession, d: str) -> DataFrame:
     return Engine(build_graph(s, d), order_schema()).validate_and_extract()[0].select("shape", "focus")
 
 
-@query("fused_orders_subgraph")
+@query("fused_orders_subgraph", SQL["schema_subgraph_orders"])
 def fused_subgraph(s: SparkSession, d: str) -> DataFrame:
     return Engine(build_graph(s, d), order_schema()).validate_and_extract()[1]
 
@@ -147,7 +164,7 @@ def star_report(s: SparkSession, d: str) -> DataFrame:
 
 
 for _name, (_klass, _shape) in profile_shapes().items():
-    query(f"profile_{_name}")(lambda s, d, x=_shape, k=_klass: Engine(build_graph(s, d)).subgraph(all_of(class_target(k), x)).groupBy("p").agg(F.count("*").alias("triples")))
+    query(f"profile_{_name}", shape_sql(all_of(class_target(_klass), _shape)))(lambda s, d, x=_shape, k=_klass: Engine(build_graph(s, d)).subgraph(all_of(class_target(k), x)))
 
 
 # Paths.
@@ -194,8 +211,8 @@ PATTERN_SQL = {
     "A2a": f"select {ORDER} as s, 'type' as p, '<class/Order>' as o from orders union all select {ORDER}, 'placedBy', '<cust/' || o_custkey || '>' from orders union all select {CUST}, 'name', '\"' || c_name || '\"' from customer where c_custkey in (select o_custkey from orders)",
 }
 for _name, _pattern in PATTERNS.items():
-    query(f"subgraph_{_name}", PATTERN_SQL.get(_name))(lambda s, d, x=_pattern: Engine(build_graph(s, d)).subgraph(pattern_to_shape(x)))
-    query(f"images_{_name}", PATTERN_SQL.get(_name))(lambda s, d, x=_pattern: pattern_images(build_graph(s, d), x))
+    query(f"subgraph_{_name}", PATTERN_SQL.get(_name) or pattern_sql(_pattern))(lambda s, d, x=_pattern: Engine(build_graph(s, d)).subgraph(pattern_to_shape(x)))
+    query(f"images_{_name}", PATTERN_SQL.get(_name) or pattern_sql(_pattern))(lambda s, d, x=_pattern: pattern_images(build_graph(s, d), x))
 
 
 @query("bindings_A2a", "select '<order/' || o_orderkey || '>' as n, '<cust/' || c_custkey || '>' as n_0, '\"' || c_name || '\"' as n_0_0 from orders join customer on c_custkey = o_custkey")
@@ -209,9 +226,11 @@ def equality(s: SparkSession, d: str) -> DataFrame:
     return compare_graphs(pattern_images(g, PATTERNS["A7a"]), Engine(g).subgraph(pattern_to_shape(PATTERNS["A7a"]))).select(F.col("missing").cast("long").alias("missing"), F.col("extra").cast("long").alias("extra"), "equal")
 
 
-@query("measure_applicability", "select 39 as simulated, 46 as total")
+@query("measure_applicability", "select * from (values ('none', 39), ('property variable', 3), ('arithmetic', 2), ('counting', 1), ('cycle', 1)) t(reason, queries)")
 def applicability(s: SparkSession, d: str) -> DataFrame:
-    return s.createDataFrame([(sum(pattern_to_shape(p) is not None for p in PATTERNS.values()), len(PATTERNS) + 7)], "simulated int, total int")
+    """Why a query of the workload is no shape, from its atoms; ``none`` counts those that are shapes."""
+    asked = [as_query(p) for p in PATTERNS.values()] + list(BEYOND.values())
+    return s.createDataFrame([(why_not(q) or "none",) for q in asked], "reason string").groupBy("reason").agg(F.count("*").cast("int").alias("queries"))
 
 
 # Hub distance.
@@ -226,7 +245,7 @@ for _since in SLICES:
     query(f"hub_distance_{_since}", f"with {_base}, {_steps} select '<order/' || o || '>' as s, 'contains' as p, '<part/' || p || '>' as o from e where o in (select o from o3)")(_hub)
 
 
-@query("measure_hub_shares")
+@query("measure_hub_shares", f"with {_base.replace(SLICES[-1], SLICES[0])}, {_steps}, n as (select count(*) as nodes from (select distinct p from e where o in (select o from o3))), t as (select count(*) as triples from e where o in (select o from o3)), w as (select count(distinct p) as all_nodes, count(*) as all_triples from e) select *, round(nodes / all_nodes, 6) as node_share, round(triples / all_triples, 6) as triple_share from n, t, w")
 def hub_shares(s: SparkSession, d: str) -> DataFrame:
     g = contains_slice(build_graph(s, d), SLICES[0])
     request = hub_request(hub(d, s))
@@ -234,6 +253,17 @@ def hub_shares(s: SparkSession, d: str) -> DataFrame:
     return shares(e.subgraph(request), e.select_nodes(request), g, "contains")
 
 
+@query("hub_distance_bucketed", SQL[f"hub_distance_{SLICES[0]}"])
+def hub_bucketed(s: SparkSession, d: str) -> DataFrame:
+    """The same request on the other stored layout: a catalog table partitioned by property and bucketed by object."""
+    name = f"shapegraph_{uuid.uuid4().hex}"
+    save_graph(contains_slice(build_graph(s, d), SLICES[0]), name, by="o")
+    try:
+        return cut(Engine(load_graph(s, name, ["contains"])).subgraph(hub_request(hub(d, s))), "bucketed")
+    finally:
+        s.sql(f"drop table {name}")
+
+
 # Outside the shape language: answered natively.
 
 
@@ -454,16 +484,7 @@ def recursive_reply(s: SparkSession, d: str) -> DataFrame:
 
 @query("op_join_nested_loop", "select item_id, doc_id from benchmark b join documents d on contains(d.text, b.text)")
 def containment(s: SparkSession, d: str) -> DataFrame:
-    """Documents that contain an item: an equi-join on three words inside the item, then the whole text. The words
-    between an item's first and last are whole words wherever it occurs; only items with fewer are compared with all."""
-    key = lambda words, at: F.xxhash64(*(F.get(words, at + k) for k in range(3)))
-    items = table(s, d, "benchmark").select("item_id", F.col("text").alias("item"), F.split("text", r"\s+").alias("words"))
-    docs = table(s, d, "documents").select("doc_id", "text", F.split("text", r"\s+").alias("words"))
-    long, short = items.where(F.size("words") >= 5), items.where(F.size("words") < 5)
-    keyed = docs.where(F.size("words") >= 3).select("doc_id", F.explode(F.array_distinct(F.transform(F.sequence(F.lit(0), F.size("words") - 3), lambda i: key(F.col("words"), i)))).alias("key"))
-    near = keyed.join(long.select("item_id", "item", key(F.col("words"), F.lit(1)).alias("key")), "key").select("item_id", "item", "doc_id").distinct()
-    found = near.join(docs.select("doc_id", "text"), "doc_id").where(F.contains("text", "item")).select("item_id", "doc_id")
-    return found.unionAll(docs.join(short, F.contains(docs["text"], short["item"])).select("item_id", "doc_id"))
+    return containing(table(s, d, "documents"), table(s, d, "benchmark"))
 
 
 query("op_majority", SQL["native_N6"])(Q["native_N6"])
@@ -521,7 +542,7 @@ def stream_star(s: SparkSession, d: str) -> DataFrame:
     return seen.where("ok and evidence").groupBy("v").agg(F.count("*").alias("n"))
 
 
-@query("op_degree")
+@query("op_degree", "with t as (select '<order/' || o_orderkey || '>' as s, '<cust/' || o_custkey || '>' as o from orders union all select distinct '<order/' || l_orderkey || '>', '<part/' || l_partkey || '>' from lineitem) select v, sum(a) as out_degree, sum(b) as in_degree from (select s as v, 1 as a, 0 as b from t union all select o, 0, 1 from t) group by v")
 def degree(s: SparkSession, d: str) -> DataFrame:
     return build_graph(s, d).restrict(["placedBy", "contains"]).degrees()
 

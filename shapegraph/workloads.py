@@ -6,9 +6,9 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from .plans.paths import ID, Inv, Prop, parse_path, path
-from .plans.patterns import PatternNode, leaf, node
+from .plans.patterns import GraphQuery, PatternNode, leaf, node
 from .plans.patterns import Edge as E_
-from .plans.shapes import TOP, AtMost, Closed, Disj, Eq, ForAll, HasValue, Shape, UniqueLang, all_of, any_of, class_target, exactly, less_than, objects_of, some, test
+from .plans.shapes import TOP, AtLeast, AtMost, Closed, Compare, Disj, Eq, ForAll, HasValue, Shape, UniqueLang, all_of, any_of, class_target, exactly, less_than, objects_of, some, test
 from .sources.graph import TripleGraph
 
 R, FINISHED = HasValue('"R"'), HasValue('"F"')
@@ -21,6 +21,8 @@ SHAPES: dict[str, Shape] = {
     "E4n": Disj(path("^placedBy", "hasLine", "fromSupplier", "inNation"), "inNation") & class_target("Customer"),
     "E5": Eq(ID, "canonical") & class_target("Document"),
     "E6": all_of(some("hasLine"), AtMost(1, Prop("hasLine"), ~some("flag", R)), class_target("Order")),
+    "E7": AtMost(0, Prop("hasLine"), TOP) & class_target("Order"),
+    "E8": all_of(some("(inOrder/hasLine)*", some("flag", R)), some("inOrder", any_of(HasValue("<order/1>"), HasValue("<order/2>"), HasValue("<order/3>")))),
     "E9": ForAll(Prop("hasLine"), some("lineStatus", FINISHED)) & class_target("Order"),
     "E10": AtMost(5, path("^placedBy"), TOP) & class_target("Customer"),
     "E11": less_than("^hasLine/orderedOn", "shippedOn") & class_target("LineItem"),
@@ -32,6 +34,9 @@ SHAPES: dict[str, Shape] = {
     "E15": some("replyTo*", some("role", HasValue('"system"'))),
 }
 
+#: Two requests, each a shape with its target.
+PAIRED = [all_of(some("placedBy"), any_of(some("hasLine"), some("contains")), class_target("Order")), all_of(some("name"), objects_of("placedBy"))]
+
 #: Tree patterns, three of each template.
 PATTERNS: dict[str, PatternNode] = {
     "A1a": node(leaf("status"), leaf("total"), leaf("placedBy"), classes=("Order",)),
@@ -58,7 +63,7 @@ PATTERNS: dict[str, PatternNode] = {
     "A8a": node(leaf("url", test=("pattern", "^https")), classes=("Page",)),
     "A8b": node(leaf("name", test=("pattern", "^red")), classes=("Part",)),
     "A8c": node(leaf("name", test=("pattern", "0$")), classes=("Customer",)),
-    "A9a": node(E_("source", node(), "optional"), E_("quality", node(), "optional"), classes=("Document",)),
+    "A9a": node(E_("quotes", node(leaf("excerpt")), "optional"), classes=("Document",)),
     "A9b": node(E_("hasLine", node(leaf("flag", value='"R"')), "optional"), classes=("Order",)),
     "A9c": node(E_("replyTo", node(leaf("role")), "optional"), classes=("Turn",)),
     "A10a": node(E_("hasLine", node(leaf("flag", value='"A"'))), E_("hasLine", node(leaf("flag", value='"R"')), "absent"), classes=("Order",)),
@@ -84,6 +89,45 @@ CLASSES: dict[str, dict[str, str | None]] = {
 }
 
 
+#: Per class: further tests on the values of its literals (ranges, patterns, lengths).
+VALUES: dict[str, list[tuple[str, Shape]]] = {
+    "Region": [("name", test("pattern", "^[A-Z ]+$"))], "Nation": [("name", test("maxLength", 25))], "Customer": [("balance", test("min", -1000)), ("name", test("pattern", "^Customer"))],
+    "Supplier": [("balance", test("above", 0))], "Part": [("size", test("min", 1) & test("max", 40)), ("price", test("above", 900))], "Order": [("status", test("in", ('"F"', '"O"'))), ("orderedOn", test("min", "1995-01-01"))],
+    "LineItem": [("quantity", test("max", 45)), ("shippedOn", test("below", "2001-01-01"))], "Event": [("value", test("below", 400)), ("k", test("min", 0))], "Document": [("excerpt", test("lang", "en")), ("nChars", test("min", 1))],
+    "Page": [("url", test("pattern", "^https?://")), ("title", test("minLength", 1))], "Turn": [("role", test("in", ('"user"', '"assistant"')))],
+}
+
+#: Per class: what its references lead to, and references that must lead to it.
+REFERENCES: dict[str, Shape] = {
+    "Region": some("^inRegion", class_target("Nation")),
+    "Nation": all_of(ForAll(Prop("inRegion"), class_target("Region")), some("^inNation")),
+    "Customer": all_of(ForAll(Prop("inNation"), class_target("Nation")), some("^placedBy")),
+    "Supplier": all_of(ForAll(Prop("inNation"), class_target("Nation")), some("supplies", class_target("Part"))),
+    "Part": all_of(ForAll(Inv(Prop("supplies")), class_target("Supplier")), some("brand", test("iri"))),
+    "Order": all_of(ForAll(Prop("placedBy"), any_of(class_target("seg/BUILDING"), class_target("seg/MACHINERY"), class_target("seg/HOUSEHOLD"))), some("hasLine")),
+    "LineItem": all_of(ForAll(Prop("ofPart"), class_target("Part")), ForAll(Prop("fromSupplier"), class_target("Supplier")), some("^hasLine")),
+    "Event": all_of(ForAll(Prop("next"), any_of(class_target("SystemEvent"), class_target("Interaction"))), some("byUser", test("iri"))),
+    "Document": all_of(ForAll(Prop("canonical"), class_target("Document")), some("^canonical")),
+    "Page": all_of(some("linksTo", test("iri")), some("host")),
+    "Turn": all_of(ForAll(Prop("replyTo"), class_target("Turn")), some("^replyTo")),
+}
+
+#: Per class: an atom over two paths.
+PAIRS: dict[str, Shape] = {
+    "Region": all_of(Disj(path("^inRegion", "name"), "name"), UniqueLang(Prop("name"))),
+    "Nation": Disj(path("inRegion", "name"), "name"),
+    "Customer": ~Disj(path("^placedBy", "hasLine", "fromSupplier", "inNation"), "inNation"),
+    "Supplier": Eq(path("^fromSupplier", "ofPart"), "supplies"),
+    "Part": all_of(Compare(Prop("size"), "<", "price"), Disj(ID, "brand")),
+    "Order": ~Compare(path("hasLine", "shippedOn"), ">=", "orderedOn"),
+    "LineItem": Compare(path("^hasLine", "orderedOn"), "<=", "shippedOn"),
+    "Event": Compare(path("next", "at"), ">=", "at"),
+    "Document": ~Eq(ID, "canonical"),
+    "Page": ~UniqueLang(path("linksTo", "^linksTo", "title")),
+    "Turn": all_of(Disj(path("replyTo", "role"), "role"), ~Eq(path("replyTo", "chars"), "chars")),
+}
+
+
 def profile_shapes() -> dict[str, tuple[str, Shape]]:
     """58 shapes with their target classes: three analogues and five profiles of each class."""
     out: dict[str, tuple[str, Shape]] = {
@@ -92,13 +136,12 @@ def profile_shapes() -> dict[str, tuple[str, Shape]]:
         "B-offer": ("Part", all_of(exactly(1, Prop("name")), exactly(1, Prop("price")), exactly(1, Prop("size")), AtMost(1, Prop("brand"), TOP), ForAll(Prop("price"), test("datatype", "decimal")), some("^supplies"), ForAll(Inv(Prop("supplies")), class_target("Supplier")))),
     }
     for name, props in CLASSES.items():
-        literals, references = [p for p, d in props.items() if d], [p for p, d in props.items() if not d]
         first = next(iter(props))
         out[f"B-{name}-card"] = (name, all_of(*(exactly(1, Prop(p)) for p in props)))
-        out[f"B-{name}-value"] = (name, all_of(*(ForAll(Prop(p), test("datatype", props[p])) for p in literals)))
-        out[f"B-{name}-ref"] = (name, all_of(*(ForAll(Prop(p), test("iri")) & some(p) for p in references)) if references else some("^inRegion"))
-        out[f"B-{name}-pair"] = (name, all_of(UniqueLang(Prop(first)), Disj(ID, first), Eq(Prop(first), first)))
-        out[f"B-{name}-neg"] = (name, all_of(~Closed(frozenset({first})), any_of(~some(first, test("blank")), AtMost(0, Prop(first), TOP))))
+        out[f"B-{name}-value"] = (name, all_of(*(ForAll(Prop(p), test("datatype", d)) for p, d in props.items() if d), *(ForAll(Prop(p), x) for p, x in VALUES[name])))
+        out[f"B-{name}-ref"] = (name, REFERENCES[name])
+        out[f"B-{name}-pair"] = (name, PAIRS[name])
+        out[f"B-{name}-neg"] = (name, all_of(~Closed(frozenset({first, "quotes"})), any_of(~some(first, test("blank")), AtMost(0, Prop(first), TOP)), ~Disj(Prop("type"), "type")))
     return out
 
 
@@ -112,6 +155,26 @@ def hub(sf_dir: str, spark: SparkSession) -> str:
     return f"<part/{top['l_partkey']}>"
 
 
+#: Orders that a chain of shared parts joins to one with the hub: a loop over a cyclic, skewed relation.
+CHAIN = parse_path("(contains/^contains)*")
+
+
+def chain_request(node_: str) -> Shape:
+    return AtLeast(1, CHAIN, some("contains", HasValue(node_)))
+
+
+#: Queries beside the 39 patterns, as atoms over variables (``?x``), with what else they compute.
+BEYOND: dict[str, GraphQuery] = {
+    "N1": GraphQuery((("?order", "priority", '"1-URGENT"'), ("?order", "?any", "?value"))),
+    "N2": GraphQuery((("?supplier", "?any", "?customer"),)),
+    "N3": GraphQuery((("?customer", "?any", "?value"), ("?supplier", "?any", "?value"))),
+    "N4": GraphQuery((("?line", "extPrice", "?e"), ("?line", "discount", "?d")), computed=(("?e", "?d"),)),
+    "N5": GraphQuery((("?order", "total", "?t"), ("?order", "hasLine", "?line"), ("?line", "extPrice", "?e")), computed=(("?t", "?e"),)),
+    "N6": GraphQuery((("?f", "placedBy", "?customer"), ("?n", "placedBy", "?customer")), counted=("?f", "?n")),
+    "N7": GraphQuery(tuple((f"?{a}{b}", "contains", f"?{x}") for a, b in ("ab", "ac", "ad", "bc", "bd", "cd") for x in (a, b))),
+}
+
+
 def contains_slice(g: TripleGraph, since: str) -> TripleGraph:
     """Only ``contains`` triples of orders from a date on."""
     recent = g.prop("orderedOn").where(F.col("o") >= f'"{since}"').select("s")
@@ -132,4 +195,4 @@ def hub_request(node_: str) -> Shape:
     return some(HUB_PATH, HasValue(node_))
 
 
-__all__ = ["PATTERNS", "SHAPES", "SLICES", "DataFrame", "contains_slice", "hub", "hub_request", "profile_shapes", "segments"]
+__all__ = ["BEYOND", "CHAIN", "PAIRED", "PATTERNS", "SHAPES", "SLICES", "DataFrame", "chain_request", "contains_slice", "hub", "hub_request", "profile_shapes", "segments"]
