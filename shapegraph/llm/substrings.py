@@ -3,14 +3,15 @@
 Every window of WINDOW bytes holds an anchor: the place of its least 32-byte fingerprint (a prefix polynomial hash).
 Equal windows have equal anchors at equal offsets, so only suffixes at anchors with the same fingerprint need sorting:
 
-1. Anchors travel as (fingerprint, hash of the surrounding context, document, place). A context seen before covers its
-   whole surroundings at once; an anchor whose fingerprint has one context only is dropped.
+1. Anchors travel as (fingerprint, 128-bit hash of the surrounding context, document, place). A context seen before covers
+   its whole surroundings at once: contexts are told apart by 192 bits (fingerprint and hash), not by their bytes. An
+   anchor whose fingerprint has one context only is dropped.
 2. The rest fetch their contexts. Within a fingerprint, the suffixes to the right of the anchors and the reversed
    prefixes to the left are mergesorted; a comparison finds the common extension by binary search over prefix hashes.
    Common lengths of neighbours are verified on the bytes. They give, for each of the 69 windows around an anchor, the
    first document and place that has it.
-3. A fingerprint with more than HOT contexts is not sorted in one task: its windows are hashed and their first places
-   aggregated.
+3. A fingerprint with more than HOT different contexts is not sorted in one task: its windows themselves, all 100 bytes,
+   are the key of an aggregation that finds their first places, so nothing is cut off and the bytes decide.
 """
 
 from __future__ import annotations
@@ -29,9 +30,9 @@ from .common import column, cut, documents, slices, table
 WINDOW, GRAM = 100, 32
 #: Places in a window where a fingerprint can start.
 SPAN = WINDOW - GRAM + 1
-HOT = 65_536
-#: Contexts that are sorted together.
+#: Contexts that are sorted together; a fingerprint with more takes the way of whole windows.
 SORT_ROWS = 20_000
+HOT = SORT_ROWS
 
 _BASE = np.uint64(0x9E3779B97F4A7C15 | 1)
 _LETTERS = np.frombuffer(b"".join(hashlib.blake2b(bytes([i]), digest_size=8).digest() for i in range(256)), np.uint64)
@@ -79,11 +80,11 @@ def anchors(text: bytes) -> tuple[np.ndarray, np.ndarray]:
     return at, grams[at]
 
 
-ANCHORS = "k long, x long, d long, q long"
+ANCHORS = "k long, x long, y long, d long, q long"
 
 
 def _anchor_rows(batches):
-    """Anchors of all texts; within a batch only the first of each (fingerprint, context), the others as covered (x = 0)."""
+    """Anchors of all texts; within a batch only the first of each (fingerprint, context), the others as covered (x = y = 0)."""
     for rows, texts in slices(batches):
         ids, marks = column(rows, "d").to_pylist(), column(rows, "h").to_pylist()
         parts = []
@@ -91,20 +92,21 @@ def _anchor_rows(batches):
             if len(text) < WINDOW:
                 continue
             at, keys = anchors(text)
-            contexts = [xxhash.xxh3_64_intdigest(text[max(0, p - SPAN + 1) : p + WINDOW], min(p, SPAN)) or 1 for p in at.tolist()]
-            parts.append((keys, np.array(contexts, np.uint64), np.full(len(at), d), np.array([h], np.uint64) << np.uint64(32) | at.astype(np.uint64)))
+            digests = b"".join(xxhash.xxh3_128_digest(text[max(0, p - SPAN + 1) : p + WINDOW], min(p, SPAN)) for p in at.tolist())
+            contexts = np.frombuffer(digests, np.uint64).reshape(-1, 2)
+            parts.append((keys, np.maximum(contexts[:, 0], np.uint64(1)), contexts[:, 1], np.full(len(at), d), np.array([h], np.uint64) << np.uint64(32) | at.astype(np.uint64)))
         if not parts:
             continue
-        k, x, d, q = (np.concatenate(p) for p in zip(*parts, strict=True))
+        k, x, y, d, q = (np.concatenate(p) for p in zip(*parts, strict=True))
         q = q.view(np.int64)
-        order = np.lexsort((q, d, x, k))
-        k, x, d, q = k[order], x[order], d[order], q[order]
-        head = np.concatenate([[True], (k[1:] != k[:-1]) | (x[1:] != x[:-1])])
+        order = np.lexsort((q, d, y, x, k))
+        k, x, y, d, q = k[order], x[order], y[order], d[order], q[order]
+        head = np.concatenate([[True], (k[1:] != k[:-1]) | (x[1:] != x[:-1]) | (y[1:] != y[:-1])])
         first = np.maximum.accumulate(np.where(head, np.arange(len(k)), 0))
         covered = (d != d[first]) | (q != q[first])
-        x = np.where(covered, np.uint64(0), x)
+        x, y = np.where(covered, np.uint64(0), x), np.where(covered, np.uint64(0), y)
         k = np.where(covered, _mix(q.view(np.uint64) ^ d.view(np.uint64)), k)
-        yield pa.RecordBatch.from_arrays([pa.array(k.view(np.int64)), pa.array(x.view(np.int64)), pa.array(d), pa.array(q)], names=["k", "x", "d", "q"])
+        yield pa.RecordBatch.from_arrays([pa.array(k.view(np.int64)), pa.array(x.view(np.int64)), pa.array(y.view(np.int64)), pa.array(d), pa.array(q)], names=["k", "x", "y", "d", "q"])
 
 
 class SuffixSort:
@@ -250,21 +252,18 @@ def _contexts(batches):
             yield pa.RecordBatch.from_arrays([pa.array(k, pa.int64()), pa.array(hot), pa.array(d, pa.int64()), pa.array(q), pa.array(left, pa.binary()), pa.array(right, pa.binary())], names=["k", "hot", "d", "q", "l", "r"])
 
 
-def _hashed_windows(batches):
+def _windows(batches):
     for batch in batches:
         for at in range(0, batch.num_rows, 1000):
             part = batch.slice(at, 1000)
-            w1, w2, d, q = [], [], [], []
+            w, d, q = [], [], []
             for di, qi, left, right in zip(*(column(part, c).to_pylist() for c in ("d", "q", "l", "r")), strict=True):
                 whole = left + right
-                for start in range(max(0, len(whole) - WINDOW + 1)):
-                    if start <= len(left):
-                        digest = hashlib.blake2b(whole[start : start + WINDOW], digest_size=16).digest()
-                        w1.append(int.from_bytes(digest[:8], "big", signed=True))
-                        w2.append(int.from_bytes(digest[8:], "big", signed=True))
-                        d.append(di)
-                        q.append(qi - len(left) + start)
-            yield pa.RecordBatch.from_arrays([pa.array(v, pa.int64()) for v in (w1, w2, d, q)], names=["w1", "w2", "d", "q"])
+                for start in range(min(len(left), len(whole) - WINDOW) + 1):
+                    w.append(whole[start : start + WINDOW])
+                    d.append(di)
+                    q.append(qi - len(left) + start)
+            yield pa.RecordBatch.from_arrays([pa.array(w, pa.binary()), pa.array(d, pa.int64()), pa.array(q, pa.int64())], names=["w", "d", "q"])
 
 
 def merged(intervals: list[tuple[int, int]], size: int) -> list[tuple[int, int]]:
@@ -310,20 +309,21 @@ def repeated_substrings(df: DataFrame, id_col: str = "doc_id", text_col: str = "
     docs = documents(df, id_col, text_col).select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
     docs = docs.select("doc_id", F.coalesce("doc_id", smallest).alias("d"), F.crc32(F.col("text").cast("binary")).alias("h"), "text")
     found = docs.select("d", "h", "text").mapInArrow(_anchor_rows, ANCHORS)
-    same, context = W.partitionBy("k"), W.partitionBy("k", "x").orderBy("d", "q")
-    first = F.first(F.struct("d", "q")).over(context)
+    # First by context, so that a fingerprint that many rows share is spread over its contexts; then only one row of each
+    # context is counted by its fingerprint, with a partial count before the shuffle.
+    first = F.first(F.struct("d", "q")).over(W.partitionBy("k", "x", "y").orderBy("d", "q"))
     seen = found.withColumn("first", first).withColumn("again", (F.col("x") == 0) | (F.col("first.d") != F.col("d")) | (F.col("first.q") != F.col("q")))
-    seen = seen.withColumn("low", F.min("x").over(same)).withColumn("high", F.max("x").over(same)).withColumn("held", F.sum((~F.col("again")).cast("int")).over(same))
-    kept = seen.where("again or low <> high").select("k", "d", F.shiftrightunsigned("q", 32).alias("h"), F.col("q").bitwiseAND(F.lit(0xFFFFFFFF)).alias("p"), "again", (F.col("held") > hot).alias("hot"))
-    kept = cut(kept, "anchors")
-    whole = kept.where("again").select("d", "h", (F.col("p") - (SPAN - 1)).alias("a"), (F.col("p") + WINDOW).alias("b"))
-    wanted = kept.where("not again").groupBy("d", "h").agg(F.collect_list(F.struct("k", "p", "hot")).alias("wanted"))
+    seen = cut(seen.select("k", "d", F.shiftrightunsigned("q", 32).alias("h"), F.col("q").bitwiseAND(F.lit(0xFFFFFFFF)).alias("p"), "again"), "anchors")
+    held = seen.where("not again").groupBy("k").agg(F.count("*").alias("held")).where("held > 1")
+    several = seen.where("not again").join(held, "k").select("k", "d", "h", "p", (F.col("held") > hot).alias("hot"))
+    whole = seen.where("again").select("d", "h", (F.col("p") - (SPAN - 1)).alias("a"), (F.col("p") + WINDOW).alias("b"))
+    wanted = several.groupBy("d", "h").agg(F.collect_list(F.struct("k", "p", "hot")).alias("wanted"))
     around = docs.select("d", "h", "text").join(wanted, ["d", "h"]).mapInArrow(_contexts, "k long, hot boolean, d long, q long, l binary, r binary")
     around = cut(around, "contexts")
     cold = around.where("not hot").repartition("k").sortWithinPartitions("k").mapInArrow(_sorted_covers, COVERS)
-    windows = around.where("hot").mapInArrow(_hashed_windows, "w1 long, w2 long, d long, q long")
-    least = windows.groupBy("w1", "w2").agg(F.min(F.struct("d", "q")).alias("first"))
-    later = windows.join(least, ["w1", "w2"]).where((F.col("first.d") != F.col("d")) | (F.col("first.q") != F.col("q")))
+    windows = cut(around.where("hot").mapInArrow(_windows, "w binary, d long, q long"), "windows")
+    least = windows.groupBy("w").agg(F.min(F.struct("d", "q")).alias("first"))
+    later = windows.join(least, "w").where((F.col("first.d") != F.col("d")) | (F.col("first.q") != F.col("q")))
     place = F.col("q").bitwiseAND(F.lit(0xFFFFFFFF))
     warm = later.select("d", F.shiftrightunsigned("q", 32).alias("h"), place.alias("a"), (place + WINDOW).alias("b"))
     covers = whole.unionByName(cold).unionByName(warm).groupBy("d", "h").agg(F.collect_list(F.struct("a", "b")).alias("covers"))
@@ -331,4 +331,5 @@ def repeated_substrings(df: DataFrame, id_col: str = "doc_id", text_col: str = "
 
 
 def op8_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Bytes removed from every document, and the digest of what is left."""
     return repeated_substrings(table(spark, sf_dir, "documents")).drop("removed")
