@@ -7,6 +7,7 @@
    traversal prunes pairs of nodes by the greatest overlap that they allow, and pairs that are already connected; it
    leaves a forest, not all pairs. The forests' components are families that hold every link.
 4. The classes of a family, now with their whole sets, go through the same traversal with exact verification.
+A shingle is its 64-bit hash and a class is the 128-bit digest of its hashes; links are exact on those, not on the words.
 Lists and families beyond CHUNK members are dealt out in chunks, each with a few common pivots; chunk pairs that the
 first round has not connected are compared in a second one.
 """
@@ -275,7 +276,15 @@ def similar_groups(df: DataFrame, width: int = 5, percent: int = 80, id_col: str
     alone. Repeated rows are in one component; a null id is reached like any other and never the smallest unless all
     are null; an empty table gives an empty result.
     """
-    docs = documents(df, id_col, text_col)
+    described, of_class = _classes_of(documents(df, id_col, text_col), width, percent)
+    alone = described.where("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"))
+    return described.where("n > 0").select("doc_id", "n", "c").join(of_class, "c").select("doc_id", F.col("n").alias("n_shingles"), "component_id").unionByName(alone)
+
+
+def _classes_of(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, DataFrame]:
+    """Rows doc_id, t (SHA-256 of the text), n, c (class) of all documents; and c, root, component_id of all classes with
+    shingles. A class's representative is one (id, text), so a repeated id never brings in another text."""
+    docs = docs.select("doc_id", F.unhex(F.sha2(F.coalesce("text", F.lit("")).cast("binary"), 256)).alias("t"), "text")
 
     def weigh(batches):
         memo = _WordHashes()
@@ -289,7 +298,7 @@ def similar_groups(df: DataFrame, width: int = 5, percent: int = 80, id_col: str
     heavy = weights.orderBy(F.desc("n"), "k").limit(HEAVY).collect()
     heavy_keys = np.array([r["k"] for r in heavy], np.int64).view(np.uint64)
     by_key = np.argsort(heavy_keys)
-    shipped = df.sparkSession.sparkContext.broadcast((heavy_keys[by_key], (len(heavy) - by_key).astype(np.uint64)))  # HEAVY entries at most
+    shipped = docs.sparkSession.sparkContext.broadcast((heavy_keys[by_key], (len(heavy) - by_key).astype(np.uint64)))  # HEAVY entries at most
 
     def describe(batches):
         memo, (known, rank) = _WordHashes(), shipped.value
@@ -304,11 +313,11 @@ def similar_groups(df: DataFrame, width: int = 5, percent: int = 80, id_col: str
                     if hit.any():  # light shingles by hash, then heavy ones from the least heavy on
                         s = np.concatenate([s[~hit], s[hit][np.argsort(rank[at[hit]], kind="stable")]])
                 first.append(s[:want].view(np.int64))
-            arrays = [column(rows, "doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array([digest(s) for s in sets], pa.binary()), pa.array([signature(s, bitmap_size(len(s))).tobytes() for s in sets], pa.binary()), pa.array(first, pa.list_(pa.int64()))]
-            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "n", "c", "sig", "prefix"])
+            arrays = [column(rows, "doc_id"), column(rows, "t"), pa.array([len(s) for s in sets], pa.int64()), pa.array([digest(s) for s in sets], pa.binary()), pa.array([signature(s, bitmap_size(len(s))).tobytes() for s in sets], pa.binary()), pa.array(first, pa.list_(pa.int64()))]
+            yield pa.RecordBatch.from_arrays(arrays, names=["doc_id", "t", "n", "c", "sig", "prefix"])
 
-    described = cut(docs.mapInArrow(describe, "doc_id long, n long, c binary, sig binary, prefix array<long>"), "shingled")
-    classes = cut(described.where("n > 0").groupBy("c").agg(F.min("doc_id").alias("rep"), F.first("n").alias("n"), F.first("sig").alias("sig"), F.first("prefix").alias("prefix")), "classes")
+    described = cut(docs.mapInArrow(describe, "doc_id long, t binary, n long, c binary, sig binary, prefix array<long>"), "shingled")
+    classes = cut(described.where("n > 0").groupBy("c").agg(F.min("doc_id").alias("least_id"), F.min(F.struct("doc_id", "t")).alias("rep"), F.first("n").alias("n"), F.first("sig").alias("sig"), F.first("prefix").alias("prefix")), "classes")
     posted = classes.select("c", "n", F.explode("prefix").alias("k"))
     same, by_size = W.partitionBy("k"), W.partitionBy("k").orderBy("n", "c")
     # Only members with a neighbour of compatible size can link within a list.
@@ -321,8 +330,12 @@ def similar_groups(df: DataFrame, width: int = 5, percent: int = 80, id_col: str
     posted = posted.join(enough, "c", "left_semi").withColumn("held", F.count("*").over(same)).where("held > 1")
     posted = posted.withColumn("s1", F.sum(F.xxhash64("c").cast("decimal(38,0)")).over(same)).withColumn("s2", F.sum(F.hash("c").cast("long")).over(same))
     posted = cut(posted, "postings")
-    # Lists with the same classes need one traversal only.
-    lists = posted.groupBy("held", "s1", "s2").agg(F.min("k").alias("k")).select("k")
+    # Lists with the same classes need one traversal only. Sums of hashes propose them; a list with a class that the
+    # proposed one lacks is traversed itself (both are of one length, so containment is equality).
+    proposed = posted.groupBy("held", "s1", "s2").agg(F.min("k").alias("g"))
+    other = posted.join(proposed, ["held", "s1", "s2"]).where("k <> g").select("k", "g", "c")
+    unlike = other.join(posted.select(F.col("k").alias("g"), "c"), ["g", "c"], "left_anti").select("k").distinct()
+    lists = cut(proposed.select(F.col("g").alias("k")).union(unlike), "lists")
     largest = posted.agg(F.max("held")).first()[0] or 0
     rows = posted.join(lists, "k", "left_semi").select(F.col("k").alias("g"), "c", "n").join(classes.select("c", "sig"), "c")
     maybe = cut(linked_forest(rows, percent, "lists", largest).distinct(), "maybe")
@@ -334,27 +347,40 @@ def similar_groups(df: DataFrame, width: int = 5, percent: int = 80, id_col: str
         memo = _WordHashes()
         for rows, texts in slices(batches):
             sets = shingle_sets(texts, width, memo)
-            # Where ids repeat, a row can meet the class of another text.
-            own = [i for i, (s, c) in enumerate(zip(sets, column(rows, "c").to_pylist(), strict=True)) if digest(s) == c]
-            arrays = [column(rows, "g").take(pa.array(own, pa.int32())), column(rows, "c").take(pa.array(own, pa.int32()))]
-            yield pa.RecordBatch.from_arrays([*arrays, pa.array([len(sets[i]) for i in own], pa.int64()), pa.array([sets[i].tobytes() for i in own], pa.binary())], names=["g", "c", "n", "members"])
+            yield pa.RecordBatch.from_arrays([column(rows, "g"), column(rows, "c"), pa.array([len(s) for s in sets], pa.int64()), pa.array([s.tobytes() for s in sets], pa.binary())], names=["g", "c", "n", "members"])
 
+    needed = needed.select(F.col("rep.doc_id").alias("rep_id"), F.col("rep.t").alias("rep_t"), "c", "g")
     few = F.broadcast(needed) if needed.count() <= BROADCAST_IDS else needed
-    held = docs.join(few, docs["doc_id"].eqNullSafe(F.col("rep"))).select("text", "c", "g").mapInArrow(members, "g binary, c binary, n long, members binary")
+    met = docs.join(few, (docs["t"] == F.col("rep_t")) & docs["doc_id"].eqNullSafe(F.col("rep_id"))).select("text", "c", "g")
+    # Rows that repeat an id and its text bring their class once.
+    held = met.mapInArrow(members, "g binary, c binary, n long, members binary").dropDuplicates(["c"])
     edges = cut(linked_forest(held, percent, "sets", largest), "edges")
     roots = components(edges, families.select(F.col("c").alias("node"))).select(F.col("node").alias("c"), "root")
-    joined = classes.select("c", "rep").join(roots, "c", "left").withColumn("root", F.coalesce("root", "c"))
-    least = joined.groupBy("root").agg(F.min("rep").alias("component_id"))
-    of_class = joined.join(least, "root").select("c", "component_id")
-    alone = described.where("n = 0").select("doc_id", F.col("n").alias("n_shingles"), F.col("doc_id").alias("component_id"))
-    return described.where("n > 0").select("doc_id", "n", "c").join(of_class, "c").select("doc_id", F.col("n").alias("n_shingles"), "component_id").unionByName(alone)
+    joined = classes.select("c", "least_id").join(roots, "c", "left").withColumn("root", F.coalesce("root", "c"))
+    least = joined.groupBy("root").agg(F.min("least_id").alias("component_id"))
+    return described.select("doc_id", "t", "n", "c"), cut(joined.join(least, "root").select("c", "root", "component_id"), "of-class")
 
 
 def keep_one(df: DataFrame, width: int = 5, percent: int = 80, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
-    """The input's rows and columns without those documents that a smaller id reaches; null ids stay."""
-    groups = similar_groups(df, width, percent, id_col, text_col).where("component_id < doc_id").select(F.col("doc_id").alias("__gone"))
-    return df.join(groups.distinct(), F.col(id_col) == F.col("__gone"), "left_anti")
+    """The input's rows and columns with one row of each group of near copies: that of the smallest id, null last, and among
+    rows of one id that of the least text digest. Rows are told apart by id and text, so a row is never lost since another
+    text has its id, and copies without an id go too. Texts without words are near copies of nothing and stay, repeated or
+    not; an empty table stays empty. Other columns pass through; of rows that repeat both id and text any one stays."""
+    described, of_class = _classes_of(documents(df, id_col, text_col), width, percent)
+    member = described.where("n > 0").join(of_class.select("c", "root"), "c").select(F.struct(F.col("doc_id").isNull().alias("nameless"), "doc_id", "t").alias("row"), "root")
+    rows = cut(member.groupBy("root", "row").agg(F.count("*").alias("times")), "members")
+    chosen = rows.groupBy("root").agg(F.min("row").alias("chosen"), F.count("*").alias("held"))
+    judged = rows.join(chosen.where("held > 1"), "root", "left").withColumn("gone", F.coalesce(F.col("row") != F.col("chosen"), F.lit(False)))
+    gone = cut(judged.where("gone or times > 1").select(F.col("row.doc_id").alias("gone_id"), F.col("row.t").alias("gone_text"), "gone"), "gone")
+    names = [f"in_{i}" for i in range(len(df.columns))]  # names of one's own cannot clash with the input's
+    own_id, own_text = (F.col(names[df.columns.index(x)]) for x in (id_col, text_col))
+    keyed = df.toDF(*names).select("*", F.unhex(F.sha2(F.coalesce(own_text.cast("string"), F.lit("")).cast("binary"), 256)).alias("own_text"), own_id.cast("long").alias("own_id"))
+    same = (F.col("own_text") == F.col("gone_text")) & F.col("own_id").eqNullSafe(F.col("gone_id"))
+    single = keyed.join(gone, same, "left_anti").select(*names)
+    again = keyed.join(gone.where("not gone"), same, "left_semi").dropDuplicates(["own_id", "own_text"]).select(*names)
+    return single.unionByName(again).toDF(*df.columns)
 
 
 def op7_signature_tree_join(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Set sizes and components of all documents, linked at 0.9 on three-word shingles."""
     return similar_groups(table(spark, sf_dir, "documents"), 3, 90)
