@@ -144,5 +144,23 @@ def contaminations(df: DataFrame, items: DataFrame, id_col: str = "doc_id", text
     return spark.createDataFrame([], MATCHES) if out is None else out
 
 
+def without_items(df: DataFrame, items: DataFrame, text_col: str = "text", item_id_col: str = "item_id", item_text_col: str = "text", rate: float = ERROR_RATE) -> DataFrame:
+    """The rows, with all their columns, whose text holds no item within its budget. Every row is judged by its own text:
+    null and repeated ids play no part, null and empty texts stay, repeated rows share their fate, an empty table stays
+    empty. Rows stream through one filter for each block of items; nothing is shuffled."""
+    for block in _blocks(items, item_id_col, item_text_col):
+        shipped = df.sparkSession.sparkContext.broadcast(block)
+
+        def keep(batches, shipped=shipped):
+            index = ItemIndex(shipped.value, rate)
+            for rows, texts in slices(batches, text_col):
+                clean = [not index.find(fold(t.decode("utf-8"))) for t in texts]
+                yield rows if all(clean) else rows.filter(pa.array(clean))
+
+        df = df.mapInArrow(keep, df.schema)
+    return df
+
+
 def op1_pigeonhole_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Matches of all benchmark items in all documents."""
     return contaminations(table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark"))

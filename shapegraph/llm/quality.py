@@ -13,6 +13,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql.types import LongType, StructField, StructType
 
 from .common import column, cut, documents, slices, table
 
@@ -50,10 +51,13 @@ def measure(raw: bytes) -> tuple[int, ...]:
     return len(words), points - int(hist[_SPACES].sum()), int(hist[_SYMBOLS].sum()), dup, repeated, lines, letters, upper, int(hist[33])
 
 
+def _counts(texts: list[bytes]) -> list[pa.Array]:
+    return [pa.array(c, pa.int64()) for c in zip(*map(measure, texts), strict=True)]
+
+
 def _measured(batches):
     for rows, texts in slices(batches):
-        columns = list(zip(*map(measure, texts), strict=True))
-        yield pa.RecordBatch.from_arrays([column(rows, "doc_id").cast(pa.int64()), *(pa.array(c, pa.int64()) for c in columns)], schema=_ARROW)
+        yield pa.RecordBatch.from_arrays([column(rows, "doc_id").cast(pa.int64()), *_counts(texts)], schema=_ARROW)
 
 
 def rules() -> dict[str, Column]:
@@ -110,21 +114,45 @@ def score_quality(df: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     an empty table gives an empty result.
     """
     counted = cut(documents(df, id_col, text_col).mapInArrow(_measured, FEATURES), "quality")
-    votes = rules()
-    code = sum(((v + 1) * 3**i for i, v in enumerate(votes.values())), F.lit(0)).cast("int")
-    counted = counted.withColumn("votes", code)
-    found = counted.groupBy("votes").count().collect()  # at most 3**8 rows
-    patterns = np.array([[r["votes"] // 3**i % 3 - 1 for i in range(len(votes))] for r in found]).reshape(len(found), len(votes))
+    return _judged(counted, _posteriors(counted), least)
+
+
+def _votes() -> Column:
+    return sum(((v + 1) * 3**i for i, v in enumerate(rules().values())), F.lit(0)).cast("int")
+
+
+def _posteriors(counted: DataFrame) -> DataFrame:
+    """votes, quality: the posterior of good for every vote vector that occurs."""
+    found = counted.groupBy(_votes().alias("votes")).count().collect()  # at most 3**8 rows
+    rules_held = len(rules())
+    patterns = np.array([[r["votes"] // 3**i % 3 - 1 for i in range(rules_held)] for r in found]).reshape(len(found), rules_held)
     _, post, _ = fit_votes(patterns, np.array([r["count"] for r in found]))
-    scores = df.sparkSession.createDataFrame([(r["votes"], float(p)) for r, p in zip(found, post, strict=True)], "votes int, quality double")
+    return counted.sparkSession.createDataFrame([(r["votes"], float(p)) for r, p in zip(found, post, strict=True)], "votes int, quality double")
+
+
+def _judged(counted: DataFrame, scores: DataFrame, least: float) -> DataFrame:
     failed = (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words"))
-    return (
-        counted.join(F.broadcast(scores), "votes", "left")
-        .withColumn("base_failed", failed)
-        .withColumn("kept", ~failed & (F.col("quality") >= least))
-    )
+    return counted.withColumn("votes", _votes()).join(F.broadcast(scores), "votes", "left").withColumn("base_failed", failed).withColumn("kept", ~failed & (F.col("quality") >= least))
+
+
+def accepted(df: DataFrame, text_col: str = "text", least: float = 0.5) -> DataFrame:
+    """The rows, with all their columns, whose text the rules accept. Every row is judged by its own text, so ids play no
+    part: null and repeated ids are kept or rejected like others, equal texts alike. Null and empty texts go; an empty table
+    stays empty. Texts are measured twice, once to count votes and once beside the row, and never shuffled."""
+    scores = _posteriors(documents(df.select(F.lit(None).cast("long").alias("doc_id"), F.col(text_col).alias("text"))).mapInArrow(_measured, FEATURES))
+    names = [f"in_{i}" for i in range(len(df.columns))]
+    plain = df.toDF(*names)
+    text = names[df.columns.index(text_col)]
+    fields = StructType([*plain.schema.fields, *(StructField(x, LongType()) for x in _ARROW.names[1:])])
+
+    def beside(batches):
+        for rows, texts in slices(batches, text):
+            yield pa.RecordBatch.from_arrays([*rows.columns, *_counts(texts)], names=[*names, *_ARROW.names[1:]])
+
+    return _judged(plain.mapInArrow(beside, fields), scores, least).where("kept").select(*names).toDF(*df.columns)
 
 
 def op9_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Counts and verdict of every document."""
     scored = score_quality(table(spark, sf_dir, "documents"))
     return scored.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "kept", "quality")

@@ -86,7 +86,7 @@ def match_rules(pages: DataFrame, rules: list[tuple[str, str, str]]) -> DataFram
     suffixes = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
     keyed = pages.select("host", "path").distinct().withColumn("rule_host", F.explode(suffixes))
     fits = keyed.join(known, "rule_host").where(F.col("path").startswith(F.col("rule_path")))
-    best = fits.groupBy("host", "path").agg(F.max_by(F.struct("rule", "rule_verdict"), F.struct(F.length("rule"), "rule")).alias("best"))
+    best = fits.groupBy("host", "path").agg(F.max_by(F.struct("rule", "rule_verdict"), F.struct(F.length("rule"), "rule", F.col("rule_verdict") != "block")).alias("best"))
     return pages.join(best, ["host", "path"], "left").select(*pages.columns, F.col("best.rule").alias("rule"), F.col("best.rule_verdict").alias("rule_verdict"))
 
 
