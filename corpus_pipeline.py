@@ -4,41 +4,39 @@ from __future__ import annotations
 
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from shapegraph.llm.bpe import encode
 from shapegraph.llm.common import cut, table
-from shapegraph.llm.decontaminate import contaminations
+from shapegraph.llm.decontaminate import without_items
 from shapegraph.llm.jaccard import keep_one
 from shapegraph.llm.personal import redacted
-from shapegraph.llm.quality import score_quality
+from shapegraph.llm.quality import accepted
 
 
 def quality_rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Rows whose text the weakly supervised rules accept; equal (id, text) rows share their verdict."""
-    keyed = docs.withColumn("__key", F.xxhash64("doc_id", "text"))
-    rejected = score_quality(keyed, id_col="__key").where(~F.col("kept")).select(F.col("doc_id").alias("__key")).distinct()
-    return keyed.join(rejected, "__key", "left_anti").drop("__key")
+    """Rows whose text the weakly supervised rules accept. Rows are judged by their texts, never by ids; null and empty texts
+    go, equal texts share their verdict, an empty table stays empty."""
+    return accepted(docs)
 
 
 def near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """One document of each group that links at Jaccard 0.8 on five-word shingles: the one with the smallest id."""
+    """One document of each group that links at Jaccard 0.8 on five-word shingles: the one with the smallest id (null last).
+    Rows are told apart by id and text; texts without words stay, an empty table stays empty."""
     return keep_one(docs, 5, 80)
 
 
 def benchmark_passages(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Documents that hold no benchmark item within its edit budget."""
-    found = contaminations(docs, table(spark, sf_dir, "benchmark")).select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(found, docs["doc_id"] == F.col("__gone"), "left_anti")
+    """Rows whose text holds no benchmark item within its edit budget; null and empty texts stay, ids play no part."""
+    return without_items(docs, table(spark, sf_dir, "benchmark"))
 
 
 def personal_data(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """All documents, with personal data in their texts replaced by its kind; n_chars follows."""
+    """All documents, with personal data in their texts replaced by its kind; n_chars follows. A null text stays null."""
     return redacted(docs)
 
 
 def bpe_tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Token counts and digests of every document that is left."""
+    """Token counts and digests of every row that is left; a null text counts as empty, repeated rows as often as they are there."""
     return encode(docs, public_tokenizers.path("word_bpe_49k.json"))
 
 
@@ -50,7 +48,7 @@ STAGES = [
     ("bpe_tokens", bpe_tokens),
 ]
 
-#: Votes, links, edit distances and merges are outside SQL; tests/llm holds each stage against brute force.
+#: Votes, links, edit distances and merges are outside SQL; tests/llm/test_pipeline.py holds the stages against brute force.
 ORACLE_SQL = None
 
 
