@@ -3,8 +3,8 @@
 Every window of WINDOW bytes holds an anchor: the place of its least 32-byte fingerprint (a prefix polynomial hash).
 Equal windows have equal anchors at equal offsets, so only suffixes at anchors with the same fingerprint need sorting:
 
-1. Anchors travel as (fingerprint, 128-bit hash of the surrounding context, document, place). A context seen before covers
-   its whole surroundings at once: contexts are told apart by 192 bits (fingerprint and hash), not by their bytes. An
+1. Anchors travel as (fingerprint, 96-bit hash of the surrounding context, document, place). A context seen before covers
+   its whole surroundings at once: contexts are told apart by 160 bits (fingerprint and hash), not by their bytes. An
    anchor whose fingerprint has one context only is dropped.
 2. The rest fetch their contexts. Within a fingerprint, the suffixes to the right of the anchors and the reversed
    prefixes to the left are mergesorted; a comparison finds the common extension by binary search over prefix hashes.
@@ -80,7 +80,7 @@ def anchors(text: bytes) -> tuple[np.ndarray, np.ndarray]:
     return at, grams[at]
 
 
-ANCHORS = "k long, x long, y long, d long, q long"
+ANCHORS = "k long, x long, y int, d long, q long"
 
 
 def _anchor_rows(batches):
@@ -94,7 +94,7 @@ def _anchor_rows(batches):
             at, keys = anchors(text)
             digests = b"".join(xxhash.xxh3_128_digest(text[max(0, p - SPAN + 1) : p + WINDOW], min(p, SPAN)) for p in at.tolist())
             contexts = np.frombuffer(digests, np.uint64).reshape(-1, 2)
-            parts.append((keys, np.maximum(contexts[:, 0], np.uint64(1)), contexts[:, 1], np.full(len(at), d), np.array([h], np.uint64) << np.uint64(32) | at.astype(np.uint64)))
+            parts.append((keys, np.maximum(contexts[:, 0], np.uint64(1)), contexts[:, 1] & np.uint64(0xFFFFFFFF), np.full(len(at), d), np.array([h], np.uint64) << np.uint64(32) | at.astype(np.uint64)))
         if not parts:
             continue
         k, x, y, d, q = (np.concatenate(p) for p in zip(*parts, strict=True))
@@ -106,7 +106,7 @@ def _anchor_rows(batches):
         covered = (d != d[first]) | (q != q[first])
         x, y = np.where(covered, np.uint64(0), x), np.where(covered, np.uint64(0), y)
         k = np.where(covered, _mix(q.view(np.uint64) ^ d.view(np.uint64)), k)
-        yield pa.RecordBatch.from_arrays([pa.array(k.view(np.int64)), pa.array(x.view(np.int64)), pa.array(y.view(np.int64)), pa.array(d), pa.array(q)], names=["k", "x", "y", "d", "q"])
+        yield pa.RecordBatch.from_arrays([pa.array(k.view(np.int64)), pa.array(x.view(np.int64)), pa.array(y.astype(np.uint32).view(np.int32)), pa.array(d), pa.array(q)], names=["k", "x", "y", "d", "q"])
 
 
 class SuffixSort:
@@ -313,10 +313,11 @@ def repeated_substrings(df: DataFrame, id_col: str = "doc_id", text_col: str = "
     # context is counted by its fingerprint, with a partial count before the shuffle.
     first = F.first(F.struct("d", "q")).over(W.partitionBy("k", "x", "y").orderBy("d", "q"))
     seen = found.withColumn("first", first).withColumn("again", (F.col("x") == 0) | (F.col("first.d") != F.col("d")) | (F.col("first.q") != F.col("q")))
-    seen = cut(seen.select("k", "d", F.shiftrightunsigned("q", 32).alias("h"), F.col("q").bitwiseAND(F.lit(0xFFFFFFFF)).alias("p"), "again"), "anchors")
+    seen = cut(seen.select("k", "d", "q", "again"), "anchors")
+    mark, spot = F.shiftrightunsigned("q", 32).alias("h"), F.col("q").bitwiseAND(F.lit(0xFFFFFFFF)).alias("p")
     held = seen.where("not again").groupBy("k").agg(F.count("*").alias("held")).where("held > 1")
-    several = seen.where("not again").join(held, "k").select("k", "d", "h", "p", (F.col("held") > hot).alias("hot"))
-    whole = seen.where("again").select("d", "h", (F.col("p") - (SPAN - 1)).alias("a"), (F.col("p") + WINDOW).alias("b"))
+    several = seen.where("not again").join(held, "k").select("k", "d", mark, spot, (F.col("held") > hot).alias("hot"))
+    whole = seen.where("again").select("d", mark, spot).select("d", "h", (F.col("p") - (SPAN - 1)).alias("a"), (F.col("p") + WINDOW).alias("b"))
     wanted = several.groupBy("d", "h").agg(F.collect_list(F.struct("k", "p", "hot")).alias("wanted"))
     around = docs.select("d", "h", "text").join(wanted, ["d", "h"]).mapInArrow(_contexts, "k long, hot boolean, d long, q long, l binary, r binary")
     around = cut(around, "contexts")
