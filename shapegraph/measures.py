@@ -9,10 +9,9 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .operators.evidence import Engine
-from .operators.star import is_star, star_window, validate_and_extract_star
-from .plans.paths import Prop, path_text
+from .plans.paths import steps_of
 from .plans.patterns import triple_pattern
-from .plans.shapes import AtLeast, AtMost, ForAll, Not, Shape, class_target, conjuncts, reduce_tests
+from .plans.shapes import Closed, Compare, Disj, Eq, Shape, ShapeDef, ShapeSchema, all_of, class_target, reduce_tests, simplify
 from .plans.sqlgen import closures, run_sql, sql_subgraph
 from .sources.graph import TripleGraph, fresh_path
 
@@ -30,44 +29,59 @@ def _sink(df: DataFrame) -> None:
     df.write.format("noop").mode("overwrite").save()
 
 
+def plain(g: TripleGraph, klass: str, s: Shape) -> DataFrame:
+    """Validation alone: the target nodes that break the shape."""
+    return Engine(g, ShapeSchema([ShapeDef("S", s, class_target(klass))])).report()
+
+
+def fused(g: TripleGraph, klass: str, s: Shape) -> tuple[DataFrame, DataFrame]:
+    """Validation with extraction: the report and the subgraph."""
+    return Engine(g, ShapeSchema([ShapeDef("S", s, class_target(klass))])).validate_and_extract()
+
+
+def _fuse(g: TripleGraph, klass: str, s: Shape) -> None:
+    report, found = fused(g, klass, s)
+    _sink(report)
+    _sink(found)
+
+
 def overhead(g: TripleGraph, shapes: dict[str, tuple[str, Shape]], runs: int = 5) -> dict[str, float]:
-    """Extraction over plain validation in percent, for each star shape; the graph should be written before."""
+    """Extraction over plain validation in percent, for every shape; the graph should be written before."""
     out = {}
     for name, (klass, s) in shapes.items():
-        if not is_star(s):
-            continue
-        target = Engine(g).resolve(class_target(klass))
-        plain = seconds(lambda s=s, target=target: _sink(star_window(g, s, target).where("not ok").select("v").distinct()), runs)
-        both = seconds(lambda s=s, target=target: _sink(star_window(g, s, target).where("not ok or evidence")), runs)
-        out[name] = 100 * (both - plain) / plain
+        alone = seconds(lambda s=s, k=klass: _sink(plain(g, k, s)), runs)
+        both = seconds(lambda s=s, k=klass: _fuse(g, k, s), runs)
+        out[name] = 100 * (both - alone) / alone
     return out
 
 
 def scaling_curve(graphs: list[TripleGraph], klass: str, s: Shape, runs: int = 5) -> list[float]:
-    """Seconds of validation with extraction over each of the growing graphs; the star window where the shape allows it."""
-
-    def once(g: TripleGraph) -> None:
-        target = Engine(g).resolve(class_target(klass))
-        _sink(star_window(g, s, target).where("not ok or evidence") if is_star(s) else Engine(g).evidence(s, target))
-
-    return [seconds(lambda g=g: once(g), runs) for g in graphs]
+    """Seconds of validation with extraction over each of the growing graphs."""
+    return [seconds(lambda g=g: _fuse(g, klass, s), runs) for g in graphs]
 
 
 def translation_vs_fused(g: TripleGraph, klass: str, s: Shape, runs: int = 5) -> dict[str, float]:
-    """Seconds of the generated SQL text and of the fused window for one star shape whose node tests are reduced away."""
-    reduced = reduce_tests(s)
-    if not is_star(reduced):
-        raise ValueError("the fused window takes star shapes only")
-    g = g.restrict(properties_of(reduced) | {"type", "subClassOf"})
-    text = sql_subgraph([reduced & class_target(klass)], closure=closures(g.restrict(["subClassOf"])))
-    run_sql(g, text)  # registers the views over written tables, which loading is not part of
-    target = Engine(g).resolve(class_target(klass))
-    return {"translated": seconds(lambda: _sink(g.spark.sql(text)), runs), "fused": seconds(lambda: _sink(star_window(g, reduced, target).where("ok and evidence")), runs)}
-
-
-def properties_of(s: Shape) -> set[str]:
-    """Properties of a star shape's paths."""
-    return {c.path.name for c in conjuncts(s) if isinstance(getattr(c, "path", None), Prop)}  # type: ignore[attr-defined]
+    """Seconds of the generated SQL text and of the fused engine for a shape whose node tests are reduced away; writing the
+    graph's views is loading and not part of them."""
+    reduced = simplify(reduce_tests(s))
+    request = all_of(reduced, class_target(klass))
+    g = g.restrict(properties_of(request)).cached()
+    text = sql_subgraph([request], closure=closures(g.restrict(["subClassOf"])))
+    translated = run_sql(g, text)
+    return {"translated": seconds(lambda: _sink(translated), runs), "fused": seconds(lambda: _fuse(g, klass, reduced), runs)}
+
+
+def properties_of(s: Shape, known: set[str] | frozenset[str] = frozenset()) -> set[str]:
+    """Properties that decide a shape; ``closed`` asks for all that are known beside its own."""
+    out = set(steps_of(getattr(s, "path", None)))
+    if isinstance(s, Eq | Disj | Compare):
+        out.add(s.prop)
+    if isinstance(s, Closed):
+        out |= set(known) - s.props
+    for inner in ("left", "right", "shape"):
+        if hasattr(s, inner):
+            out |= properties_of(getattr(s, inner), known)
+    return out
 
 
 def slice_curve(slices: dict[str, TripleGraph], request: Shape, runs: int = 1) -> dict[str, float]:
@@ -119,24 +133,13 @@ def shares(found: DataFrame, nodes: DataFrame, g: TripleGraph, prop: str) -> Dat
 
 def emulate_by_patterns(g: TripleGraph, s: Shape) -> tuple[DataFrame, int]:
     """The triples that single-pattern requests fetch to decide the shape, and the number of requests."""
-    props: list[str] = []
-
-    def collect(x: Shape) -> None:
-        if isinstance(x, AtLeast | AtMost | ForAll):
-            props.extend(p for p in path_text(x.path).replace("^", "/").replace("(", "/").replace(")", "/").replace("|", "/").split("/") if p.strip("*?"))
-            collect(x.shape)
-        elif isinstance(x, Not):
-            collect(x.shape)
-        else:
-            for part in conjuncts(x)[1:] and conjuncts(x):
-                collect(part)
-
-    collect(s)
-    named = sorted({p.strip("*?") for p in props})
+    named = sorted(properties_of(s, set(g.parts)))
+    if not named:
+        return g.triples([]), 0
     out = triple_pattern(g, p=named[0])
     for p in named[1:]:
         out = out.unionAll(triple_pattern(g, p=p))
     return out, len(named)
 
 
-__all__ = ["classify_growth", "emulate_by_patterns", "overhead", "seconds", "shares", "validate_and_extract_star"]
+__all__ = ["classify_growth", "emulate_by_patterns", "overhead", "seconds", "shares"]

@@ -17,7 +17,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.terms import datatype, instant, is_literal, language, lexical, number
-from ..plans.paths import Alt, IdPath, Inv, Path, Prop, accepts_empty, is_step, steps_of
+from ..plans.paths import Alt, IdPath, Inv, Path, Prop, accepts_empty, is_step, path_text, steps_of
 from ..plans.shapes import And, AtLeast, AtMost, Bottom, Closed, Compare, Disj, Eq, ForAll, HasValue, Not, Or, Shape, ShapeSchema, Test, Top, UniqueLang, all_of, conjuncts, constants, holds, is_local, negate, to_nnf
 from ..sources.graph import TripleGraph, cut, local
 from .reach import class_trace, ends, pairs, sources_of, sources_where, trace_pairs, trace_sets
@@ -459,7 +459,7 @@ class Engine:
             fails = [~level.verdict(p) for p in parts]
             v = self.resolve(target)
             judged = self._judged(level, v, False, False, False) if level.size else v
-            rows = judged.select("v", F.explode(F.array_compact(F.array(*(F.when(c, F.struct(F.lit(type(p).__name__).alias("component"), F.lit(str(getattr(p, "path", ""))).alias("path"), F.lit(str(i)).alias("value"))) for i, (p, c) in enumerate(zip(parts, fails, strict=True)))))).alias("at"))
+            rows = judged.select("v", F.explode(F.array_compact(F.array(*(F.when(c, F.struct(F.lit(type(p).__name__).alias("component"), F.lit(path_text(p.path) if hasattr(p, "path") else "").alias("path"), F.lit(str(i)).alias("value"))) for i, (p, c) in enumerate(zip(parts, fails, strict=True)))))).alias("at"))
             found.append(self._reported(rows, d.name, F.col("at.component"), F.col("at.path"), F.col("at.value")))
         empty = local(self.g.spark, [], **dict.fromkeys(("shape", "focus", "component", "path", "value", "message"), pa.string()))
         return reduce(DataFrame.unionAll, found, empty)

@@ -337,7 +337,7 @@ def shape_sql(*shapes: Shape, since: str | None = None) -> str:
     for s in map(to_nnf, shapes):
         good = t.add(("good", s), f"select distinct v from {_candidates(t, s)} where {t.cond(s, 'v')}")
         found += t.evidence(s, good)
-    return t.full(" union ".join(found) if found else "select '' as s, '' as p, '' as o where false")
+    return t.full(f"select distinct s, p, o from ({' union all '.join(found)})" if found else "select '' as s, '' as p, '' as o where false")
 
 
 
@@ -406,4 +406,4 @@ def pattern_sql(pattern: PatternNode) -> str:
                 down(e.node, f"{at}_{i}", t.add(("at", f"{at}_{i}"), f"select distinct {far} as v from {step}"))
 
     down(pattern, "n", str(fits["n"]))
-    return t.full(" union ".join(found))
+    return t.full(f"select distinct s, p, o from ({' union all '.join(found)})")

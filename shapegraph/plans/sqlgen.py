@@ -7,14 +7,18 @@ Closures of stars are tables that the caller supplies, since SQL recursion does
 from __future__ import annotations
 
 import hashlib
+import re
+import uuid
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+import pyarrow as pa
+from pyspark.sql import DataFrame
 
 from ..operators.reach import pairs
-from ..sources.graph import TripleGraph, cut
+from ..sources.graph import TripleGraph, cut, local
 from .paths import Alt, IdPath, Inv, Opt, Path, Prop, Seq, Star, push_inverse
-from .shapes import And, AtLeast, AtMost, Bottom, Closed, Disj, Eq, ForAll, HasValue, Not, Or, Shape, ShapeSchema, Test, Top, negate, to_nnf
+from ..functions.terms import NUMERIC, TEMPORAL
+from .shapes import And, AtLeast, AtMost, Bottom, Closed, Compare, Disj, Eq, ForAll, HasValue, Not, Or, Shape, ShapeSchema, Test, Top, UniqueLang, negate, to_nnf
 
 
 class Translator:
@@ -36,9 +40,9 @@ class Translator:
         e = push_inverse(e)
         match e:
             case Prop(n):
-                body = f"SELECT s AS t, s, p, o, o AS h FROM triples WHERE p = '{n}'"
+                body = f"SELECT s AS t, s, p, o, o AS h FROM triples WHERE p = {self._quote(n)}"
             case Inv(Prop(n)):
-                body = f"SELECT o AS t, s, p, o, s AS h FROM triples WHERE p = '{n}'"
+                body = f"SELECT o AS t, s, p, o, s AS h FROM triples WHERE p = {self._quote(n)}"
             case Alt(a, b):
                 body = f"SELECT * FROM {self.path(a)} UNION SELECT * FROM {self.path(b)}"
             case Opt(a):
@@ -84,7 +88,7 @@ class Translator:
                 body = f"SELECT v FROM universe LEFT ANTI JOIN (SELECT t AS v FROM {self.ends(e)} WHERE h IN (SELECT v FROM {self.conform(x)}) GROUP BY t HAVING count(*) > {n}) USING (v)"
             case ForAll(e, x):
                 body = f"SELECT v FROM universe LEFT ANTI JOIN (SELECT t AS v FROM {self.ends(e)} LEFT ANTI JOIN {self.conform(x)} x ON h = x.v) USING (v)"
-            case Eq() | Disj() | Closed():
+            case Eq() | Disj() | Closed() | Compare() | UniqueLang():
                 body = f"SELECT v FROM universe LEFT ANTI JOIN ({self.broken(s)}) USING (v)"
             case Not(HasValue() | Test() as a):
                 body = f"SELECT v FROM universe LEFT ANTI JOIN {self.conform(a)} USING (v)"
@@ -103,18 +107,73 @@ class Translator:
                 return f"SELECT t AS v FROM (SELECT * FROM {self.ends(e)} INTERSECT SELECT * FROM {self.ends(Prop(p))})"
             case Closed(props):
                 return f"SELECT s AS v FROM triples WHERE p NOT IN ({', '.join(map(self._quote, sorted(props))) or 'NULL'})"
+            case Compare():
+                return f"SELECT v FROM {self.unordered(a)}"
+            case UniqueLang(e):
+                return f"SELECT v FROM {self.clashes(e)}"
         raise TypeError(f"not translated: {a}")
 
+    def sides(self, a: Eq | Disj, common: bool) -> str:
+        """A relation (v, h, far, near): pairs of the path and of the property that both have, or that one lacks."""
+        x, y = self.ends(a.path), self.ends(Prop(a.prop))
+        body = f"SELECT t AS v, h, max(far) AS far, max(near) AS near FROM (SELECT t, h, 1 AS far, 0 AS near FROM {x} UNION ALL SELECT t, h, 0, 1 FROM {y}) GROUP BY t, h HAVING max(far) {'=' if common else '<>'} max(near)"
+        return self._named("sides", (a, common), body)
+
+    def unordered(self, a: Compare) -> str:
+        """A relation (v, h, y) of the ends and values that are out of order."""
+        left, right, sign = ("y.h", "x.h", a.relation.replace(">", "<")) if a.relation[0] == ">" else ("x.h", "y.h", a.relation)
+        kinds = [(self._number(left), self._number(right)), (self._moment(left), self._moment(right)), (self._plain(left), self._plain(right))]
+        holds = "coalesce(" + ", ".join(f"CASE WHEN isnan(try_cast({m} AS double)) OR isnan(try_cast({n} AS double)) THEN false ELSE {m} {sign} {n} END" if i == 0 else f"{m} {sign} {n}" for i, (m, n) in enumerate(kinds)) + ", false)"
+        return self._named("unordered", a, f"SELECT x.t AS v, x.h, y.h AS y FROM {self.ends(a.path)} x JOIN {self.ends(Prop(a.prop))} y ON x.t = y.t WHERE NOT {holds}")
+
+    def clashes(self, e: Path) -> str:
+        """A relation (v, h) of ends that share their language tag with another end."""
+        tag = self._tag("h")
+        return self._named("clashes", e, f"SELECT v, h FROM (SELECT t AS v, h, count(*) OVER (PARTITION BY t, {tag}) AS n FROM {self.ends(e)} WHERE {tag} <> '') WHERE n > 1")
+
     @staticmethod
-    def test(t) -> str:
-        lexical = "regexp_extract(v, '(?s)^\"(.*)\"[^\"]*$', 1)"
-        kinds = {"iri": "v LIKE '<%'", "literal": "v LIKE '\"%'", "blank": "v LIKE '\\_:%'", "datatype": f"v LIKE '%\"^^{t.value}'" if t.value != "string" else "v LIKE '\"%\"'"}
+    def _tag(x: str) -> str:
+        return f"""(CASE WHEN {x} LIKE '"%' THEN lower(regexp_extract({x}, r'"@([A-Za-z0-9-]+)$', 1)) ELSE '' END)"""
+
+    @staticmethod
+    def _content(x: str) -> str:
+        return f"""regexp_extract({x}, r'(?s)^"(.*)"[^"]*$', 1)"""
+
+    def _number(self, x: str) -> str:
+        return f"""(CASE WHEN {x} RLIKE r'(?s)^".*"\\^\\^(integer|decimal|double)$' THEN try_cast({self._content(x)} AS double) END)"""
+
+    def _moment(self, x: str) -> str:
+        return f"""(CASE WHEN {x} RLIKE r'(?s)^".*"\\^\\^(date|dateTime)$' THEN try_cast({self._content(x)} AS timestamp_ntz) END)"""
+
+    def _plain(self, x: str) -> str:
+        return f"""(CASE WHEN {x} RLIKE r'(?s)^".*"$' THEN {self._content(x)} END)"""
+
+    def test(self, t) -> str:
+        """A node test as a condition on v; a test that is a Python function has no translation."""
+        lexical = f"(CASE WHEN v LIKE '\"%' THEN {self._content('v')} WHEN v LIKE '<%' THEN substring(v, 2, length(v) - 2) ELSE v END)"
         signs = {"min": ">=", "max": "<=", "above": ">", "below": "<"}
         if t.kind in signs:
-            return f"(v LIKE '%\"^^%' AND try_cast({lexical} AS double) {signs[t.kind]} {t.value})"
-        if t.kind not in kinds:
+            if isinstance(t.value, str):
+                return f"coalesce({self._moment('v')} {signs[t.kind]} timestamp_ntz '{t.value}', false)"
+            return f"coalesce(NOT isnan({self._number('v')}) AND {self._number('v')} {signs[t.kind]} {float(t.value)}D, false)"
+        if t.kind == "datatype":
+            value = self._number("v") if t.value in NUMERIC else self._moment("v") if t.value in TEMPORAL else None
+            if t.value == "string":
+                return f"{self._plain('v')} IS NOT NULL"
+            return f"""(v RLIKE r'(?s)^".*"\\^\\^{t.value}$'{f" AND {value} IS NOT NULL" if value else ""})"""
+        made = {
+            "iri": lambda: "v LIKE '<%'",
+            "literal": lambda: "v LIKE '\"%'",
+            "blank": lambda: "startswith(v, '_:')",
+            "pattern": lambda: f"{lexical} RLIKE {self._quote(str(t.value))}",
+            "lang": lambda: f"({self._tag('v')} = {self._quote(t.value.lower())} OR startswith({self._tag('v')}, {self._quote(t.value.lower() + '-')}))",
+            "minLength": lambda: f"length({lexical}) >= {int(t.value)}",
+            "maxLength": lambda: f"length({lexical}) <= {int(t.value)}",
+            "in": lambda: f"v IN ({', '.join(map(self._quote, t.value))})",
+        }
+        if t.kind not in made:
             raise TypeError(f"not translated: {t}")
-        return kinds[t.kind]
+        return made[t.kind]()
 
     def evidence(self, s: Shape) -> str:
         """A relation (v, s, p, o)."""
@@ -136,20 +195,32 @@ class Translator:
             case AtMost(_, e, x):
                 body = along(e, negate(x))
             case Eq(IdPath(), p) | Not(Disj(IdPath(), p)):
-                body = f"SELECT s AS v, s, p, o FROM triples WHERE p = '{p}' AND s = o AND s IN (SELECT v FROM {nodes})"
+                body = f"SELECT s AS v, s, p, o FROM triples WHERE p = {self._quote(p)} AND s = o AND s IN (SELECT v FROM {nodes})"
             case Eq(e, p):
                 body = f"SELECT t AS v, s, p, o FROM {self.path(Alt(e, Prop(p)))} WHERE s IS NOT NULL AND t IN (SELECT v FROM {nodes})"
             case Not(Eq(IdPath(), p)):
-                body = f"SELECT s AS v, s, p, o FROM triples WHERE p = '{p}' AND s <> o"
-            case Not(Disj(e, p)):
-                both = self._named("both", s, f"SELECT * FROM {self.ends(e)} INTERSECT SELECT * FROM {self.ends(Prop(p))}")
-                body = f"SELECT x.t AS v, x.s, x.p, x.o FROM {self.path(e)} x LEFT SEMI JOIN {both} b ON x.t = b.t AND x.h = b.h WHERE x.s IS NOT NULL UNION SELECT x.t, x.s, x.p, x.o FROM {self.path(Prop(p))} x LEFT SEMI JOIN {both} b ON x.t = b.t AND x.h = b.h"
+                body = f"SELECT s AS v, s, p, o FROM triples WHERE p = {self._quote(p)} AND s <> o AND s IN (SELECT v FROM {nodes})"
+            case Not(Eq(e, p) | Disj(e, p) as a):
+                both = self.sides(a, isinstance(a, Disj))
+                body = self._chosen(e, p, both, "h", "h", "WHERE far = 1", "WHERE near = 1")
+            case Not(Compare(e, _, p) as a):
+                body = self._chosen(e, p, self.unordered(a), "h", "y")
+            case Not(UniqueLang(e)):
+                body = f"SELECT x.t AS v, x.s, x.p, x.o FROM {self.path(e)} x LEFT SEMI JOIN {self.clashes(e)} b ON x.t = b.v AND x.h = b.h WHERE x.s IS NOT NULL"
             case Not(Closed(props)):
                 body = f"SELECT s AS v, s, p, o FROM triples WHERE p NOT IN ({', '.join(map(self._quote, sorted(props))) or 'NULL'})"
-            case _:
+            case Top() | Bottom() | HasValue() | Test() | Not(HasValue() | Test()) | Disj() | Closed() | Compare() | UniqueLang():
                 body = none
+            case _:
+                raise TypeError(f"not translated: {s}")
         return self._named("evidence", s, body)
 
+    def _chosen(self, e: Path, p: str, pairs_: str, end: str, value: str, far: str = "", near: str = "") -> str:
+        """Paths to the chosen ends and the property's triples to the chosen values."""
+        paths = f"SELECT x.t AS v, x.s, x.p, x.o FROM {self.path(e)} x LEFT SEMI JOIN (SELECT v, {end} AS z FROM {pairs_} {far}) b ON x.t = b.v AND x.h = b.z WHERE x.s IS NOT NULL"
+        own = f"SELECT x.t, x.s, x.p, x.o FROM {self.path(Prop(p))} x LEFT SEMI JOIN (SELECT v, {value} AS z FROM {pairs_} {near}) b ON x.t = b.v AND x.h = b.z"
+        return f"{paths} UNION {own}"
+
     def text(self, select: str) -> str:
         ctes = ",\n".join(f"{n} AS (\n  {b}\n)" for n, b in self.ctes.items())
         return f"WITH {ctes}\n{select}" if ctes else select
@@ -158,11 +229,12 @@ class Translator:
 def sql_subgraph(shapes: list[Shape], schema: ShapeSchema | None = None, closure: Callable[[Path], str] | None = None) -> str:
     t = Translator(closure)
     names = [t.evidence(to_nnf(s, schema)) for s in shapes]
-    return t.text(" UNION ".join(f"SELECT s, p, o FROM {n}" for n in names))
+    return t.text(f"SELECT DISTINCT s, p, o FROM ({' UNION ALL '.join(f'SELECT s, p, o FROM {n}' for n in names)})")
 
 
-def sql_conform(s: Shape, schema: ShapeSchema | None = None) -> str:
-    t = Translator()
+def sql_conform(s: Shape, schema: ShapeSchema | None = None, closure: Callable[[Path], str] | None = None) -> str:
+    """Validation as one query: only the nodes that satisfy the shape."""
+    t = Translator(closure)
     return t.text(f"SELECT v FROM {t.conform(to_nnf(s, schema))}")
 
 
@@ -170,12 +242,14 @@ def sql_size(sql: str) -> dict[str, int]:
     return {"lines": sql.count("\n") + 1, "characters": len(sql)}
 
 
-def run_sql(g: TripleGraph, sql: str, stored: bool = True) -> DataFrame:
-    """Runs generated text over the graph's views; ``stored`` writes them first, so that the many uses stay scans."""
-    spark: SparkSession = g.spark
-    for name, df in (("triples", g.triples()), ("universe", g.nodes())):
-        (cut(df, name) if stored else df).createOrReplaceTempView(name)
-    return spark.sql(sql)
+def run_sql(g: TripleGraph, sql: str, others: set[str] | frozenset[str] = frozenset()) -> DataFrame:
+    """Runs generated text over the graph's views, written first, so that the many uses stay scans; ``others`` are nodes
+    beside those of the graph, such as constants. The views have names of their own, so requests do not meet."""
+    spark, mark = g.spark, uuid.uuid4().hex[:10]
+    nodes = g.nodes().union(local(spark, [(n,) for n in sorted(others)], v=pa.string())).distinct()
+    for name, df in (("triples", g.triples()), ("universe", nodes)):
+        cut(df, name).createOrReplaceTempView(f"{name}_{mark}")
+    return spark.sql(re.sub(r"\b(FROM|JOIN) (triples|universe)\b", rf"\1 \2_{mark}", sql))
 
 
 def closures(g: TripleGraph) -> Callable[[Path], str]:

@@ -10,15 +10,15 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from .functions.terms import iri
-from .measures import emulate_by_patterns, shares
+from .measures import emulate_by_patterns, properties_of, shares
 from .operators.audit import audit_schema, audit_subgraph, audit_sufficiency, compare_graphs
 from .operators.evidence import Engine
 from .operators.reach import pairs, sources_of, trace_pairs, trace_sets
 from .operators.star import validate_and_extract_star
 from .plans.paths import Alt, Inv, Opt, Path, Prop, Seq, parse_path, path
 from .plans.patterns import as_query, bindings, pattern_images, pattern_to_shape, triple_pattern, why_not
-from .plans.shapes import TOP, AtMost, Closed, Compare, Disj, ForAll, HasValue, Shape, ShapeDef, ShapeSchema, all_of, class_target, exactly, reduce_tests, simplify, some, test
-from .plans.sqlgen import closures, run_sql, sql_size, sql_subgraph
+from .plans.shapes import TOP, AtMost, Closed, Compare, Disj, ForAll, HasValue, Shape, ShapeDef, ShapeSchema, all_of, class_target, constants, exactly, reduce_tests, simplify, some, test
+from .plans.sqlgen import closures, run_sql, sql_conform, sql_size, sql_subgraph
 from .oracles import nodes_sql, pattern_sql, shape_sql
 from .sources.graph import TripleGraph, cut, load_graph, save_graph
 from .sources.mapping import build_graph, containing
@@ -112,10 +112,19 @@ def evidence_tagged(s: SparkSession, d: str) -> DataFrame:
     return e.evidence(SHAPES["E6"], e.resolve(SHAPES["E6"]), tagged=True)
 
 
-@query("sql_E6", EVIDENCE_SQL["E6"])
-def sql_e6(s: SparkSession, d: str) -> DataFrame:
+def _translated(s: SparkSession, d: str, shape: Shape, evidence: bool) -> DataFrame:
+    """One generated text over the shape's own properties; a loop over other data than classes is closed over those only."""
     g = build_graph(s, d)
-    return run_sql(g.restrict(["type", "hasLine", "flag", "subClassOf"]), sql_subgraph([SHAPES["E6"]], closure=closures(g.restrict(["subClassOf"]))))
+    g = g.restrict(properties_of(shape, set(g.parts)))
+    make = sql_subgraph([shape], closure=closures(g)) if evidence else sql_conform(shape, closure=closures(g))
+    return run_sql(g, make, constants(shape))
+
+
+#: E8 closes a loop over all lines, which the translation would do for every node of the graph.
+for _name in [x for x in SHAPES if x != "E8"]:
+    query(f"sql_{_name}", SQL[f"evidence_{_name}"])(lambda s, d, x=SHAPES[_name]: _translated(s, d, x, True))
+for _name in ("E3", "E6", "E11", "E14"):
+    query(f"sql_conform_{_name}", SQL[f"conform_{_name}"])(lambda s, d, x=SHAPES[_name]: _translated(s, d, x, False))
 
 
 def order_schema() -> ShapeSchema:
