@@ -328,14 +328,13 @@ def _classes_of(docs: DataFrame, width: int, percent: int) -> tuple[DataFrame, D
     smaller = F.ceil(F.col("n") * percent / 100)
     enough = posted.groupBy("c", "n").count().where(F.col("count") >= 1 + F.floor(smaller * MORE / 100)).select("c")
     posted = posted.join(enough, "c", "left_semi").withColumn("held", F.count("*").over(same)).where("held > 1")
-    posted = posted.withColumn("s1", F.sum(F.xxhash64("c").cast("decimal(38,0)")).over(same)).withColumn("s2", F.sum(F.hash("c").cast("long")).over(same))
-    posted = cut(posted, "postings")
-    # Lists with the same classes need one traversal only. Sums of hashes propose them; a list with a class that the
-    # proposed one lacks is traversed itself (both are of one length, so containment is equality).
-    proposed = posted.groupBy("held", "s1", "s2").agg(F.min("k").alias("g"))
-    other = posted.join(proposed, ["held", "s1", "s2"]).where("k <> g").select("k", "g", "c")
-    unlike = other.join(posted.select(F.col("k").alias("g"), "c"), ["g", "c"], "left_anti").select("k").distinct()
-    lists = cut(proposed.select(F.col("g").alias("k")).union(unlike), "lists")
+    # A list is known by its length and three sums over its classes' digests (64, 64 and 32 bits): no weaker than the 128-bit
+    # digests that tell classes apart, and no list is compared member by member.
+    for i, mark in enumerate((F.xxhash64("c"), F.xxhash64("c", F.lit(1)))):
+        posted = posted.withColumn(f"s{i}", F.sum(mark.cast("decimal(38,0)")).over(same))
+    posted = cut(posted.withColumn("s2", F.sum(F.hash("c").cast("long")).over(same)), "postings")
+    # Lists with the same classes need one traversal only.
+    lists = posted.groupBy("held", "s0", "s1", "s2").agg(F.min("k").alias("k")).select("k")
     largest = posted.agg(F.max("held")).first()[0] or 0
     rows = posted.join(lists, "k", "left_semi").select(F.col("k").alias("g"), "c", "n").join(classes.select("c", "sig"), "c")
     maybe = cut(linked_forest(rows, percent, "lists", largest).distinct(), "maybe")
