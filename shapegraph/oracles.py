@@ -65,6 +65,9 @@ GRAPH: dict[str, list[tuple[str, str, str]]] = {
     "ofPart": [("lineitem", LINE, _iri("part", "l_partkey"))],
     "fromSupplier": [("lineitem", LINE, _iri("supp", "l_suppkey"))],
     "quantity": [("lineitem", LINE, _decimal("l_quantity"))],
+    "extPrice": [("lineitem", LINE, _decimal("l_extendedprice"))],
+    "discount": [("lineitem", LINE, _decimal("l_discount"))],
+    "tax": [("lineitem", LINE, _decimal("l_tax"))],
     "flag": [("lineitem", LINE, _plain("l_returnflag"))],
     "lineStatus": [("lineitem", LINE, _plain("l_linestatus"))],
     "shippedOn": [("lineitem", LINE, _day("l_shipdate"))],
@@ -89,6 +92,7 @@ GRAPH: dict[str, list[tuple[str, str, str]]] = {
     "chars": [("conversations", TURN, _integer("length(text)"))],
     "replyTo": [("(select conv_id, turn, lag(turn) over (partition by conv_id order by turn) as previous from conversations)", TURN, _iri("turn", "conv_id", "previous"))],
     "label": [("embeddings", VEC, _iri("label", "label"))],
+    "norm": [("embeddings", VEC, _decimal("sqrt(list_sum(list_transform(embedding, lambda x: cast(x as double) * cast(x as double))))"))],
 }
 
 

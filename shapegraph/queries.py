@@ -16,7 +16,7 @@ from .operators.evidence import Engine
 from .operators.reach import pairs, sources_of, trace_pairs, trace_sets
 from .operators.star import validate_and_extract_star
 from .plans.paths import Alt, Inv, Opt, Path, Prop, Seq, parse_path, path
-from .plans.patterns import as_query, bindings, pattern_images, pattern_to_shape, triple_pattern, why_not
+from .plans.patterns import PatternNode, as_query, bindings, pattern_images, pattern_to_shape, triple_pattern, why_not
 from .plans.shapes import TOP, AtMost, Closed, Compare, Disj, ForAll, HasValue, Shape, ShapeDef, ShapeSchema, all_of, class_target, constants, exactly, reduce_tests, simplify, some, test
 from .plans.sqlgen import closures, run_sql, sql_conform, sql_size, sql_subgraph
 from .oracles import nodes_sql, pattern_sql, shape_sql
@@ -219,9 +219,23 @@ PATTERN_SQL = {
     "A6a": "select '<order/' || o_orderkey || '>' as s, 'total' as p, '\"' || cast(cast(o_totalprice as decimal(18,2)) as varchar) || '\"^^decimal' as o from orders where o_totalprice > 400000 union all select '<order/' || o_orderkey || '>', 'type', '<class/Order>' from orders where o_totalprice > 400000",
     "A2a": f"select {ORDER} as s, 'type' as p, '<class/Order>' as o from orders union all select {ORDER}, 'placedBy', '<cust/' || o_custkey || '>' from orders union all select {CUST}, 'name', '\"' || c_name || '\"' from customer where c_custkey in (select o_custkey from orders)",
 }
+
+def equality_sql(images: str, evidence: str) -> str:
+    """How the images of a pattern and the subgraph of its shape differ: triples missing from the subgraph, and further ones."""
+    return f"select missing, extra, missing + extra = 0 as equal from (select (select count(*) from (select s, p, o from ({images}) except select s, p, o from ({evidence}))) as missing, (select count(*) from (select s, p, o from ({evidence}) except select s, p, o from ({images}))) as extra)"
+
+
+def equality(g: TripleGraph, pattern: PatternNode) -> DataFrame:
+    found = compare_graphs(pattern_images(g, pattern), Engine(g).subgraph(pattern_to_shape(pattern)))
+    return found.select(F.col("missing").cast("long").alias("missing"), F.col("extra").cast("long").alias("extra"), "equal")
+
+
 for _name, _pattern in PATTERNS.items():
-    query(f"subgraph_{_name}", PATTERN_SQL.get(_name) or pattern_sql(_pattern))(lambda s, d, x=_pattern: Engine(build_graph(s, d)).subgraph(pattern_to_shape(x)))
-    query(f"images_{_name}", PATTERN_SQL.get(_name) or pattern_sql(_pattern))(lambda s, d, x=_pattern: pattern_images(build_graph(s, d), x))
+    # An absent edge to a value leaves the node's other values in the evidence, so such a subgraph holds more than the images.
+    _evidence, _images = PATTERN_SQL.get(_name) or shape_sql(pattern_to_shape(_pattern)), PATTERN_SQL.get(_name) or pattern_sql(_pattern)
+    query(f"subgraph_{_name}", _evidence)(lambda s, d, x=_pattern: Engine(build_graph(s, d)).subgraph(pattern_to_shape(x)))
+    query(f"images_{_name}", _images)(lambda s, d, x=_pattern: pattern_images(build_graph(s, d), x))
+    query(f"measure_equality_{_name}", equality_sql(_images, _evidence))(lambda s, d, x=_pattern: equality(build_graph(s, d), x))
 
 
 @query("bindings_A2a", "select '<order/' || o_orderkey || '>' as n, '<cust/' || c_custkey || '>' as n_0, '\"' || c_name || '\"' as n_0_0 from orders join customer on c_custkey = o_custkey")
@@ -229,12 +243,6 @@ def bindings_a2a(s: SparkSession, d: str) -> DataFrame:
     return bindings(build_graph(s, d), PATTERNS["A2a"]).select("n", "n_0", "n_0_0")
 
 
-@query("measure_equality_A7a", "select cast(0 as bigint) as missing, cast(0 as bigint) as extra, true as equal")
-def equality(s: SparkSession, d: str) -> DataFrame:
-    g = build_graph(s, d)
-    return compare_graphs(pattern_images(g, PATTERNS["A7a"]), Engine(g).subgraph(pattern_to_shape(PATTERNS["A7a"]))).select(F.col("missing").cast("long").alias("missing"), F.col("extra").cast("long").alias("extra"), "equal")
-
-
 @query("measure_applicability", "select * from (values ('none', 39), ('property variable', 3), ('arithmetic', 2), ('counting', 1), ('cycle', 1)) t(reason, queries)")
 def applicability(s: SparkSession, d: str) -> DataFrame:
     """Why a query of the workload is no shape, from its atoms; ``none`` counts those that are shapes."""
