@@ -375,8 +375,12 @@ def keep_one(df: DataFrame, width: int = 5, percent: int = 80, id_col: str = "do
     own_id, own_text = (F.col(names[df.columns.index(x)]) for x in (id_col, text_col))
     keyed = df.toDF(*names).select("*", F.unhex(F.sha2(F.coalesce(own_text.cast("string"), F.lit("")).cast("binary"), 256)).alias("own_text"), own_id.cast("long").alias("own_id"))
     same = (F.col("own_text") == F.col("gone_text")) & F.col("own_id").eqNullSafe(F.col("gone_id"))
-    single = keyed.join(gone, same, "left_anti").select(*names)
-    again = keyed.join(gone.where("not gone"), same, "left_semi").dropDuplicates(["own_id", "own_text"]).select(*names)
+    shipped = F.broadcast(gone) if gone.count() <= BROADCAST_IDS else gone  # texts are shuffled beyond it only
+    single = keyed.join(shipped, same, "left_anti").select(*names)
+    repeated = gone.where("not gone")
+    if repeated.isEmpty():
+        return single.toDF(*df.columns)
+    again = keyed.join(repeated, same, "left_semi").dropDuplicates(["own_id", "own_text"]).select(*names)
     return single.unionByName(again).toDF(*df.columns)
 
 
