@@ -235,6 +235,14 @@ def test_urls(spark):
     assert urls.filter_urls(df.limit(0), rules).count() == 0
 
 
+def test_query_rules_are_those_of_the_contract(spark, tmp_path):
+    assert urls.QUERY_RULES == [("block", "com", "/en/"), ("allow", "example.com", "/en/7"), ("allow", "net", "/de/"), ("block", "example.net", "/de/8"), ("block", "org", "/es/")]
+    pages = [(1, "http://a.com/en/1", ""), (2, "http://q.example.com/en/7", ""), (3, "http://b.net/de/1", ""), (4, "http://example.net/de/8", ""), (5, "http://c.org/es/", ""), (6, "http://d.net/de/2", '<link rel="canonical" href="http://c.org/es/">')]
+    spark.createDataFrame(pages, "page_id long, url string, html string").write.parquet(str(tmp_path / "pages.parquet"))
+    got = {r["page_id"]: (r["rule"], r["verdict"]) for r in urls.op4_redirect_filter(spark, str(tmp_path)).collect()}
+    assert got == {1: ("com/en/", "block"), 2: ("example.com/en/7", "allow"), 3: ("net/de/", "allow"), 4: ("example.net/de/8", "block"), 5: ("org/es/", "block"), 6: ("net/de/", "allow")}
+
+
 def test_link_targets(spark):
     link = '<link rel="canonical" href="%s">'
     page = "http://a.org/d/e/f.html?q=1#t"
