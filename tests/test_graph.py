@@ -12,6 +12,8 @@ from shapegraph.plans.shapes import BOTTOM, TOP, AtLeast, AtMost, Closed, Disj,
 from shapegraph.plans.shapes import test as checked
 from shapegraph.plans.sqlgen import closures, run_sql, sql_subgraph
 from shapegraph.sources.graph import TripleGraph
+from shapegraph.sources.mapping import build_graph
+from shapegraph.workloads import profile_shapes
 
 PAPERS = [("<p1>", "type", "<class/Paper>"), ("<p2>", "type", "<class/Paper>"), ("<p1>", "author", "<ann>"), ("<p1>", "author", "<bob>"), ("<p2>", "author", "<ann>"), ("<ann>", "type", "<class/Prof>"), ("<bob>", "type", "<class/Student>"), ("<class/Student>", "subClassOf", "<class/Person>")]
 
@@ -146,3 +148,25 @@ def test_star_window(papers):
     target = Engine(papers).resolve(class_target("Paper"))
     bad, found = validate_and_extract_star(papers, shape, target)
     assert nodes(bad) == {"<p1>"} and rows(found) == {("<p2>", "author", "<ann>")}
+
+
+def test_properties_without_the_targets_kind_are_left_out(spark):
+    data = "/root/testdata/sf0.001"
+    for name in ("B-Nation-neg", "B-Document-neg"):
+        klass, shape = profile_shapes()[name]
+        request = all_of(class_target(klass), shape)
+        g = build_graph(spark, data)
+        e = Engine(g)
+        kinds, found = e.kinds_of(to_nnf(request)), e.subgraph(request)
+        assert kinds == {f"<{'doc' if klass == 'Document' else 'nation'}/"} and not set(g.about(kinds).parts) & {"hasLine", "flag", "next", "url", "balance"}
+        whole = TripleGraph(spark, g.parts, g.vocabulary, g.bags)
+        assert rows(found) == rows(Engine(whole).subgraph(request)) and found.count()
+
+
+def test_kinds_of_subjects_are_those_of_the_tables(spark):
+    g = build_graph(spark, "/root/testdata/sf0.001")
+    assert set(g.kinds.subjects) == set(g.parts) - {"type"}
+    for p, known in g.kinds.subjects.items():
+        assert {"<" + r[0] + "/" for r in g.prop(p).selectExpr("regexp_extract(s, '^<([a-z]+)/', 1)").distinct().collect()} <= known
+    held = {tuple(r) for r in g.prop("type").selectExpr("o", "concat(regexp_extract(s, '^<[a-z]+/', 0))").distinct().collect()}
+    assert all(g.kinds.instances(c) == {k} for c, k in held)
