@@ -15,7 +15,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import cut, table
+from .common import cut, fresh_path, table
 
 
 def min_cost_flow(supply: list[int], capacity: list[int], cost: list[list[int]]) -> list[list[int]]:
@@ -71,19 +71,25 @@ def _prefix(col: str, by: list[str], order: list) -> Column:
     return F.sum(col).over(W.partitionBy(*by).orderBy(*order).rowsBetween(W.unboundedPreceding, -1))
 
 
-def reshard(df: DataFrame, shards: int = 16, old_shard: Column | None = None, id_col: str = "doc_id", text_col: str = "text", blocks: int = 1024, old_count: int = 12) -> DataFrame:
+def reshard(df: DataFrame, shards: int = 16, old_shard: Column | None = None, id_col: str = "doc_id", text_col: str = "text", blocks: int = 1024, old_count: int = 12, out: str | None = None) -> DataFrame:
     """doc_id, size, text_crc32, old_shard, shard and a gapless slot within the shard, for every input row.
 
     ``old_shard`` (values 0 to old_count - 1) is where rows are now; by default a hash layout over ``old_count`` shards.
     New sizes in bytes differ by less than two rows from equal. Null texts have size 1 and the checksum of the empty
     text; rows with a null id are dealt by their texts; repeated rows get slots of their own; an empty table stays empty.
+
+    With ``out`` the affected shards are rewritten below it: folders shard=k hold, in order of slots, the rows of every
+    shard that rows leave or reach, with all columns of ``df``, slot and old_shard. Their part of the result is then read
+    from those files; shards without a transfer keep theirs. Texts are shuffled once, by block.
     """
     spark = df.sparkSession
+    if out is not None and {"shard", "slot", "old_shard"} & set(df.columns):
+        raise ValueError("documents have a column named shard, slot or old_shard")
     raw = F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary")
     hashed = F.coalesce(F.crc32(F.col(id_col).cast("string").cast("binary")), F.crc32(raw))
     old = hashed % old_count if old_shard is None else old_shard
-    base = df.select(F.col(id_col).cast("long").alias("doc_id"), (F.octet_length(raw) + 1).cast("long").alias("size"), F.crc32(raw).alias("text_crc32"), old.cast("int").alias("old_shard"), ((hashed / old_count).cast("long") % blocks).cast("int").alias("block"))
-    base = cut(base, "shard-rows")
+    known = [F.col(id_col).cast("long").alias("doc_id"), (F.octet_length(raw) + 1).cast("long").alias("size"), F.crc32(raw).alias("text_crc32"), old.cast("int").alias("old_shard"), ((hashed / old_count).cast("long") % blocks).cast("int").alias("block")]
+    base = cut(df.select(*known), "shard-rows")
     # One row per (old shard, block): bounded by old_count * blocks.
     sizes = base.groupBy("old_shard", "block").agg(F.sum("size").alias("bytes"), F.count("*").alias("rows")).orderBy("old_shard", "block").collect()
     supply = [0] * old_count
@@ -101,22 +107,39 @@ def reshard(df: DataFrame, shards: int = 16, old_shard: Column | None = None, id
     offsets = F.broadcast(spark.createDataFrame(starts, "old_shard int, block int, block_start long, block_bytes long"))
     goes = F.broadcast(spark.createDataFrame(ranges, "old_shard int, low long, high long, shard int"))
     order = [F.col("doc_id").asc_nulls_first(), "text_crc32", "size"]
-    placed = (
-        base.join(offsets, ["old_shard", "block"])
-        .withColumn("at", F.col("block_start") + F.coalesce(_prefix("size", ["old_shard", "block"], order), F.lit(0)))
-        .join(goes, "old_shard")
-        .where((2 * F.col("at") + F.col("size") >= 2 * F.col("low")) & (2 * F.col("at") + F.col("size") < 2 * F.col("high")))
-        .withColumn("nth", F.row_number().over(W.partitionBy("old_shard", "block", "shard").orderBy("at")))
-        .select("doc_id", "size", "text_crc32", "old_shard", "block", "shard", "nth")
-    )
-    placed = cut(placed, "shard-placed")
+
+    def dealt(rows: DataFrame, *more: str) -> DataFrame:
+        return (
+            rows.join(offsets, ["old_shard", "block"])
+            .withColumn("at", F.col("block_start") + F.coalesce(_prefix("size", ["old_shard", "block"], order), F.lit(0)))
+            .join(goes, "old_shard")
+            .where((2 * F.col("at") + F.col("size") >= 2 * F.col("low")) & (2 * F.col("at") + F.col("size") < 2 * F.col("high")))
+            .withColumn("nth", F.row_number().over(W.partitionBy("old_shard", "block", "shard").orderBy("at")))
+            .select("doc_id", "size", "text_crc32", "old_shard", "block", "shard", "nth", *more)
+        )
+
+    placed = cut(dealt(base), "shard-placed")
     counted = placed.groupBy("shard", "old_shard", "block").agg(F.count("*").alias("rows")).collect()  # bounded like ``sizes``
     first, filled = [], [0] * shards
     for r in sorted(counted, key=lambda r: (r["shard"], r["old_shard"], r["block"])):
         first.append((r["shard"], r["old_shard"], r["block"], filled[r["shard"]]))
         filled[r["shard"]] += r["rows"]
     first_slot = F.broadcast(spark.createDataFrame(first, "shard int, old_shard int, block int, first_slot long"))
-    return placed.join(first_slot, ["shard", "old_shard", "block"]).withColumn("slot", F.col("first_slot") + F.col("nth") - 1).drop("first_slot", "nth", "block")
+
+    def slotted(rows: DataFrame) -> DataFrame:
+        return rows.join(first_slot, ["shard", "old_shard", "block"]).withColumn("slot", F.col("first_slot") + F.col("nth") - 1).drop("first_slot", "nth", "block")
+
+    plan = slotted(placed)
+    touched = sorted({k for i in range(old_count) for j in range(shards) if i != j and flow[i][j] for k in (i, j)} | {k for k in range(shards, old_count) if supply[k]})
+    if out is None or not touched:
+        return plan
+    names = [f"in_{i}" for i in range(len(df.columns))]
+    whole = slotted(dealt(df.select(*known, *(F.col(f"`{c}`").alias(n) for c, n in zip(df.columns, names, strict=True))), *names)).where(F.col("shard").isin(touched))
+    files = whole.select(*(F.col(n).alias(c) for c, n in zip(df.columns, names, strict=True)), "slot", "old_shard", "shard")
+    files.sortWithinPartitions("shard", "slot").write.option("compression", "zstd").partitionBy("shard").parquet(out)
+    written = spark.read.schema(files.schema).parquet(out)
+    seen = written.select(known[0], known[1], known[2], "old_shard", "shard", "slot")
+    return seen.unionByName(plan.where(~F.col("shard").isin(touched)))
 
 
 def _numbered(df: DataFrame, keys: list[str], name: str) -> DataFrame:
@@ -157,6 +180,6 @@ def rewrite(documents: DataFrame, plan: DataFrame, out: str, id_col: str = "doc_
 
 
 def op10_flow_resharding(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """The places of all documents after resharding 12 hashed shards into 16 of near equal bytes."""
-    plan = reshard(table(spark, sf_dir, "documents"))
+    """The places of all documents after resharding 12 hashed shards into 16 of near equal bytes, read from the new files."""
+    plan = reshard(table(spark, sf_dir, "documents"), out=fresh_path(spark, "shards"))
     return plan.select("doc_id", "size", "text_crc32", F.lit("bytes").alias("law"), "shard", F.col("slot").cast("long").alias("slot"), F.lit(None).cast("int").alias("grown_shard"), "old_shard")

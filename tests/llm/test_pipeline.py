@@ -8,6 +8,7 @@ import numpy as np
 import pytest
 
 import corpus_pipeline
+from pyspark.sql import functions as F
 from shapegraph.llm import decontaminate, jaccard, langid, personal, quality, sharding, urls
 
 WORDS = ["river", "stone", "light", "garden", "winter", "paper", "music", "window", "market", "forest", "silver", "letter", "summer", "bridge", "candle", "mirror"]
@@ -226,6 +227,27 @@ def test_rewrite_keeps_every_row(spark, tmp_path):
     assert moved <= {r["doc_id"] for r in got.collect()}
 
 
+def test_resharding_writes_the_shards_it_changes(spark, tmp_path):
+    rng = random.Random(5)
+    rows_ = [(rng.choice([None, *range(90)]), rng.choice([None, "", "é", "x" * rng.randrange(60)]), i) for i in range(400)]
+    df = spark.createDataFrame(rows_, "doc_id long, text string, mark long")
+    plan = sharding.reshard(df, 6, old_count=4)
+    got = sharding.reshard(df, 6, old_count=4, out=str(tmp_path / "all"))
+    assert Counter(tuple(r) for r in got.select(plan.columns).collect()) == Counter(tuple(r) for r in plan.collect())
+    files = spark.read.parquet(str(tmp_path / "all"))
+    assert Counter(tuple(r) for r in files.select("doc_id", "text", "mark").collect()) == Counter(rows_)
+    for k in range(6):
+        part = [r["slot"] for r in spark.read.parquet(str(tmp_path / f"all/shard={k}")).collect()]
+        assert sorted(part) == list(range(len(part)))
+    even = spark.createDataFrame([(i, "x" * 9) for i in range(40)], "doc_id long, text string")
+    kept = sharding.reshard(even, 4, old_shard=even["doc_id"] % 4, old_count=4, out=str(tmp_path / "none"))
+    assert kept.count() == 40 and not (tmp_path / "none").exists()
+    one = sharding.reshard(even, 4, old_shard=F.when(even["doc_id"] < 20, 3).otherwise(even["doc_id"] % 2), old_count=4, out=str(tmp_path / "some"))
+    assert sorted(p.name for p in (tmp_path / "some").glob("shard=*")) == ["shard=2", "shard=3"] and one.count() == 40
+    query = sharding.op10_flow_resharding(spark, "/root/testdata/sf0.001")
+    assert any("shards-" in f for f in query.inputFiles())
+
+
 def slow_verdicts(pages, rules):
     """Rules by hand, then blocks through implied redirects and canonical links until nothing changes."""
     def split(u):
