@@ -13,7 +13,8 @@ from shapegraph.plans.shapes import test as checked
 from shapegraph.plans.sqlgen import closures, run_sql, sql_subgraph
 from shapegraph.sources.graph import TripleGraph
 from shapegraph.sources.mapping import build_graph
-from shapegraph.workloads import profile_shapes
+from shapegraph.queries import relevant
+from shapegraph.workloads import SHAPES, profile_shapes
 
 PAPERS = [("<p1>", "type", "<class/Paper>"), ("<p2>", "type", "<class/Paper>"), ("<p1>", "author", "<ann>"), ("<p1>", "author", "<bob>"), ("<p2>", "author", "<ann>"), ("<ann>", "type", "<class/Prof>"), ("<bob>", "type", "<class/Student>"), ("<class/Student>", "subClassOf", "<class/Person>")]
 
@@ -170,3 +171,12 @@ def test_kinds_of_subjects_are_those_of_the_tables(spark):
         assert {"<" + r[0] + "/" for r in g.prop(p).selectExpr("regexp_extract(s, '^<([a-z]+)/', 1)").distinct().collect()} <= known
     held = {tuple(r) for r in g.prop("type").selectExpr("o", "concat(regexp_extract(s, '^<[a-z]+/', 0))").distinct().collect()}
     assert all(g.kinds.instances(c) == {k} for c, k in held)
+
+
+def test_translation_reads_no_universe_beside_a_target(spark):
+    request = all_of(AtMost(0, Prop("hasLine"), TOP), class_target("Order"))
+    assert "universe" not in sql_subgraph([request], closure=lambda e: "closure")
+    g = relevant(build_graph(spark, "/root/testdata/sf0.001"), request)
+    assert {r["o"] for r in g.prop("type").select("o").distinct().collect()} == {"<class/Order>"} and set(g.parts) == {"type", "subClassOf", "hasLine"}
+    closed = relevant(build_graph(spark, "/root/testdata/sf0.001"), SHAPES["E13n"])
+    assert set(closed.parts) == {"type", "subClassOf", "quality", "toxic"}
