@@ -4,7 +4,9 @@ import pytest
 
 from shapegraph.measures import properties_of, redundant_triples, result_bytes, slice_curve
 from shapegraph.plans.paths import Prop
+from shapegraph.plans.patterns import why_not
 from shapegraph.plans.shapes import AtMost, HasValue, all_of, some
+from shapegraph.queries import Q, order_query
 from shapegraph.sources.graph import TripleGraph
 
 STUDENT = some("type", HasValue("<class/Student>"))
@@ -32,3 +34,13 @@ def test_result_bytes(paper):
 def test_slice_curve_and_properties(paper):
     assert set(slice_curve({"all": paper, "types": paper.restrict(["type"])}, STUDENT)) == {"all", "types"}
     assert properties_of(all_of(some("author"), AtMost(1, Prop("type"), STUDENT))) == {"author", "type"}
+
+
+def test_measures_read_the_given_tables(spark):
+    data = "/root/testdata/sf0.001"
+    for name, files in (("measure_applicability", {"lineitem"}), ("measure_requests", {"lineitem", "orders"}), ("measure_sql_size", {"lineitem", "orders", "documents"})):
+        read = {f.rsplit("/", 1)[-1].removesuffix(".parquet") for f in Q[name](spark, data).inputFiles()}
+        assert files <= read
+    assert why_not(order_query([(1, 7), (2, 8)])) is None and why_not(order_query([(1, 7), (2, 7)])) == "cycle"
+    sizes = {(r["shape"], r["form"]): r["triples"] for r in Q["measure_sql_size"](spark, data).collect()}
+    assert len(sizes) == 10 and min(sizes.values()) > 0
