@@ -7,7 +7,8 @@ from shapegraph.operators.evidence import Engine
 from shapegraph.operators.reach import pairs, sources_of, trace_from, trace_sets
 from shapegraph.operators.star import is_star, validate_and_extract_star
 from shapegraph.plans.paths import ID, Inv, Prop, compile_path, parse_path, path, path_text
-from shapegraph.plans.patterns import leaf, node, pattern_images, pattern_to_shape
+from shapegraph.plans import patterns
+from shapegraph.plans.patterns import Edge, leaf, node, pattern_images, pattern_to_shape
 from shapegraph.plans.shapes import BOTTOM, TOP, AtLeast, AtMost, Closed, Disj, Eq, ForAll, HasShape, HasValue, Not, ShapeDef, ShapeSchema, UniqueLang, all_of, class_target, exactly, less_than, negate, simplify, some, to_nnf
 from shapegraph.plans.shapes import test as checked
 from shapegraph.plans.sqlgen import closures, run_sql, sql_subgraph
@@ -180,3 +181,11 @@ def test_translation_reads_no_universe_beside_a_target(spark):
     assert {r["o"] for r in g.prop("type").select("o").distinct().collect()} == {"<class/Order>"} and set(g.parts) == {"type", "subClassOf", "hasLine"}
     closed = relevant(build_graph(spark, "/root/testdata/sf0.001"), SHAPES["E13n"])
     assert set(closed.parts) == {"type", "subClassOf", "quality", "toxic"}
+
+
+def test_images_hold_no_whole_solutions(spark, monkeypatch):
+    """400 pages that link to one path make 160,000 solutions, and 1,200 triples."""
+    monkeypatch.setattr(patterns, "_solutions", None)
+    g = TripleGraph.from_rows(spark, [(f"<page/{i}>", p, o) for i in range(400) for p, o in (("linksTo", "<path/a>"), ("title", f'"{i}"'), ("type", "<class/Page>"))])
+    found = pattern_images(g, node(leaf("title"), Edge("linksTo", node(leaf("^linksTo"))), classes=("Page",)))
+    assert found.count() == 1200
