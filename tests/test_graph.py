@@ -1,19 +1,20 @@
 """Worked examples with known answers, rewriting laws, and the engines against each other."""
 
+import pyarrow as pa
 import pytest
 
 from shapegraph.operators.audit import audit_schema, audit_subgraph, audit_sufficiency
-from shapegraph.operators.evidence import Engine
+from shapegraph.operators.evidence import Engine, unimplied
 from shapegraph.operators.reach import pairs, sources_of, trace_from, trace_sets
 from shapegraph.operators.star import is_star, validate_and_extract_star
 from shapegraph.plans.paths import ID, Inv, Prop, compile_path, parse_path, path, path_text
 from shapegraph.plans import patterns
 from shapegraph.plans.patterns import Edge, leaf, node, pattern_images, pattern_to_shape
-from shapegraph.plans.shapes import BOTTOM, TOP, AtLeast, AtMost, Closed, Disj, Eq, ForAll, HasShape, HasValue, Not, ShapeDef, ShapeSchema, UniqueLang, all_of, class_target, exactly, less_than, negate, simplify, some, to_nnf
+from shapegraph.plans.shapes import BOTTOM, TOP, AtLeast, AtMost, Closed, Disj, Eq, ForAll, HasShape, HasValue, Not, ShapeDef, ShapeSchema, UniqueLang, all_of, class_target, conjuncts, exactly, less_than, negate, simplify, some, to_nnf
 from shapegraph.plans.shapes import test as checked
 from shapegraph.plans.sqlgen import closures, run_sql, sql_subgraph
-from shapegraph.sources.graph import TripleGraph
-from shapegraph.sources.mapping import build_graph
+from shapegraph.sources.graph import TripleGraph, local
+from shapegraph.sources.mapping import build_graph, kinds
 from shapegraph.queries import relevant
 from shapegraph.workloads import SHAPES, profile_shapes
 
@@ -189,3 +190,22 @@ def test_images_hold_no_whole_solutions(spark, monkeypatch):
     g = TripleGraph.from_rows(spark, [(f"<page/{i}>", p, o) for i in range(400) for p, o in (("linksTo", "<path/a>"), ("title", f'"{i}"'), ("type", "<class/Page>"))])
     found = pattern_images(g, node(leaf("title"), Edge("linksTo", node(leaf("^linksTo"))), classes=("Page",)))
     assert found.count() == 1200
+
+
+def test_triples_about_a_kind_leave_other_tables_out(spark):
+    g = build_graph(spark, "/root/testdata/sf0.001").about(frozenset({"<region/"}))
+    assert {f.rsplit("/", 1)[1] for p in ("type", "name") for f in g.raw(p).inputFiles()} == {"region.parquet"}
+    assert rows(g.prop("type")) == {(f"<region/{i}>", "<class/Region>") for i in range(5)}
+
+
+def test_implied_conjuncts_and_own_triples_are_read_once(spark):
+    """The class target implies two atoms; own triples are dealt once by subject and repeated rows appear once."""
+    shape = to_nnf(all_of(class_target("Order"), profile_shapes()["B-Order-neg"][1]))
+    assert len(unimplied(conjuncts(shape))) == 2
+    assert unimplied([some("p"), Not(Closed(frozenset({"p"}))), Not(Disj(Prop("q"), "q"))]) == [some("p"), Not(Closed(frozenset({"p"}))), Not(Disj(Prop("q"), "q"))]
+    base = TripleGraph.from_rows(spark, [("<order/1>", "type", "<class/Order>"), ("<order/1>", "status", '"F"'), ("<order/1>", "hasLine", "<line/1>"), ("<order/2>", "status", '"O"'), ("<line/1>", "type", "<class/LineItem>")])
+    twice = {p: base.parts[p].union(base.parts[p]) for p in base.parts}
+    classes = local(spark, [("<class/Order>", "<class/Thing>")], s=pa.string(), o=pa.string())
+    g = TripleGraph(spark, {**base.parts, "subClassOf": classes}, frozenset({"subClassOf"}), twice, kinds())
+    found = Engine(g).subgraph(shape)
+    assert sorted(map(tuple, found.collect())) == [("<order/1>", "hasLine", "<line/1>"), ("<order/1>", "status", '"F"'), ("<order/1>", "type", "<class/Order>")]
