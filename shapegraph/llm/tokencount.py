@@ -7,7 +7,9 @@ counts leaves the misses; one text of each missing digest is encoded, and the ne
 from __future__ import annotations
 
 import hashlib
+import json
 import os
+import re
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
@@ -15,6 +17,12 @@ from pyspark.sql import functions as F
 
 from .common import documents, fresh_path, slices, table
 
+#: Words that a task remembers at most before it starts anew.
+MEMO_WORDS = 450_000
+#: Ends of words that no byte-level pre-tokenizer takes for white space, whatever its version of Unicode.
+_PLAIN = "[!-~À-ÖØ-öø-ÿ]"
+_WORD = re.compile(f"{_PLAIN}(?:.*{_PLAIN})?", re.DOTALL)
+
 CACHE = "digest binary, tokenizer string, n_tokens long"
 
 
@@ -40,7 +48,52 @@ def _encoder(path: str):
     made = Tokenizer.from_file(path)
     made.no_truncation()
     made.no_padding()
-    return lambda texts: [len(x) for x in made.encode_batch_fast(texts, add_special_tokens=False)]
+    whole = lambda texts: [len(x) for x in made.encode_batch_fast(texts, add_special_tokens=False)]
+    return WordCounts(whole) if breaks_at_spaces(path) else whole
+
+
+def breaks_at_spaces(path: str) -> bool:
+    """Whether a single space between two plain characters always begins a new piece, so that counts add up over it."""
+    with open(path, encoding="utf-8") as f:
+        data = json.load(f)
+    before = data.get("pre_tokenizer") or {}
+    added = all(" " not in t["content"] and not (t["lstrip"] or t["rstrip"] or t["single_word"]) for t in data.get("added_tokens", []))
+    return before.get("type") == "ByteLevel" and before.get("use_regex", True) and not before.get("add_prefix_space", True) and not data.get("normalizer") and data["model"]["type"] == "BPE" and added
+
+
+class WordCounts:
+    """Token counts of texts as sums over their words, each with the space before it, which are encoded once and remembered.
+    A word that begins or ends with other than a plain character is encoded together with its neighbours."""
+
+    def __init__(self, whole):
+        self.whole, self.memo, self.first, self.odd = whole, {}, {}, set()
+
+    def _runs(self, words: list[str]) -> list[str]:
+        """The text of ``words`` cut at the spaces between two plain words."""
+        runs, start = [], 0
+        for i in range(1, len(words)):
+            if words[i] not in self.odd and words[i - 1] not in self.odd and _WORD.fullmatch(words[i - 1]):
+                runs.append(" " * (start > 0) + " ".join(words[start:i]))
+                start = i
+        return [*runs, " " * (start > 0) + " ".join(words[start:])]
+
+    def __call__(self, texts: list[str]) -> list[int]:
+        if len(self.memo) + len(self.first) + len(self.odd) > MEMO_WORDS:
+            self.memo, self.first, self.odd = {}, {}, set()
+        split = [t.split(" ") for t in texts]
+        new = {w for words in split for w in words[1:]} - self.memo.keys() - self.odd
+        plain = [w for w in new if _WORD.fullmatch(w)]
+        self.odd |= new.difference(plain)
+        self.memo.update(zip(plain, self.whole([f" {w}" for w in plain]), strict=True))
+        easy = [self.odd.isdisjoint(words[1:]) and (len(words) == 1 or bool(_WORD.fullmatch(words[0]))) for words in split]
+        heads = list({words[0] for words, ok in zip(split, easy, strict=True) if ok} - self.first.keys())
+        self.first.update(zip(heads, self.whole(heads), strict=True))
+        runs = [[] if ok else self._runs(words) for words, ok in zip(split, easy, strict=True)]
+        counted = {r[1:]: self.memo[r[1:]] for rs in runs for r in rs if r[:1] == " " and r[1:] in self.memo}
+        rest = list({r for rs in runs for r in rs if not (r[:1] == " " and r[1:] in counted)})
+        other = dict(zip(rest, self.whole(rest), strict=True))
+        known = self.memo.__getitem__
+        return [self.first[words[0]] + sum(map(known, words[1:])) if ok else sum(counted[r[1:]] if r[:1] == " " and r[1:] in counted else other[r] for r in rs) for words, ok, rs in zip(split, easy, runs, strict=True)]
 
 
 def count_tokens(path: str):

@@ -279,3 +279,26 @@ def test_resharding(spark, docs, none):
         assert sorted(r["slot"] for r in rows if r["shard"] == k) == list(range(sum(r["shard"] == k for r in rows)))
     assert all(r["text_crc32"] == zlib.crc32(b"x" * (r["doc_id"] % 37)) for r in rows)
     assert sharding.reshard(docs, 16).count() == len(DOCS) and sharding.reshard(none, 16).count() == 0
+
+
+def test_token_counts_add_up_over_words():
+    """Counts of remembered words are the library's for the whole text, and a word is encoded once."""
+    import random
+
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    from shapegraph.llm import tokencount
+
+    path = public_tokenizers.path("byte_bpe_50k.json")
+    counts = tokencount._encoder(path)
+    rng = random.Random(7)
+    bits = [" ", "  ", "\n", "a", "é", "Zz", "'s", "<|endoftext|>", "\x85", "　", "12", ".", "\x1c", "ω"]
+    texts = ["", " ", "a  b", *("".join(rng.choice(bits) for _ in range(rng.randint(0, 25))) for _ in range(1000))]
+    whole = Tokenizer.from_file(path)
+    want = [len(x) for x in whole.encode_batch(texts, add_special_tokens=False)]
+    assert counts(texts[:500]) + counts(texts[500:]) == want
+    asked = []
+    counts.whole = lambda ts, f=counts.whole: asked.extend(ts) or f(ts)
+    assert counts(["seldom seldom word seldom", "first seldom"]) == counts(["seldom seldom word seldom", "first seldom"])
+    assert asked.count(" seldom") == 1
