@@ -3,6 +3,7 @@
 import pyarrow as pa
 import pytest
 
+from shapegraph.operators import reach
 from shapegraph.operators.audit import audit_schema, audit_subgraph, audit_sufficiency
 from shapegraph.operators.evidence import Engine, unimplied
 from shapegraph.operators.reach import pairs, sources_of, trace_from, trace_sets
@@ -13,10 +14,10 @@ from shapegraph.plans.patterns import Edge, leaf, node, pattern_images, pattern_
 from shapegraph.plans.shapes import BOTTOM, TOP, AtLeast, AtMost, Closed, Disj, Eq, ForAll, HasShape, HasValue, Not, ShapeDef, ShapeSchema, UniqueLang, all_of, class_target, conjuncts, exactly, less_than, negate, simplify, some, to_nnf
 from shapegraph.plans.shapes import test as checked
 from shapegraph.plans.sqlgen import closures, run_sql, sql_subgraph
-from shapegraph.sources.graph import TripleGraph, local
+from shapegraph.sources.graph import TripleGraph, cut, local
 from shapegraph.sources.mapping import build_graph, kinds
 from shapegraph.queries import relevant
-from shapegraph.workloads import SHAPES, profile_shapes
+from shapegraph.workloads import SHAPES, hub, profile_shapes
 
 PAPERS = [("<p1>", "type", "<class/Paper>"), ("<p2>", "type", "<class/Paper>"), ("<p1>", "author", "<ann>"), ("<p1>", "author", "<bob>"), ("<p2>", "author", "<ann>"), ("<ann>", "type", "<class/Prof>"), ("<bob>", "type", "<class/Student>"), ("<class/Student>", "subClassOf", "<class/Person>")]
 
@@ -209,3 +210,25 @@ def test_implied_conjuncts_and_own_triples_are_read_once(spark):
     g = TripleGraph(spark, {**base.parts, "subClassOf": classes}, frozenset({"subClassOf"}), twice, kinds())
     found = Engine(g).subgraph(shape)
     assert sorted(map(tuple, found.collect())) == [("<order/1>", "hasLine", "<line/1>"), ("<order/1>", "status", '"F"'), ("<order/1>", "type", "<class/Order>")]
+
+
+def test_small_rounds_of_a_loop_are_not_written(spark, monkeypatch):
+    """A chain of 12 steps and 5 side branches: few cuts while the driver holds the rounds, and the same nodes in any way."""
+    chain = [(f"<n{i}>", "to", f"<n{i + 1}>") for i in range(12)] + [(f"<n{i}>", "to", f"<m{i}-{j}>") for i in (3, 6) for j in range(5)]
+    g, cuts = TripleGraph.from_rows(spark, chain), []
+    monkeypatch.setattr(reach, "cut", lambda df, tag="cut": cuts.append(tag) or cut(df, tag))
+    found, loop = {}, parse_path("to*")
+    for few, most in ((1_000, 200_000), (3, 200_000), (1_000, 4), (0, 0)):
+        monkeypatch.setattr(reach, "FEW", few)
+        monkeypatch.setattr(reach, "MOST_CLOSURE", most)
+        cuts.clear()
+        found[few, most] = {r["x"] for r in reach.pairs(g, loop, local(spark, [("<n0>",)], v=pa.string())).collect()}
+        assert len(cuts) < 3 or few < 1_000 or most < 5
+    assert set(map(len, found.values())) == {23} and len(set(map(frozenset, found.values()))) == 1
+
+
+def test_hub_is_the_part_in_most_orders(spark, tmp_path):
+    """Part 7 has most lines but few orders; parts 2 and 5 tie."""
+    rows = [(1, 7)] * 5 + [(2, 7)] + [(i, 5) for i in range(3)] + [(i, 2) for i in range(3)] + [(9, 1)]
+    local(spark, rows, l_orderkey=pa.int64(), l_partkey=pa.int64()).write.parquet(f"{tmp_path}/lineitem.parquet")
+    assert hub(str(tmp_path), spark) == "<part/2>"
