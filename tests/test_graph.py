@@ -3,7 +3,7 @@
 import pyarrow as pa
 import pytest
 
-from shapegraph.operators import reach
+from shapegraph.operators import evidence, reach
 from shapegraph.operators.audit import audit_schema, audit_subgraph, audit_sufficiency
 from shapegraph.operators.evidence import Engine, unimplied
 from shapegraph.operators.reach import pairs, sources_of, trace_from, trace_sets
@@ -232,3 +232,15 @@ def test_hub_is_the_part_in_most_orders(spark, tmp_path):
     rows = [(1, 7)] * 5 + [(2, 7)] + [(i, 5) for i in range(3)] + [(i, 2) for i in range(3)] + [(9, 1)]
     local(spark, rows, l_orderkey=pa.int64(), l_partkey=pa.int64()).write.parquet(f"{tmp_path}/lineitem.parquet")
     assert hub(str(tmp_path), spark) == "<part/2>"
+
+
+def test_shared_language_tags_need_no_pairs(spark, monkeypatch):
+    """400 pages that link to one path make 160,000 pairs; verdict and evidence come from a range per node and tag."""
+    g = TripleGraph.from_rows(spark, [(f"<page/{i}>", p, o) for i in range(400) for p, o in (("linksTo", "<path/a>"), ("title", f'"{i}"@{"en" if i < 398 else "de" if i < 399 else "fr"}'))] + [("<page/x>", "linksTo", "<path/b>"), ("<page/x>", "title", '"x"@en')])
+    shape, e = Not(UniqueLang(path("linksTo", "^linksTo", "title"))), Engine(g)
+    tagged = rows(e.evidence(shape, e.resolve(shape), tagged=True).select("s", "p", "o"))
+    monkeypatch.setattr(evidence, "pairs", None)
+    monkeypatch.setattr(evidence, "trace_pairs", None)
+    assert nodes(e.resolve(shape)) == {f"<page/{i}>" for i in range(400)}
+    found = e.subgraph(shape)
+    assert rows(found) == tagged and found.count() == 400 + 398
